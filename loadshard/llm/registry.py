@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+from loadshard.llm.secretspans import op8_secret_links
 from loadshard.llm.simhash import op5_simhash_golay
 from loadshard.llm.tokencount import op10_token_counts
+from loadshard.llm.urlrules import op2_redirect_equivalence
 
 QUERIES = {
+    "op2_redirect_equivalence": op2_redirect_equivalence,
     "op5_simhash_golay": op5_simhash_golay,
+    "op8_secret_links": op8_secret_links,
     "op10_token_counts": op10_token_counts,
 }
 ORACLES: dict[str, str] = {}
