@@ -6,8 +6,10 @@ from loadshard.llm.secretspans import op8_secret_links
 from loadshard.llm.simhash import op5_simhash_golay
 from loadshard.llm.tokencount import op10_token_counts
 from loadshard.llm.urlrules import op2_redirect_equivalence
+from loadshard.llm.weightedsampling import op1_weighted_sampling
 
 QUERIES = {
+    "op1_weighted_sampling": op1_weighted_sampling,
     "op2_redirect_equivalence": op2_redirect_equivalence,
     "op5_simhash_golay": op5_simhash_golay,
     "op8_secret_links": op8_secret_links,
