@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from loadshard.llm.mixing import op6_multinomial_blocks
 from loadshard.llm.secretspans import op8_secret_links
 from loadshard.llm.simhash import op5_simhash_golay
 from loadshard.llm.tokencount import op10_token_counts
@@ -12,6 +13,7 @@ QUERIES = {
     "op1_weighted_sampling": op1_weighted_sampling,
     "op2_redirect_equivalence": op2_redirect_equivalence,
     "op5_simhash_golay": op5_simhash_golay,
+    "op6_multinomial_blocks": op6_multinomial_blocks,
     "op8_secret_links": op8_secret_links,
     "op10_token_counts": op10_token_counts,
 }
