@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from loadshard.llm.mixing import op6_multinomial_blocks
+from loadshard.llm.neighbours import op9_neighbour_votes
 from loadshard.llm.secretspans import op8_secret_links
 from loadshard.llm.simhash import op5_simhash_golay
 from loadshard.llm.tokencount import op10_token_counts
@@ -15,6 +16,7 @@ QUERIES = {
     "op5_simhash_golay": op5_simhash_golay,
     "op6_multinomial_blocks": op6_multinomial_blocks,
     "op8_secret_links": op8_secret_links,
+    "op9_neighbour_votes": op9_neighbour_votes,
     "op10_token_counts": op10_token_counts,
 }
 ORACLES: dict[str, str] = {}
