@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from loadshard.llm.linededup import op4_fuzzy_lines
 from loadshard.llm.mixing import op6_multinomial_blocks
 from loadshard.llm.neighbours import op9_neighbour_votes
 from loadshard.llm.secretspans import op8_secret_links
@@ -13,6 +14,7 @@ from loadshard.llm.weightedsampling import op1_weighted_sampling
 QUERIES = {
     "op1_weighted_sampling": op1_weighted_sampling,
     "op2_redirect_equivalence": op2_redirect_equivalence,
+    "op4_fuzzy_lines": op4_fuzzy_lines,
     "op5_simhash_golay": op5_simhash_golay,
     "op6_multinomial_blocks": op6_multinomial_blocks,
     "op8_secret_links": op8_secret_links,
