@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from loadshard.llm.latentdecon import op7_latent_decontamination
 from loadshard.llm.linededup import op4_fuzzy_lines
 from loadshard.llm.mixing import op6_multinomial_blocks
 from loadshard.llm.neighbours import op9_neighbour_votes
@@ -17,6 +18,7 @@ QUERIES = {
     "op4_fuzzy_lines": op4_fuzzy_lines,
     "op5_simhash_golay": op5_simhash_golay,
     "op6_multinomial_blocks": op6_multinomial_blocks,
+    "op7_latent_decontamination": op7_latent_decontamination,
     "op8_secret_links": op8_secret_links,
     "op9_neighbour_votes": op9_neighbour_votes,
     "op10_token_counts": op10_token_counts,
