@@ -8,6 +8,7 @@ from loadshard.llm.mixing import op6_multinomial_blocks
 from loadshard.llm.neighbours import op9_neighbour_votes
 from loadshard.llm.secretspans import op8_secret_links
 from loadshard.llm.simhash import op5_simhash_golay
+from loadshard.llm.surrogates import op3_surrogates
 from loadshard.llm.tokencount import op10_token_counts
 from loadshard.llm.urlrules import op2_redirect_equivalence
 from loadshard.llm.weightedsampling import op1_weighted_sampling
@@ -15,6 +16,7 @@ from loadshard.llm.weightedsampling import op1_weighted_sampling
 QUERIES = {
     "op1_weighted_sampling": op1_weighted_sampling,
     "op2_redirect_equivalence": op2_redirect_equivalence,
+    "op3_surrogates": op3_surrogates,
     "op4_fuzzy_lines": op4_fuzzy_lines,
     "op5_simhash_golay": op5_simhash_golay,
     "op6_multinomial_blocks": op6_multinomial_blocks,
