@@ -72,3 +72,29 @@ def connected_components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
     else:
         raise RuntimeError("components did not settle")
     return e.select(F.col("a").alias("node"), F.col("b").alias("component")).union(e.select(F.col("b").alias("node"), F.col("b").alias("component"))).distinct()
+
+
+def cluster_sets(names: list, sets: list[frozenset], threshold: float) -> list:
+    """Class of each set: the smallest name linked to it by Jaccard similarity. Exact for the sets given: a set is
+    compared with a cluster until one member links, and clusters that a set links become one."""
+    clusters: list[list[int]] = []
+    for i in sorted(range(len(sets)), key=lambda k: names[k]):
+        a, joined, rest = sets[i], [i], []
+        for c in clusters:
+            for j in c:
+                b = sets[j]
+                if min(len(a), len(b)) < threshold * max(len(a), len(b)):
+                    continue
+                both = len(a & b)
+                if both >= threshold * (len(a) + len(b) - both):
+                    joined += c
+                    break
+            else:
+                rest.append(c)
+        clusters = [*rest, joined]
+    out = [None] * len(sets)
+    for c in clusters:
+        least = min(names[k] for k in c)
+        for k in c:
+            out[k] = least
+    return out

@@ -156,17 +156,17 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", max_labelled
     return model
 
 
-def score(docs: DataFrame, model: Model, keep: list[str], text_col: str = "text", block: int = 512) -> DataFrame:
-    """``keep`` columns and score. Null, empty and term-less texts score the sample's mean label."""
+def score(docs: DataFrame, model: Model, keep: list[str], text_col: str = "text", block: int = 512, name: str = "score") -> DataFrame:
+    """``keep`` columns and the score, called ``name``. Null, empty and term-less texts score the sample's mean label."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    schema = docs.select(*keep).withColumn("score", F.lit(0.0)).schema
+    schema = docs.select(*keep).withColumn(name, F.lit(0.0)).schema
 
     def scored(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         m = shared.value
         for b in batches:
             texts = b["text_"].tolist()
             got = [m.score(np.stack([term_counts(t) for t in texts[i : i + block]])) for i in range(0, len(texts), block)]
-            yield b.drop(columns="text_").assign(score=np.concatenate(got) if got else [])
+            yield b.drop(columns="text_").assign(**{name: np.concatenate(got) if got else []})
 
     return docs.select(*keep, F.col(text_col).alias("text_")).mapInPandas(scored, schema)
 
@@ -175,3 +175,9 @@ def op9_neighbour_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     out = score(docs, fit(docs, table(spark, sf_dir, "labels")), ["doc_id"])
     return out.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))
+
+
+def quality_kept(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the classifier doesn't reject (score of 0.7 or more), with their own columns."""
+    scored = score(docs, fit(docs, table(spark, sf_dir, "labels")), docs.columns, name="quality_score_")
+    return scored.where("quality_score_ >= 0.7").select(*docs.columns)

@@ -19,7 +19,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from loadshard.llm.common import connected_components, lower_ascii, materialize, table, words_of
+from loadshard.llm.common import cluster_sets, connected_components, lower_ascii, materialize, table, words_of
 
 #: Fixed value: generator polynomial of the binary Golay code.
 GOLAY_POLYNOMIAL = 0xC75
@@ -59,10 +59,11 @@ def golay_keys(fingerprints: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def _keyed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     for b in batches:
-        fp = b["fp"].to_numpy()
-        for at in range(0, len(fp), 20_000):
-            rows, keys = golay_keys(fp[at : at + 20_000])
-            yield pd.DataFrame({"fp": fp[at : at + 20_000][rows], "key": keys})
+        for at in range(0, len(b), 20_000):
+            part = b.iloc[at : at + 20_000]
+            fp, t = part["fp"].to_numpy(), part["t"].to_numpy()
+            rows, keys = golay_keys(fp)
+            yield pd.DataFrame({"t": t[rows], "fp": fp[rows], "key": keys})
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3) -> DataFrame:
@@ -77,13 +78,28 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     rows = base.select("rid", F.explode_outer(F.when(n >= shingle, pieces.cast(cast)).when(n > 0, short.cast(cast))).alias("s"))
     text = F.concat_ws(" ", *(F.col(f"s.{x}") for x in names))
     hashed = rows.select("rid", F.when(F.col("s").isNotNull(), F.xxhash64(text)).alias("h"))
-    both = F.lit(0x0000000100000001).cast("long")  # the counts of bits i and i + 32 ride in one sum
-    sums = hashed.groupBy("rid").agg(F.count("h").alias("n"), *(F.sum(F.shiftrightunsigned("h", i).bitwiseAND(both)).alias(f"c{i}") for i in range(32)))
-    bit = lambda i: F.when(2 * (F.shiftrightunsigned(F.col(f"c{i % 32}"), 32) if i > 31 else F.col(f"c{i}").bitwiseAND(F.lit(0xFFFFFFFF))) > F.col("n"), F.shiftleft(F.lit(1).cast("long"), i)).otherwise(F.lit(0).cast("long"))
+    sums = hashed.groupBy("rid").agg(F.count("h").alias("n"), *_counters("h", "c"))
+    return sums.select("rid", F.col("rid.id").alias("id"), _majority("c").alias("fp"))
+
+
+def _counters(h: str, name: str) -> list[Column]:
+    """How many hashes have a bit set; the counts of bits i and i + 32 ride in one sum."""
+    both = F.lit(0x0000000100000001).cast("long")
+    return [F.sum(F.shiftrightunsigned(h, i).bitwiseAND(both)).alias(f"{name}{i}") for i in range(32)]
+
+
+def _majority(name: str) -> Column:
+    """64 bits, each set where over half of n hashes have it; zero without hashes."""
+
+    def bit(i: int) -> Column:
+        c = F.col(f"{name}{i % 32}")
+        count = F.shiftrightunsigned(c, 32) if i > 31 else c.bitwiseAND(F.lit(0xFFFFFFFF))
+        return F.when(2 * count > F.col("n"), F.shiftleft(F.lit(1).cast("long"), i)).otherwise(F.lit(0).cast("long"))
+
     fp = bit(0)
     for i in range(1, 64):
         fp = fp.bitwiseOR(bit(i))
-    return sums.select("rid", F.col("rid.id").alias("id"), F.coalesce(fp, F.lit(0).cast("long")).alias("fp"))
+    return F.coalesce(fp, F.lit(0).cast("long"))
 
 
 def distance(a: str | Column, b: str | Column) -> Column:
@@ -92,16 +108,17 @@ def distance(a: str | Column, b: str | Column) -> Column:
 
 
 def links(fps: DataFrame, bucket_cap: int = 64) -> DataFrame:
-    """(a, b) links that join exactly the distinct fingerprints (column fp) within two bits of each other into components."""
-    keyed = materialize(fps.select("fp").distinct().mapInPandas(_keyed, "fp long, key long"))
-    sized = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    shared = keyed.join(sized, "key")
-    lists = shared.where(F.col("n") <= bucket_cap).groupBy("key").agg(F.collect_list("fp").alias("l")).select(F.col("l"), F.explode("l").alias("a"))
-    pairs = lists.select("a", F.explode("l").alias("b")).where((F.col("a") < F.col("b")) & (distance("a", "b") <= 2))
-    crowded = shared.where(F.col("n") > bucket_cap).select("fp").distinct()
-    around = crowded.select("fp", F.explode(F.concat(F.array("fp"), *[F.array(*(F.col("fp").bitwiseXOR(F.shiftleft(F.lit(1).cast("long"), i)) for i in range(64)))])).alias("mid"))
-    stars = around.groupBy("mid").agg(F.collect_list("fp").alias("l")).where(F.size("l") > 1).select(F.array_min("l").alias("a"), F.explode("l").alias("b")).where("a <> b")
-    return pairs.union(stars)
+    """(t, a, b) links that join exactly the distinct fingerprints (columns t, fp) of a table t within two bits of each
+    other into components."""
+    keyed = materialize(fps.select("t", "fp").distinct().mapInPandas(_keyed, "t int, fp long, key long"))
+    sized = keyed.groupBy("t", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    shared = keyed.join(sized, ["t", "key"])
+    lists = shared.where(F.col("n") <= bucket_cap).groupBy("t", "key").agg(F.collect_list("fp").alias("l")).select("t", "l", F.explode("l").alias("a"))
+    pairs = lists.select("t", "a", F.explode("l").alias("b")).where((F.col("a") < F.col("b")) & (distance("a", "b") <= 2))
+    crowded = shared.where(F.col("n") > bucket_cap).select("t", "fp").distinct()
+    flips = F.array(F.col("fp"), *(F.col("fp").bitwiseXOR(F.shiftleft(F.lit(1).cast("long"), i)) for i in range(64)))
+    stars = crowded.select("t", "fp", F.explode(flips).alias("mid")).groupBy("t", "mid").agg(F.collect_list("fp").alias("l")).where(F.size("l") > 1)
+    return pairs.union(stars.select("t", F.array_min("l").alias("a"), F.explode("l").alias("b")).where("a <> b")).distinct()
 
 
 def components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3, bucket_cap: int = 64) -> DataFrame:
@@ -111,13 +128,76 @@ def components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     keep a row and never name a component unless all ids of it are null; an empty table gives no rows."""
     fps = materialize(fingerprints(docs, id_col, text_col, shingle))
     classes = fps.groupBy("fp").agg(F.min("id").alias("rep"))
-    linked = connected_components(links(fps, bucket_cap)).select(F.col("node").alias("fp"), "component")
+    linked = connected_components(links(fps.withColumn("t", F.lit(0)), bucket_cap)).select(F.col("node").alias("fp"), "component")
     rooted = materialize(classes.join(linked, "fp", "left").withColumn("root", F.coalesce("component", "fp")).select("fp", "rep", "root"))
     least = rooted.groupBy("root").agg(F.min("rep").alias("component_id"))
     named = materialize(rooted.join(least, "root").select("fp", "component_id"))
     return fps.join(named, "fp").select("id", "rid", "fp", "component_id")
 
 
+SEEDS = (42, 7, 19, 101)
+PART_WORDS = 200_000
+
+
+def _cluster_texts(threshold: float, shingle: int):
+    def clustered(pdf: pd.DataFrame) -> pd.DataFrame:
+        sets = []
+        for t in pdf["text"]:
+            w = t.lower().split()
+            sets.append(frozenset(" ".join(w[i : i + shingle]) for i in range(max(1, len(w) - shingle + 1))))
+        names = pdf["h"].tolist()
+        return pd.DataFrame({"h": names, "root": cluster_sets(names, sets, threshold)})
+
+    return clustered
+
+
+def text_classes(docs: DataFrame, text_col: str = "text", threshold: float = 0.8, shingle: int = 5) -> DataFrame:
+    """(h, root): hashes of distinct texts that have a near copy, and the smallest hash of their class.
+
+    Texts whose words have a fingerprint within two bits under any of SEEDS are candidates; the texts of a candidate
+    component are gathered once and compared by exact Jaccard similarity of word shingles. Components over PART_WORDS
+    are compared in parts, then the first texts of the parts' clusters with each other."""
+    base = docs.select(F.coalesce(text_col, F.lit("")).alias("text")).withColumn("h", F.xxhash64("text"))
+    # copies of a text multiply all of its counts alike, so a hash stands for its rows
+    rows = base.select("h", F.explode(words_of(lower_ascii(F.col("text")))).alias("w")).select("h", *(F.xxhash64("w", F.lit(s)).alias(f"s{k}") for k, s in enumerate(SEEDS)))
+    sums = rows.groupBy("h").agg(F.count(F.lit(1)).alias("n"), *(c for k in range(len(SEEDS)) for c in _counters(f"s{k}", f"c{k}_")))
+    fps = materialize(sums.select("h", "n", F.posexplode(F.array(*(_majority(f"c{k}_") for k in range(len(SEEDS))))).alias("t", "fp")))
+    first = fps.groupBy("t", "fp").agg(F.min("h").alias("rep"), F.max("h").alias("most"))
+    same = fps.join(first.where("rep < most"), ["t", "fp"]).where("h <> rep").select(F.col("h").alias("a"), F.col("rep").alias("b"))
+    near = links(fps)
+    ends = near.join(first.select("t", F.col("fp").alias("a"), F.col("rep").alias("ra")), ["t", "a"]).join(first.select("t", F.col("fp").alias("b"), F.col("rep").alias("rb")), ["t", "b"])
+    found = connected_components(same.union(ends.select("ra", "rb")).distinct()).select(F.col("node").alias("h"), F.col("component").alias("group"))
+    sized = found.join(fps.where("t = 0").select("h", "n"), "h")
+    total = sized.groupBy("group").agg(F.sum("n").alias("total"))
+    dealt = sized.join(total, "group").select("h", "group", F.when(F.col("total") > PART_WORDS, F.pmod(F.xxhash64("h", "group"), F.ceil(2 * F.col("total") / PART_WORDS))).otherwise(0).alias("part"))
+    held = materialize(base.join(dealt, "h").groupBy("h", "group", "part").agg(F.first("text").alias("text")))
+    compare = lambda d: materialize(d.groupBy("group", "part").applyInPandas(_cluster_texts(threshold, shingle), "h long, root long"))
+    inner = compare(held)
+    parted = held.where("part > 0").select("group").distinct()
+    edges = inner.where("h <> root").select(F.col("h").alias("a"), F.col("root").alias("b"))
+    if not parted.isEmpty():
+        heads = held.join(parted, "group", "left_semi").join(inner.where("h = root").select("h"), "h", "left_semi")
+        edges = edges.union(compare(heads.select("h", "group", F.lit(0).cast("long").alias("part"), "text")).where("h <> root").select("h", "root"))
+    return connected_components(edges).select(F.col("node").alias("h"), F.col("component").alias("root"))
+
+
+def near_deduped(spark: SparkSession, docs: DataFrame, sf_dir: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One document of each class of equal or near-equal texts stays: the one with the smallest id (null ids first).
+
+    Null and empty texts are one class; of rows that repeat an id and text one stays."""
+    key = F.xxhash64(F.coalesce(text_col, F.lit("")))
+    rows = docs.select(F.col(id_col).alias("id"), key.alias("h"))
+    classes = materialize(text_classes(docs, text_col))
+    placed = materialize(rows.join(classes, "h", "left").select("id", "h", F.coalesce("root", "h").alias("root")).groupBy("root", "h", "id").agg(F.count(F.lit(1)).alias("n")))
+    kept = placed.groupBy("root").agg(F.min(F.struct("id", "h")).alias("k"))
+    gone = placed.join(kept, "root").where(~F.struct("id", "h").eqNullSafe(F.col("k"))).select(F.col("id").alias("id_"), F.col("h").alias("h_"))
+    d = docs.withColumn("key_", key)
+    out = d.join(gone, F.col(id_col).eqNullSafe(F.col("id_")) & (F.col("key_") == F.col("h_")), "left_anti")
+    if not placed.where("n > 1").isEmpty():
+        out = out.dropDuplicates([id_col, "key_"])
+    return out.select(*docs.columns)
+
+
 def op5_simhash_golay(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = components(table(spark, sf_dir, "documents"))
     return out.select(F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
