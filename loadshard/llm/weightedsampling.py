@@ -9,9 +9,12 @@ similarity, sum of least over sum of greatest weights. A lane keeps 16 bits of t
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from loadshard.llm.common import lower_ascii, table, words_of
 
@@ -21,22 +24,55 @@ MAX_CELLS = 200_000  # neighbour cells; their first ids are broadcast, at most 3
 CELL_ROWS = 1_000
 
 
+GRID = 4_096
+
+
+def _tables() -> tuple[list[float], list[float], list[float]]:
+    """At i / GRID for i = 0..GRID: the Gamma(2, 1) quantile and its logarithm; open ends are closed half a step in."""
+
+    def quantile(u: float) -> float:
+        lo, hi = 0.0, 50.0
+        for _ in range(80):
+            mid = (lo + hi) / 2
+            lo, hi = (mid, hi) if 1 - (1 + mid) * math.exp(-mid) < u else (lo, mid)
+        return hi
+
+    q = [quantile(min(max(i, 0.5), GRID - 0.5) / GRID) for i in range(GRID + 1)]
+    return q, [math.log(x) for x in q]
+
+
+def with_tables(terms: DataFrame) -> DataFrame:
+    """Adds the quantile tables rq and cq (GRID + 1 doubles each, 65 kB in all) to every row by a broadcast of one row."""
+    q, lq = _tables()
+    doubles = T.ArrayType(T.DoubleType(), False)
+    one = terms.sparkSession.createDataFrame([(0, q, lq)], T.StructType([T.StructField("one_", T.LongType(), False), T.StructField("rq", doubles, False), T.StructField("cq", doubles, False)]))
+    return terms.withColumn("one_", F.pmod(F.coalesce("term", F.lit(0).cast("long")), F.lit(1).cast("long"))).join(F.broadcast(one), "one_").drop("one_")
+
+
 def _log_a(term: Column, log_w: Column, k: int) -> Column:
-    """ln a of a hashed term; each hash gives three uniforms of 21 bits, never zero."""
-    unit = lambda h, at: (F.shiftrightunsigned(h, at).bitwiseAND(F.lit((1 << 21) - 1)) + F.lit(0.5)) / F.lit(float(1 << 21))
-    h, g = F.xxhash64(term, F.lit(2 * k)), F.xxhash64(term, F.lit(2 * k + 1))
-    r = -F.log(unit(h, 0) * unit(h, 21))
-    b = unit(h, 42)
-    c = -F.log(unit(g, 0) * unit(g, 21))
-    return F.log(c) - r * (F.floor(log_w / r + b) - b + 1)
+    """ln a of a hashed term. One hash gives r (the middle quantile of one of GRID steps), ln c (interpolated between
+    two) and b; in the lowest step of c, where minima of long texts lie, c is drawn from a second hash by the leading
+    terms of the quantile, the root of twice the probability plus a third of that."""
+    h = F.xxhash64(term, F.lit(k))
+    part = lambda at, bits: F.shiftrightunsigned(h, at).bitwiseAND(F.lit((1 << bits) - 1))
+    i = part(12, 12).cast("int")
+    low = F.get("cq", i)
+    between = low + (part(24, 14) + F.lit(0.5)) * F.lit(1.0 / (1 << 14)) * (F.get("cq", i + F.lit(1)) - low)
+    u = (F.shiftrightunsigned(F.xxhash64(term, F.lit(k), F.lit(1)), 11) + F.lit(0.5)) * F.lit(2.0 / GRID / (1 << 53))
+    c = F.when(i == 0, F.log(F.sqrt(u) + u * F.lit(1 / 3))).otherwise(between)
+    r, b = F.get("rq", part(0, 12).cast("int")), (part(38, 24) + F.lit(0.5)) * F.lit(1.0 / (1 << 24))
+    return c - r * (F.floor(log_w / r + b) - b + F.lit(1.0))
+
 
+def minima(terms: DataFrame, keys: list[str], samples: int = SAMPLES) -> DataFrame:
+    """keys, m0.. from rows (keys, term long hash or null, w double): the least ln a of each sample, null without terms."""
+    logs = with_tables(terms.withColumn("lw", F.log("w")))
+    return logs.groupBy(*keys).agg(*[F.min(F.when(F.col("term").isNotNull(), _log_a(F.col("term"), F.col("lw"), k))).alias(f"m{k}") for k in range(samples)])
 
-def lane_minima(terms: DataFrame, keys: list[str], samples: int = SAMPLES) -> DataFrame:
-    """keys, fp from rows (keys, term long hash or null, w double). Keys without terms get an all-zero fingerprint."""
-    logs = terms.withColumn("lw", F.log("w"))
-    least = [F.min(F.when(F.col("term").isNotNull(), _log_a(F.col("term"), F.col("lw"), k))).alias(f"m{k}") for k in range(samples)]
-    lanes = [F.when(F.col(f"m{k}").isNull(), F.lit("0" * LANE)).otherwise(F.substring(F.lpad(F.hex(F.xxhash64(f"m{k}")), 16, "0"), 1, LANE)) for k in range(samples)]
-    return logs.groupBy(*keys).agg(*least).select(*keys, F.concat(*lanes).alias("fp"))
+
+def lanes(least: list[Column]) -> Column:
+    """The fingerprint: LANE digits of each hashed minimum, zeros where there is none."""
+    return F.concat(*(F.when(m.isNull(), F.lit("0" * LANE)).otherwise(F.substring(F.lpad(F.hex(F.xxhash64(m)), 16, "0"), 1, LANE)) for m in least))
 
 
 def likeness(a: Column, b: Column, samples: int = SAMPLES) -> Column:
@@ -45,16 +81,39 @@ def likeness(a: Column, b: Column, samples: int = SAMPLES) -> Column:
     return same / F.lit(float(samples))
 
 
-def weighted_terms(rows: DataFrame, keys: list[str], text: Column) -> DataFrame:
-    """(keys, term, w): hashed words with their counts; one row with a null term for a text without words."""
-    words = rows.select(*keys, F.explode_outer(words_of(lower_ascii(text))).alias("x"))
-    return words.select(*keys, F.when(F.col("x").isNotNull(), F.xxhash64("x")).alias("term")).groupBy(*keys, "term").agg(F.count(F.lit(1)).cast("double").alias("w"))
+def _tagged(text: Column, tag: int) -> Column:
+    return F.transform(words_of(lower_ascii(text)), lambda x: F.shiftleft(F.xxhash64(x), 1).bitwiseOR(F.lit(tag)))
+
+
+def weighted_terms(rows: DataFrame, keys: list[str], first: Column, second: Column | None = None) -> DataFrame:
+    """(keys, side, term, w): hashed words with their counts, of one text or of two.
+
+    side 0: of the first text, 1: of the second, 2: of both with one count, so that a term common to two versions of a
+    text is sampled once. A row with a null term tells a text without words. Counting stays in the row: equal hashes
+    stand together in the sorted array, the side in their last bit, and a count is the distance between first places."""
+    both = _tagged(first, 0) if second is None else F.concat(_tagged(first, 0), _tagged(second, 1))
+    hashed = rows.select(*keys, F.sort_array(both).alias("h"))
+    start = F.filter(F.sequence(F.lit(0), F.size("h") - 1), lambda i: (i == 0) | (F.get("h", i) != F.get("h", i - 1)))
+    places = hashed.select(*keys, "h", F.when(F.size("h") > 0, start).alias("p"))
+    runs = places.select(*keys, F.transform("p", lambda at, j: F.struct(F.get("h", at).alias("h"), (F.coalesce(F.get("p", j + 1), F.size("h")) - at).alias("n"))).alias("x"))
+
+    def twin(x: Column, j: Column, step: int) -> Column:
+        y = F.get("x", j + step)
+        return (y["h"] == x["h"].bitwiseXOR(F.lit(1))) & (y["n"] == x["n"])
+
+    tag = lambda x: x["h"].bitwiseAND(F.lit(1)).cast("int")
+    has = lambda x, j, step: F.coalesce(twin(x, j, step), F.lit(False))
+    side = lambda x, j: F.when(tag(x) == 0, F.when(has(x, j, 1), 2).otherwise(0)).otherwise(F.when((j > 0) & has(x, j, -1), -1).otherwise(1))
+    told = F.transform("x", lambda x, j: F.struct(x["h"].alias("h"), x["n"].alias("n"), side(x, j).alias("side")))
+    sides = F.filter(told, lambda x: x["side"] >= 0)
+    return runs.select(*keys, F.explode_outer(sides).alias("x")).select(*keys, F.coalesce("x.side", F.lit(2)).alias("side"), F.shiftright("x.h", 1).alias("term"), F.col("x.n").cast("double").alias("w"))
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", samples: int = SAMPLES) -> DataFrame:
     """(id, fp) for every row; null and blank texts get the zero fingerprint, equal texts equal ones."""
     rows = docs.select(F.monotonically_increasing_id().alias("rid"), F.col(id_col).alias("id"), F.col(text_col).alias("t"))
-    return lane_minima(weighted_terms(rows, ["rid", "id"], F.col("t")), ["rid", "id"], samples).drop("rid")
+    least = minima(weighted_terms(rows, ["rid", "id"], F.col("t")), ["rid", "id"], samples)
+    return least.select("id", lanes([F.col(f"m{k}") for k in range(samples)]).alias("fp"))
 
 
 def _with_next(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -92,12 +151,13 @@ def edited_pairs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     # rows keep the cell's partitioning from here on: nothing below is shuffled again
     seen = cells.select("cell", "own", F.row_number().over(order).alias("pos"), "id", "t", F.lead("t").over(order).alias("nxt"))
     edited = F.concat(F.substring(F.col("t"), F.lit(1), n - third), F.coalesce(F.substring(F.col("nxt"), F.lit(1), third), F.lit("")))
-    keys = ["cell", "pos", "own", "id", "n_chars", "sha", "v"]
-    both = seen.select("cell", "pos", "own", "id", n.cast("long").alias("n_chars"), "t", edited.alias("e")).select(
-        "cell", "pos", "own", "id", "n_chars", F.sha2("e", 256).alias("sha"), F.posexplode(F.array("t", "e")).alias("v", "x")
-    )
-    fps = lane_minima(weighted_terms(both, keys, F.col("x")), keys, samples)
-    two = fps.groupBy("cell", "pos", "own", "id", "n_chars", "sha").agg(F.max(F.when(F.col("v") == 0, F.col("fp"))).alias("fp"), F.max(F.when(F.col("v") == 1, F.col("fp"))).alias("efp"))
+    keys = ["cell", "pos", "own", "id", "n_chars", "sha"]
+    both = seen.select("cell", "pos", "own", "id", n.cast("long").alias("n_chars"), "t", edited.alias("e")).withColumn("sha", F.sha2("e", 256))
+    least = minima(weighted_terms(both, keys, F.col("t"), F.col("e")), [*keys, "side"], samples)
+    # each side's minima, then the least of a version's own and the shared ones
+    of = lambda without: [F.min(F.when(F.col("side") != without, F.col(f"m{k}"))) for k in range(samples)]
+    two = least.groupBy(*keys).agg(F.array(*of(1)).alias("a"), F.array(*of(0)).alias("b"))
+    two = two.select(*keys, lanes([F.get("a", k) for k in range(samples)]).alias("fp"), lanes([F.get("b", k) for k in range(samples)]).alias("efp"))
     nxt = F.lead("fp").over(W.partitionBy("cell").orderBy("pos"))
     return two.withColumn("nfp", nxt).where("own").select(
         "id", "n_chars", F.col("sha").alias("edited_sha256"), F.col("fp").alias("fingerprint"), F.col("efp").alias("edited_fingerprint"),
