@@ -118,6 +118,7 @@ class Fragmentation:
     analysis: Analysis
     of_cell: dict[tuple[str, str, str], int]
     candidates: int = 0
+    cell_size: dict[tuple[str, str, str], int] = field(default_factory=dict, repr=False)
 
     @property
     def remainder(self) -> Fragment | None:
@@ -176,7 +177,7 @@ def assemble(a: Analysis, s: list[Predicate], base: Cells, counted: list, signat
     frequencies(fragments, a, kept, mode)
     for f in fragments:
         f.remainder = f.bits == 0 if remainder_scope == "all_negated" else f.freq == 0
-    return Fragmentation(kept, base, fragments, a, {c: f.number for f in fragments for c in f.cells}, len(s))
+    return Fragmentation(kept, base, fragments, a, {c: f.number for f in fragments for c in f.cells}, len(s), dict(counted))
 
 
 def uniform_load(fragments: list[Fragment], n: int) -> float:
