@@ -4,7 +4,10 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -98,3 +101,33 @@ def cluster_sets(names: list, sets: list[frozenset], threshold: float) -> list:
         for k in c:
             out[k] = least
     return out
+
+
+def classes_in_groups(rows: DataFrame, value: str, fn: Callable[[list, list], list]) -> DataFrame:
+    """(h, root): ``fn(names, values)`` gives the class of each row of a (group, part) of rows (h, group, part, value).
+
+    Groups are read one after the other from sorted partitions, so that many small ones cost no call of their own;
+    memory is that of the largest group."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held = None
+        for b in batches:
+            b = b if held is None else pd.concat([held, b], ignore_index=True)
+            g, part = b["group"].to_numpy(), b["part"].to_numpy()
+            ends = np.flatnonzero((g[1:] != g[:-1]) | (part[1:] != part[:-1])) + 1
+            if not len(ends):
+                held = b
+                continue
+            held = b.iloc[ends[-1] :].reset_index(drop=True)
+            yield classed(b, [0, *ends])
+        if held is not None and len(held):
+            yield classed(held, [0, len(held)])
+
+    def classed(b: pd.DataFrame, cuts: list[int]) -> pd.DataFrame:
+        names, values = b["h"].tolist(), b[value].tolist()
+        roots: list = []
+        for i, j in zip(cuts[:-1], cuts[1:], strict=True):
+            roots += fn(names[i:j], values[i:j])
+        return pd.DataFrame({"h": names[: len(roots)], "root": roots})
+
+    return rows.select("h", "group", "part", value).repartition("group", "part").sortWithinPartitions("group", "part").mapInPandas(run, "h long, root long")
