@@ -47,9 +47,9 @@ class Scope:
         self.kinds = {v for v, c in seats.items() if v not in self.iri and (len(c) > 1 or v in told)}
         self.numbers = {v for v in told if v in seats and v not in self.iri}
 
-    def bind(self, rows: DataFrame, t: TriplePattern) -> DataFrame:
-        """Bindings of one pattern from rows of triples."""
-        cols, seen, need = [], set(), matches(t)
+    def bind(self, rows: DataFrame, t: TriplePattern, keep: tuple[str, ...] = ()) -> DataFrame:
+        """Bindings of one pattern from rows of triples; ``keep`` are further columns to carry."""
+        cols, seen, need = [F.col(c) for c in keep], set(), matches(t)
         for c, x in t.parts():
             if not isinstance(x, Var):
                 continue
