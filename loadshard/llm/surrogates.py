@@ -3,7 +3,7 @@
 Mentions are found by one alternation of patterns and replaced where they stand. A surrogate is a keyed function
 of kind, canonical form and attempt, so that all mentions of an entity agree without a lookup; the table of
 entities is used to check that surrogates are distinct and are nobody's real data, and raises the attempt where they
-are not. Only documents that hold such raised entities are joined with them.
+are not. Documents are then joined with the replacements of their own mentions.
 """
 
 from __future__ import annotations
@@ -112,74 +112,78 @@ def _named(m: Column, canon: Column, stream: Column, attempt: Column) -> Column:
     return F.concat_ws(" ", F.when(title != "", title), F.when((rest == F.upper(rest)) & (F.length(rest) > 1), F.upper(name)).otherwise(name))
 
 
-def surrogate(m: Column, attempt: Column, key: str) -> Column:
-    """The replacement of a mention (or of a canonical form that has its kind's layout)."""
-    kind = kind_of(m)
-    canon = canonical(m, kind)
-    stream = _bytes(F.lit(key), kind, canon, attempt.cast("string"))
-    domain = F.regexp_extract(canon, r"@(.+)\.[^.]+$", 1)
-    top = F.regexp_extract(m, r"(\.[^.]+)$", 1)
-    email = F.concat(substituted(F.regexp_extract(m, r"^([^@]+)@", 1), stream), F.lit("@"), substituted(domain, _bytes(F.lit(key), F.lit("domain"), domain)), top)
-    ip = F.array_join(F.transform(F.sequence(F.lit(0), F.lit(3)), lambda i: (_byte(stream, i) % 254 + 1).cast("string")), ".")
-    # digit kinds: the canonical digits are replaced, then laid out as the mention is
-    digits = substituted(canon, stream, keep_first=True)
-    short = F.substring(digits, F.lit(1), F.length(digits) - 1)
-    valid = luhn_sum(canon, 1) % 10 == 0
-    card = F.when(valid, F.concat(short, ((F.lit(10) - luhn_sum(short, 0) % 10) % 10).cast("string"))).otherwise(digits)
-    own = F.when(kind == "card", card).otherwise(digits)
-    laid = F.array_join(F.transform(F.split(m, ""), lambda c, i: F.when(c.rlike("[0-9]"), F.substring(own, F.length(F.regexp_replace(F.substring(m, F.lit(1), i), "[^0-9]", "")) + 1, F.lit(1))).otherwise(c)), "")
-    iban = F.concat(F.substring(m, 1, 2), F.substring(substituted(m, stream), F.lit(3), F.length(m)))
-    return F.when(kind == "email", email).when(kind == "name", _named(m, canon, stream, attempt)).when(kind == "ip", ip).when(kind == "iban", iban).otherwise(laid)
+def with_surrogates(ents: DataFrame, key: str) -> DataFrame:
+    """Adds s, the replacement of mention m, to rows (m, kind, canon, attempt).
+
+    Each step is a column of its own, so that the plan stays small."""
+    m, kind, canon, attempt = (F.col(c) for c in ("m", "kind", "canon", "attempt"))
+    email, digits = kind == "email", kind.isin("card", "ssn", "phone")
+    out = ents.withColumn("stream", _bytes(F.lit(key), kind, canon, attempt.cast("string")))
+    out = out.withColumns({"domain": F.when(email, F.regexp_extract(canon, r"@(.+)\.[^.]+$", 1)), "local": F.when(email, F.regexp_extract(m, "^([^@]+)@", 1))})
+    out = out.withColumn("dstream", _bytes(F.lit(key), F.lit("domain"), F.col("domain")))
+    out = out.withColumns({"local_s": substituted(F.col("local"), F.col("stream")), "domain_s": substituted(F.col("domain"), F.col("dstream"))})
+    # digit kinds: the canonical digits are replaced, a valid check digit is made anew, then all are laid out as in m
+    out = out.withColumn("own", F.when(digits, substituted(canon, F.col("stream"), keep_first=True)))
+    out = out.withColumn("short", F.substring("own", F.lit(1), F.length("own") - 1)).withColumn("check", ((F.lit(10) - luhn_sum(F.col("short"), 0) % 10) % 10).cast("string"))
+    out = out.withColumn("own", F.when((kind == "card") & (luhn_sum(F.when(digits, canon), 1) % 10 == 0), F.concat("short", "check")).otherwise(F.col("own")))
+    before = lambda i: F.length(F.regexp_replace(F.substring(m, F.lit(1), i), "[^0-9]", ""))
+    out = out.withColumn("laid", F.when(digits, F.array_join(F.transform(F.split(m, ""), lambda c, i: F.when(c.rlike("[0-9]"), F.substring(F.col("own"), before(i) + 1, F.lit(1))).otherwise(c)), "")))
+    out = out.withColumn("iban", F.when(kind == "iban", substituted(m, F.col("stream"))))
+    ip = F.array_join(F.transform(F.sequence(F.lit(0), F.lit(3)), lambda i: (_byte(F.col("stream"), i) % 254 + 1).cast("string")), ".")
+    out = out.withColumn("named", F.when(kind == "name", _named(m, canon, F.col("stream"), attempt)))
+    whole = F.when(email, F.concat("local_s", F.lit("@"), "domain_s", F.regexp_extract(m, r"(\.[^.]+)$", 1))).when(kind == "name", F.col("named")).when(kind == "ip", ip)
+    whole = whole.when(kind == "iban", F.concat(F.substring(m, 1, 2), F.substring(F.col("iban"), F.lit(3), F.length("iban")))).otherwise(F.col("laid"))
+    return out.select(*ents.columns, whole.alias("s"))
 
 
 def mentions(text: Column) -> Column:
     return F.when(text.rlike(HINT), F.regexp_extract_all(text, F.lit(ANY), F.lit(0))).otherwise(F.array().cast("array<string>"))
 
 
-def assign(found: DataFrame, key: str, max_rounds: int = 24) -> DataFrame:
-    """(kind, canon, attempt) of entities whose first surrogate collides, from mentions (column m).
+def described(found: DataFrame) -> DataFrame:
+    """Distinct mentions (m) with their kind and canonical form."""
+    return found.select("m").distinct().withColumn("kind", kind_of(F.col("m"))).withColumn("canon", canonical(F.col("m"), F.col("kind")))
+
+
+def assign(ments: DataFrame, key: str, max_rounds: int = 24) -> DataFrame:
+    """(kind, canon, attempt) for every entity of the mentions (m, kind, canon).
 
     A surrogate collides if another entity has it or if it is a real entity of the corpus; the entity first in
     canonical order, of those with the fewest attempts, keeps it."""
-    kind = kind_of(F.col("m"))
-    ents = materialize(found.select(kind.alias("kind"), canonical(F.col("m"), kind).alias("canon"), "m").groupBy("kind", "canon").agg(F.min("m").alias("m")).withColumn("attempt", F.lit(0)))
+    ents = materialize(ments.groupBy("kind", "canon").agg(F.min("m").alias("m")).withColumn("attempt", F.lit(0)))
+    real = ents.select("kind", F.col("canon").alias("c"), F.lit(True).alias("real"))
     for _ in range(max_rounds):
-        s = surrogate(F.col("m"), F.col("attempt"), key)
-        made = ents.withColumn("s", canonical(s, kind_of(F.col("m"))))
-        real = ents.select("kind", F.col("canon").alias("s"), F.lit(True).alias("real"))
-        rank = F.row_number().over(W.partitionBy("kind", "s").orderBy("attempt", "canon"))
-        judged = materialize(made.join(real, ["kind", "s"], "left").withColumn("bad", (rank > 1) | F.col("real").isNotNull()).select("kind", "canon", "m", (F.col("attempt") + F.col("bad").cast("int")).alias("attempt"), "bad"))
+        made = materialize(with_surrogates(ents, key).withColumn("sk", kind_of(F.col("s"))).withColumn("c", canonical(F.col("s"), F.col("sk"))))
+        rank = F.row_number().over(W.partitionBy("kind", "c").orderBy("attempt", "canon"))
+        judged = materialize(made.join(real, ["kind", "c"], "left").withColumn("bad", (rank > 1) | F.col("real").isNotNull()).select("kind", "canon", "m", (F.col("attempt") + F.col("bad").cast("int")).alias("attempt"), "bad"))
         ents = judged.drop("bad")
         if judged.where("bad").isEmpty():
-            return ents.where("attempt > 0").select("kind", "canon", "attempt")
+            return ents.select("kind", "canon", "attempt")
     raise RuntimeError("surrogates did not become distinct")
 
 
-def replace_entities(docs: DataFrame, key: str = "public-demo-key", id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def replace_entities(docs: DataFrame, key: str = "public-demo-key", id_col: str = "doc_id", text_col: str = "text", bound: int = 64 << 20) -> DataFrame:
     """``docs`` with surrogates in ``text_col``, and mentions_ (how many of each kind, in the order of KINDS).
 
     Null texts stay null and have none. Rows that repeat an id and text are alike. Overlapping matches: the leftmost,
     then the kind first in KINDS. Mentions of one entity in other spellings (case, separators) get one surrogate
-    in their own spelling. ``key`` makes surrogates unlinkable to those of another key."""
+    in their own spelling. ``key`` makes surrogates unlinkable to those of another key. Documents meet their
+    replacements by a broadcast if all of these, measured, keep within ``bound`` bytes, else by a shuffle."""
     keyed = docs.withColumn("key_", F.xxhash64(text_col))
     found = materialize(keyed.select(F.col(id_col).alias("id"), "key_", F.explode(F.array_distinct(mentions(F.col(text_col)))).alias("m")))
-    raised = materialize(assign(found.select("m").distinct(), key))
-    rows = keyed.withColumn("found_", mentions(F.col(text_col)))
-    attempt = lambda m: F.lit(0)
-    if not raised.isEmpty():
-        kind = kind_of(F.col("m"))
-        per = found.withColumn("kind", kind).withColumn("canon", canonical(F.col("m"), kind)).join(raised, ["kind", "canon"])
-        per = per.groupBy("id", "key_").agg(F.map_from_entries(F.collect_set(F.struct("m", "attempt"))).alias("raised_")).select(F.col("id").alias("id_"), F.col("key_").alias("k_"), "raised_")
-        rows = rows.join(per, F.col(id_col).eqNullSafe(F.col("id_")) & (F.col("key_") == F.col("k_")), "left")
-        attempt = lambda m: F.coalesce(F.try_element_at("raised_", m), F.lit(0))
+    ments = materialize(described(found))
+    told = materialize(with_surrogates(ments.join(assign(ments, key), ["kind", "canon"]), key).select("m", "kind", "s"))
+    per = materialize(found.join(told, "m").groupBy("id", "key_").agg(F.map_from_entries(F.collect_set(F.struct("m", F.struct("s", "kind")))).alias("told_")).select(F.col("id").alias("id_"), F.col("key_").alias("k_"), "told_"))
+    bytes_ = found.agg(F.sum(F.length("m") * 2 + 64)).first()[0] or 0
+    per = F.broadcast(per) if 2 * bytes_ <= bound else per
+    rows = keyed.join(per, F.col(id_col).eqNullSafe(F.col("id_")) & (F.col("key_") == F.col("k_")), "left")
+    rows = rows.withColumn("found_", F.when(F.col("told_").isNotNull(), F.regexp_extract_all(F.col(text_col), F.lit(ANY), F.lit(0))))
+    rows = rows.withColumn("swapped_", F.transform("found_", lambda m: F.try_element_at("told_", m)))
     text = F.col(text_col)
-    swapped = F.concat(F.transform("found_", lambda m: surrogate(m, attempt(m), key)), F.array(F.lit("")))
-    woven = F.array_join(F.zip_with(F.split(text, ANY, -1), swapped, lambda gap, s: F.concat(F.coalesce(gap, F.lit("")), F.coalesce(s, F.lit("")))), "")
-    kinds = F.transform("found_", kind_of)
-    count = lambda kind: F.size(F.filter(F.col("kinds_"), lambda k: k == kind)).cast("long")
-    counts = F.array(*map(count, KINDS))
-    out = rows.withColumn("kinds_", kinds)
-    return out.select(*[F.when(F.size("found_") > 0, woven).otherwise(text).alias(c) if c == text_col else docs[c] for c in docs.columns], counts.alias("mentions_"))
+    woven = F.array_join(F.zip_with(F.split(text, ANY, -1), "swapped_", lambda gap, s: F.concat(F.coalesce(gap, F.lit("")), F.coalesce(s["s"], F.lit("")))), "")
+    count = lambda kind: F.coalesce(F.size(F.filter("swapped_", lambda x: x["kind"] == kind)), F.lit(0)).cast("long")
+    counts = F.array(*(F.when(F.col("found_").isNull(), F.lit(0).cast("long")).otherwise(count(k)) for k in KINDS))
+    return rows.select(*[F.when(F.col("found_").isNotNull(), woven).otherwise(text).alias(c) if c == text_col else docs[c] for c in docs.columns], counts.alias("mentions_"))
 
 
 def op3_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
