@@ -1,0 +1,44 @@
+"""The small worked load: generated triples and the fragments' table."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from loadshard.operators.fragments import Fragment
+
+#: Sizes, frequencies by mode, and edge weights of fragments 1 to 9.
+SIZES = (2000, 4999, 3000, 3000, 2000, 1700, 300, 1, 3000)
+FREQUENCIES = {
+    "printed": (11, 2, 3, 1, 1, 1, 3, 10, 0),
+    "closest": (11, 3, 3, 1, 1, 1, 3, 10, 0),
+    "pattern_sum": (11, 3, 4, 1, 1, 1, 4, 13, 0),
+}
+EDGES = {(1, 2): 1, (1, 8): 10, (2, 3): 2, (2, 7): 2, (3, 7): 2, (3, 6): 1, (3, 4): 1, (4, 6): 1, (5, 7): 1}
+
+
+def table(mode: str = "printed") -> list[Fragment]:
+    return [Fragment(i + 1, i, (), (), s, f, i == 8) for i, (s, f) in enumerate(zip(SIZES, FREQUENCIES[mode], strict=True))]
+
+
+def triples(spark: SparkSession) -> DataFrame:
+    """3000 towns and 2000 firms with labels, 300 in landA and 1700 elsewhere, turnovers of firms, heads of towns, and
+    3000 triples of other properties."""
+    town, firm = spark.range(3000).select(F.concat(F.lit("t:"), "id").alias("s"), "id"), spark.range(2000).select(F.concat(F.lit("f:"), "id").alias("s"), "id")
+    num = F.lit(None).cast("double")
+
+    def rows(df: DataFrame, p: str, o, kind: str = "str", number=num) -> DataFrame:
+        return df.select("s", F.lit(p).alias("p"), o.alias("o"), F.lit(kind).alias("o_kind"), number.alias("o_num"))
+
+    name = F.when((F.col("id") == 0) & F.col("s").startswith("f:"), "Acme").otherwise(F.concat(F.lit("label "), "s"))
+    value = F.col("id") + 1_000_000_000
+    placed = firm.where("id < 2000")
+    land = F.when(F.col("id") < 300, "x:landA").otherwise(F.concat(F.lit("x:land"), F.col("id") % 7 + 10))
+    parts = [
+        rows(town, "rdf:type", F.lit("k:town"), "iri"), rows(firm, "rdf:type", F.lit("k:firm"), "iri"), rows(town, "q:label", name), rows(firm, "q:label", name),
+        rows(firm, "q:turnover", value.cast("string"), "num", value.cast("double")), rows(town, "q:heads", F.concat(F.lit("head "), "s")), rows(placed, "q:in", land, "iri"), rows(spark.range(3000).select(F.concat(F.lit("z:"), "id").alias("s"), "id"), "q:other", F.col("id").cast("string")),
+    ]
+    out = parts[0]
+    for x in parts[1:]:
+        out = out.union(x)
+    return out
