@@ -67,6 +67,8 @@ def allocate(fragments: list[Fragment], edges: dict[tuple[int, int], int], n: in
     split = {f.number for f in fragments if f.remainder and (not rest or f.size > remainder_ratio * mean)}
     placed = [f for f in fragments if f.number not in split]
     uniform = sum(f.load for f in placed) / n
+    for s in sites:  # room for the split fragments' shares is kept from the start
+        s.used = sum(f.size for f in fragments if f.number in split) * bytes_per_triple / n
     rng = random.Random(seed)
     trace = []
     for turn, f in enumerate(sorted(placed, key=lambda f: (-f.load, f.number))):
@@ -88,10 +90,6 @@ def allocate(fragments: list[Fragment], edges: dict[tuple[int, int], int], n: in
         best.load += f.load
         best.used += need
         trace.append((f.number, scores, best.number))
-    by = {f.number: f for f in fragments}
-    for x in split:
-        for s in sites:
-            s.used += by[x].size * bytes_per_triple / n
     return Placement(n, {f: s.number for s in sites for f in s.fragments}, sites, split, uniform, trace)
 
 
