@@ -7,7 +7,7 @@ import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -39,6 +39,12 @@ def materialize(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def texts_of(column: pa.Array, step: int = 64) -> Iterator[str | None]:
+    """Texts of an Arrow column, a few at a time, so that a batch is never held as Python strings."""
+    for at in range(0, len(column), step):
+        yield from column.slice(at, step).to_pylist()
+
+
 def lower_ascii(text: Column) -> Column:
     return F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 
@@ -109,25 +115,23 @@ def classes_in_groups(rows: DataFrame, value: str, fn: Callable[[list, list], li
     Groups are read one after the other from sorted partitions, so that many small ones cost no call of their own;
     memory is that of the largest group."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        held = None
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        current, names, values = None, [], []
         for b in batches:
-            b = b if held is None else pd.concat([held, b], ignore_index=True)
-            g, part = b["group"].to_numpy(), b["part"].to_numpy()
-            ends = np.flatnonzero((g[1:] != g[:-1]) | (part[1:] != part[:-1])) + 1
-            if not len(ends):
-                held = b
-                continue
-            held = b.iloc[ends[-1] :].reset_index(drop=True)
-            yield classed(b, [0, *ends])
-        if held is not None and len(held):
-            yield classed(held, [0, len(held)])
-
-    def classed(b: pd.DataFrame, cuts: list[int]) -> pd.DataFrame:
-        names, values = b["h"].tolist(), b[value].tolist()
-        roots: list = []
-        for i, j in zip(cuts[:-1], cuts[1:], strict=True):
-            roots += fn(names[i:j], values[i:j])
-        return pd.DataFrame({"h": names[: len(roots)], "root": roots})
-
-    return rows.select("h", "group", "part", value).repartition("group", "part").sortWithinPartitions("group", "part").mapInPandas(run, "h long, root long")
+            g, part, h, v = b.column("group").to_numpy(), b.column("part").to_numpy(), b.column("h").to_numpy(), b.column(value)
+            cuts = [0, *(np.flatnonzero((g[1:] != g[:-1]) | (part[1:] != part[:-1])) + 1), len(g)]
+            done_names, done_roots = [], []
+            for i, j in zip(cuts[:-1], cuts[1:], strict=True):
+                if j == i:
+                    continue
+                if (g[i], part[i]) != current:
+                    done_names += names
+                    done_roots += fn(names, values) if names else []
+                    current, names, values = (g[i], part[i]), [], []
+                names += h[i:j].tolist()
+                values += v.slice(i, j - i).to_pylist()
+            yield pa.RecordBatch.from_arrays([pa.array(done_names, pa.int64()), pa.array(done_roots, pa.int64())], names=["h", "root"])
+        if names:
+            yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(fn(names, values), pa.int64())], names=["h", "root"])
+
+    return rows.select("h", "group", "part", value).repartition("group", "part").sortWithinPartitions("group", "part").mapInArrow(run, "h long, root long")

@@ -16,16 +16,17 @@ from itertools import repeat
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from loadshard.llm.common import table
+from loadshard.llm.common import table, texts_of
 
 WORDS = re.compile(r"\w+")
 WINDOWS = (16, 32, 64)
 MAX_PASSAGE = 64
 MAX_PASSAGES = 200_000
-RARE = 8
+RARE, FEW = 8, 20
 COMMON, OTHER = -2, -1
 
 
@@ -67,16 +68,15 @@ class Index:
 def corpus_frequencies(docs: DataFrame, vocabulary: set[str], text_col: str) -> tuple[int, Counter]:
     """Rows, and in how many of them each benchmark word occurs."""
 
-    def counted(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        n, rows = Counter(), 0
+    def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        n: Counter = Counter()
         for b in batches:
-            for t in b["t"]:
+            for t in texts_of(b.column("t")):
                 n.update(vocabulary.intersection(words(t)))
-            rows += len(b)
-        n[""] = rows
-        yield pd.DataFrame({"term": list(n), "n": list(n.values())})
+            n[""] += b.num_rows
+        yield pa.RecordBatch.from_arrays([pa.array(list(n), pa.string()), pa.array(list(n.values()), pa.int64())], names=["term", "n"])
 
-    rows = docs.select(F.col(text_col).alias("t")).mapInPandas(counted, "term string, n long").groupBy("term").agg(F.sum("n").alias("n")).collect()
+    rows = docs.select(F.col(text_col).alias("t")).mapInArrow(counted, "term string, n long").groupBy("term").agg(F.sum("n").alias("n")).collect()
     n = Counter({r[0]: r[1] for r in rows})  # one number for each word of the benchmark
     return n.pop("", 0), n
 
@@ -109,7 +109,7 @@ def latent_axes(spark: SparkSession, rows: list[tuple[list[int], list[float]]],
 def build(docs: DataFrame, benchmark: DataFrame, id_col: str = "item_id", text_col: str = "text", rank: int = 128, common: float = 0.05) -> Index | None:
     """Index of a benchmark of at most MAX_PASSAGES passages (the bound of what is broadcast).
 
-    Words in more than ``common`` of the documents count only as one of a passage's RARE rarest."""
+    Words in more than ``common`` of the documents (and in more than FEW) count only as one of a passage's RARE rarest."""
     items = benchmark.select(id_col, text_col).limit(MAX_PASSAGES + 1).collect()
     got = [(r[0], p) for r in sorted(items, key=lambda r: (r[0] is None, r[0] or 0, r[1] or "")) for p in passages(r[1])]
     if len(got) > MAX_PASSAGES or len(items) > MAX_PASSAGES:
@@ -118,7 +118,7 @@ def build(docs: DataFrame, benchmark: DataFrame, id_col: str = "item_id", text_c
         return None
     vocabulary = {w for _, p in got for w in p}
     n, df = corpus_frequencies(docs, vocabulary, text_col)
-    keep = {w for w in vocabulary if df[w] <= common * n}
+    keep = {w for w in vocabulary if df[w] <= max(common * n, FEW)}
     for _, p in got:
         keep.update(sorted(set(p), key=lambda w: (df[w], w))[:RARE])
     term = {w: i for i, w in enumerate(sorted(keep))}
@@ -182,38 +182,40 @@ def judge(index: Index, w: list[str], found: list[tuple[int, int, int, float]])
 
 
 def search(docs: DataFrame, index: Index | None, keep: list[str], text_col: str = "text", least: float = 0.35) -> DataFrame:
-    """``keep`` columns, item, cosine, lcs and answer of the best passage for every row (null item: no candidate).
+    """``keep`` columns, item_, cosine_, lcs_ and answer_ of the best passage for every row (null item: no candidate).
 
     Null and empty texts have none. Of equally supported passages the one first in item order is told."""
-    extra = docs.select(*keep).withColumns({"item": F.lit(None).cast("long"), "cosine": F.lit(0.0), "lcs": F.lit(0.0), "answer": F.lit(0.0)})
+    extra = docs.select(*keep).withColumns({"item_": F.lit(None).cast("long"), "cosine_": F.lit(0.0), "lcs_": F.lit(0.0), "answer_": F.lit(0.0)})
     if index is None:
         return extra
     shared = docs.sparkSession.sparkContext.broadcast(index)
+    given = text_col if text_col in keep else "text_"
 
-    def searched(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def searched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         x = shared.value
         get = x.term.get
         for b in batches:
             got = []
-            for t in b["text_"]:
+            for t in texts_of(b.column(given)):
                 w = words(t)
                 ids = np.fromiter(map(get, w, repeat(OTHER)), np.int64, len(w))
                 got.append(judge(x, w, candidates(x, ids, least)) if (ids >= 0).any() else (None, 0.0, 0.0, 0.0))
-            item, cos, lcs, answer = zip(*got, strict=True) if got else ((), (), (), ())
-            yield b.drop(columns="text_").assign(item=pd.array(item, dtype="Int64"), cosine=cos, lcs=lcs, answer=answer)
+            item, *rest = zip(*got, strict=True) if got else ((), (), (), ())
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in keep), pa.array(item, pa.int64()), *(pa.array(r, pa.float64()) for r in rest)], names=[*keep, "item_", "cosine_", "lcs_", "answer_"])
 
-    return docs.select(*keep, F.col(text_col).alias("text_")).mapInPandas(searched, extra.schema)
+    rows = docs.select(*keep) if given == text_col else docs.select(*keep, F.col(text_col).alias("text_"))
+    return rows.mapInArrow(searched, extra.schema)
 
 
 def contaminated() -> Column:
     """A passage is leaked at seven tenths of its words in order, or at 55 % with most of its answer in a close window."""
-    return (F.col("lcs") >= 0.7) | ((F.col("lcs") >= 0.55) & (F.col("answer") >= 0.75) & (F.col("cosine") >= 0.45))
+    return (F.col("lcs_") >= 0.7) | ((F.col("lcs_") >= 0.55) & (F.col("answer_") >= 0.75) & (F.col("cosine_") >= 0.45))
 
 
 def op7_latent_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     out = search(docs, build(docs, table(spark, sf_dir, "benchmark")), ["doc_id"])
-    return out.select("doc_id", F.col("item").alias("item_id"), F.round("cosine", 4).alias("cosine"), F.round("lcs", 4).alias("lcs"), F.round("answer", 4).alias("answer"), contaminated().alias("contaminated"))
+    return out.select("doc_id", F.col("item_").alias("item_id"), F.round("cosine_", 4).alias("cosine"), F.round("lcs_", 4).alias("lcs"), F.round("answer_", 4).alias("answer"), contaminated().alias("contaminated"))
 
 
 def decontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -14,10 +14,11 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from loadshard.llm.common import table
+from loadshard.llm.common import table, texts_of
 
 #: Fixed value: each character class; the rest of ASCII is class 15, letters beyond ASCII are lower case.
 CLASSES = ("abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789", " \t\r\x0b\x0c", "\n", ".", ",", "!?", "#", "$", "%", "&", "*", "|", "\"'")
@@ -112,16 +113,15 @@ def randomised_axes(x: np.ndarray, rank: int, seed: int = 7, rounds: int = 3) ->
 def document_frequencies(docs: DataFrame, text_col: str = "text") -> tuple[int, np.ndarray]:
     """Rows and document frequencies of the terms over all documents; each partition sends one row a term."""
 
-    def counted(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        total, rows = np.zeros(TERMS + 1, np.int64), 0
+    def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(TERMS + 1, np.int64)
         for b in batches:
-            for t in b["t"]:
+            for t in texts_of(b.column("t")):
                 total[:TERMS] += term_counts(t) > 0
-            rows += len(b)
-        total[TERMS] = rows
-        yield pd.DataFrame({"term": np.arange(TERMS + 1), "n": total})
+            total[TERMS] += b.num_rows
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(TERMS + 1, dtype=np.int32)), pa.array(total)], names=["term", "n"])
 
-    got = docs.select(F.col(text_col).alias("t")).mapInPandas(counted, "term int, n long").where("n > 0").groupBy("term").agg(F.sum("n").alias("n")).collect()
+    got = docs.select(F.col(text_col).alias("t")).mapInArrow(counted, "term int, n long").where("n > 0").groupBy("term").agg(F.sum("n").alias("n")).collect()
     df = np.zeros(TERMS + 1)
     for term, n in got:
         df[term] = n
@@ -156,19 +156,22 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", max_labelled
     return model
 
 
-def score(docs: DataFrame, model: Model, keep: list[str], text_col: str = "text", block: int = 512, name: str = "score") -> DataFrame:
+def score(docs: DataFrame, model: Model, keep: list[str], text_col: str = "text", block: int = 128, name: str = "score") -> DataFrame:
     """``keep`` columns and the score, called ``name``. Null, empty and term-less texts score the sample's mean label."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
     schema = docs.select(*keep).withColumn(name, F.lit(0.0)).schema
+    given = text_col if text_col in keep else "text_"
 
-    def scored(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
         for b in batches:
-            texts = b["text_"].tolist()
-            got = [m.score(np.stack([term_counts(t) for t in texts[i : i + block]])) for i in range(0, len(texts), block)]
-            yield b.drop(columns="text_").assign(**{name: np.concatenate(got) if got else []})
+            texts, got = b.column(given), [np.zeros(0)]
+            for at in range(0, len(texts), block):
+                got.append(m.score(np.stack([term_counts(t) for t in texts.slice(at, block).to_pylist()])))
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in keep), pa.array(np.concatenate(got))], names=[*keep, name])
 
-    return docs.select(*keep, F.col(text_col).alias("text_")).mapInPandas(scored, schema)
+    rows = docs.select(*keep) if given == text_col else docs.select(*keep, F.col(text_col).alias("text_"))
+    return rows.mapInArrow(scored, schema)
 
 
 def op9_neighbour_votes(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -31,13 +31,13 @@ KEYS = ((0, 1), (1, 0), (2, 0))
 @lru_cache(1)
 def golay_table() -> np.ndarray:
     """Codeword index of each of the 2^23 words: spheres of radius three around codewords fill the space."""
-    index = np.arange(4096, dtype=np.int64)
+    index = np.arange(4096, dtype=np.int32)
     rest = index << 11
     for bit in range(22, 10, -1):
         rest ^= np.where(rest >> bit & 1, GOLAY_POLYNOMIAL << (bit - 11), 0)
     errors = [sum(1 << b for b in bits) for n in range(4) for bits in combinations(range(23), n)]
     out = np.empty(1 << 23, np.int16)
-    out[((index << 11) | rest)[:, None] ^ np.array(errors)[None, :]] = index[:, None]
+    out[((index << 11) | rest)[:, None] ^ np.array(errors, np.int32)[None, :]] = index[:, None]
     return out
 
 
@@ -59,8 +59,8 @@ def golay_keys(fingerprints: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def _keyed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     for b in batches:
-        for at in range(0, len(b), 20_000):
-            part = b.iloc[at : at + 20_000]
+        for at in range(0, len(b), 4_000):
+            part = b.iloc[at : at + 4_000]
             fp, t = part["fp"].to_numpy(), part["t"].to_numpy()
             rows, keys = golay_keys(fp)
             yield pd.DataFrame({"t": t[rows], "fp": fp[rows], "key": keys})
@@ -68,18 +68,18 @@ def _keyed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3) -> DataFrame:
     """(rid, id, fp): 64-bit SimHash of each whole text; no words (also null): zero. rid tells repeated ids apart."""
-    base = docs.select(F.struct(F.col(id_col).alias("id"), F.xxhash64(text_col).alias("h")).alias("rid"), words_of(lower_ascii(F.col(text_col))).alias("w"))
+    base = docs.select(F.monotonically_increasing_id().alias("rid"), F.col(id_col).alias("id"), words_of(lower_ascii(F.col(text_col))).alias("w"))
     n = F.size("w")
     shifted = [F.slice("w", k + 1, F.greatest(n - shingle + 1, F.lit(0))) for k in range(shingle)]
     pieces = F.when(n >= shingle, F.arrays_zip(*(s.alias(f"w{k}") for k, s in enumerate(shifted))))
     names = [f"w{k}" for k in range(shingle)]
     short = F.array(F.struct(F.array_join("w", " ").alias(names[0]), *(F.lit(None).cast("string").alias(x) for x in names[1:])))
     cast = "array<struct<" + ",".join(f"{x}:string" for x in names) + ">>"
-    rows = base.select("rid", F.explode_outer(F.when(n >= shingle, pieces.cast(cast)).when(n > 0, short.cast(cast))).alias("s"))
+    rows = base.select("rid", "id", F.explode_outer(F.when(n >= shingle, pieces.cast(cast)).when(n > 0, short.cast(cast))).alias("s"))
     text = F.concat_ws(" ", *(F.col(f"s.{x}") for x in names))
-    hashed = rows.select("rid", F.when(F.col("s").isNotNull(), F.xxhash64(text)).alias("h"))
-    sums = hashed.groupBy("rid").agg(F.count("h").alias("n"), *_counters("h", "c"))
-    return sums.select("rid", F.col("rid.id").alias("id"), _majority("c").alias("fp"))
+    hashed = rows.select("rid", "id", F.when(F.col("s").isNotNull(), F.xxhash64(text)).alias("h"))
+    sums = hashed.groupBy("rid", "id").agg(F.count("h").alias("n"), *_counters("h", "c"))
+    return sums.select("rid", "id", _majority("c").alias("fp"))
 
 
 def _counters(h: str, name: str) -> list[Column]:
