@@ -1,0 +1,443 @@
+"""Each operator against brute force on small fixtures with nulls, empties, repeats, ties and clashing columns."""
+
+from __future__ import annotations
+
+import hashlib
+import re
+from collections import Counter
+
+import numpy as np
+import pytest
+import xxhash
+from pyspark.sql import functions as F
+
+from loadshard.llm import latentdecon, linededup, mixing, neighbours, secretspans, simhash, surrogates, tokencount, urlrules, weightedsampling
+from loadshard.llm.common import cluster_sets, connected_components
+
+WORD = r"[^\x20\x09-\x0D]+"
+LOW = {i: i + 32 for i in range(65, 91)}
+BODY = "the quick brown fox jumps over the lazy dog while seven wizards mix potions near a quiet river bank at dawn "
+TEXTS = [
+    (1, BODY * 3), (2, BODY * 3), (3, BODY * 2 + "changed " + BODY), (4, None), (5, ""), (6, "   \n "), (7, "One\nTwo\nOne"), (8, "x"), (9, "a b"), (None, "orphan text of no id"), (10, "ééé ñandú 日本語 " * 5),
+    (1, BODY * 3), (11, "word " * 20_000), (12, "Tie tie TIE"), (13, "tail\n" + BODY * 3),
+]
+
+
+@pytest.fixture(scope="module")
+def docs(spark):
+    # columns whose names an operator might use inside
+    rows = [(i, t, "en", f"src{k % 3}" if k % 4 else None, len(t or ""), 0.5, k) for k, (i, t) in enumerate(TEXTS)]
+    return spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, score double, h long").cache()
+
+
+@pytest.fixture(scope="module")
+def none(docs):
+    return docs.where("false")
+
+
+def words(t):
+    return re.findall(WORD, (t or "").translate(LOW))
+
+
+# 1 ------------------------------------------------------------------------------------------------
+
+
+def test_op1_edits_and_fingerprints(docs, none):
+    got = weightedsampling.edited_pairs(docs).collect()
+    assert len(got) == len(TEXTS)
+    ids = [(i, t or "") for i, t in TEXTS]
+    order = sorted([x for x in ids if x[0] is not None], key=lambda x: -x[0]) + [x for x in ids if x[0] is None]
+    by = Counter((r["id"], r["n_chars"], r["edited_sha256"]) for r in got)
+    for k, (i, t) in enumerate(order):
+        n = order[(k + 1) % len(order)][1]
+        third = len(t) // 3
+        assert by[i, len(t), hashlib.sha256((t[: len(t) - third] + n[:third]).encode()).hexdigest()] >= 1
+    fp = {r["id"]: r["fingerprint"] for r in got}
+    assert fp[1] == fp[2] != fp[3] and set(fp[4]) == {"0"} == set(fp[5])
+    assert all(0 <= r["near_edited"] <= 1 and 0 <= r["near_next"] <= 1 for r in got)
+    assert weightedsampling.edited_pairs(none).count() == 0
+    assert {r["fp"] for r in weightedsampling.fingerprints(docs).where("id = 1").collect()} == {fp[1]}
+
+
+def test_op1_collision_rate_is_generalised_jaccard(spark):
+    rng = np.random.default_rng(0)
+    pairs = []
+    for k in range(60):
+        a, b = (Counter({f"{k}w{w}": int(n) for w, n in zip(rng.integers(0, 80, 60), rng.integers(1, 9, 60))}) for _ in range(2))
+        pairs.append((k, " ".join(a.elements()), " ".join(b.elements()), sum((a & b).values()) / sum((a | b).values())))
+    df = spark.createDataFrame(pairs, "k long, a string, b string, j double")
+    fa = weightedsampling.fingerprints(df, "k", "a", 256).withColumnRenamed("fp", "x")
+    fb = weightedsampling.fingerprints(df, "k", "b", 256).withColumnRenamed("fp", "y")
+    got = fa.join(fb, "id").join(df.select(F.col("k").alias("id"), "j"), "id").withColumn("s", weightedsampling.likeness(F.col("x"), F.col("y"), 256)).collect()
+    gap = [r["s"] - r["j"] for r in got]
+    assert abs(np.mean(gap)) < 0.015 and np.std(gap) < 0.05
+
+
+# 2 ------------------------------------------------------------------------------------------------
+
+RULES = urlrules.RULES
+URLS = [
+    (1, "http://a.Example.COM/en/825?x=1", ""), (2, "https://example.com/en/7", ""), (3, "ftp://b.example.net/de/8", None), (4, "http://c.net/de", ""), (5, "http://net/de/", ""), (6, None, "<p>"), (7, "no scheme", ""), (8, "://", ""), (9, "http://x.org#f/es/", ""),
+    (10, "http://alias.info/a", '<link rel="canonical" href="http://q.com/en/1">'), (11, "http://chain.info/b", '<meta http-equiv="refresh" content="0; url=http://alias.info/a">'), (12, "http://saved.info/", '<link href="http://example.com/en/77" rel=canonical>'),
+    (13, "http://both.info/", "<link rel='canonical' href='/other'><link rel=canonical href=http://q.com/en/2>"), (13, "http://both.info/", ""), (14, "http://both.info/other", ""), (15, "http://free.info/", ""), (16, "http://saved.info/", '<link rel="canonical" href="http://z.com/en/x">'),
+]
+
+
+def test_op2(spark):
+    df = spark.createDataFrame([(i, u, h, "key", "x") for i, u, h in URLS], "page_id long, url string, html string, rule string, component string")
+    got = sorted(urlrules.judge_pages(df).collect(), key=lambda r: (r["id"], str(r["verdict"])))
+    assert len(got) == len(URLS)
+
+    def parts(u):
+        if u is None or "://" not in u:
+            return "", ""
+        rest = u.split("://", 1)[1]
+        host = re.match(r"[^/?#]*", rest)[0]
+        return host.translate(LOW), re.match(r"[^?#]*", rest[len(host) :])[0]
+
+    want = {}
+    for i, u, _ in URLS:
+        h, p = parts(u)
+        fit = [(len(rh + rp), v, rh + rp) for v, rh, rp in RULES if (h == rh or h.endswith("." + rh)) and p.startswith(rp)]
+        want[i] = (h, p, max(fit)[2] if fit else None, max(fit)[1] if fit else None)
+    aliases = {10: "block", 11: "block", 12: "allow", 13: "block", 14: "block", 16: "allow"}
+    for r in got:
+        h, p, rule, verdict = want[r["id"]]
+        assert (r["host"], r["path"], r["rule"]) == (h, p, rule)
+        assert r["verdict"] == (verdict or aliases.get(r["id"], "allow")), r
+    extra = spark.createDataFrame([("http://free.info/", "http://alias.info/a")], "a string, b string")
+    assert urlrules.judge_pages(df, redirects=extra).where("id = 15").first()["verdict"] == "block"
+    assert urlrules.judge_pages(df.where("false")).count() == 0
+    assert {r["verdict"] for r in urlrules.judge_pages(df, rules=()).collect()} == {"allow"}
+
+
+# 3 ------------------------------------------------------------------------------------------------
+
+
+def test_op3(spark):
+    rows = [
+        (1, "mail Ann.Lee7@mail5.example.com or ann.lee7@MAIL5.example.com, call +1 (706) 555-3138 now"), (2, "same +17065553138 and bob@mail5.example.com"), (3, "card 4111111111111111 and 4111-1111-1111-1111, not 1234"), (4, None), (5, ""),
+        (6, "ip 10.20.30.40, ssn 123-45-6789, iban DE89370400440532013000."), (7, "Mr Jack Smith met Mrs Eva Jones; Mr Jack Smith left. Господин Иванов"), (8, "clean text 3.14, 2024-05-06 and v1.2.3.4.5"), (1, "mail Ann.Lee7@mail5.example.com or ann.lee7@MAIL5.example.com, call +1 (706) 555-3138 now"), (None, "x@y.org"),
+    ]
+    df = spark.createDataFrame([(*r, "m") for r in rows], "doc_id long, text string, kind string")
+    got = surrogates.replace_entities(df).collect()
+    assert len(got) == len(rows) and got[0].asDict().keys() == {"doc_id", "text", "kind", "mentions_"}
+    text = {r["doc_id"]: r["text"] for r in got}
+    assert text[4] is None and text[5] == "" and text[8] == rows[7][1]
+    mails = re.findall(r"\S+@\S+\w", text[1])
+    assert mails[0].lower() == mails[1].lower() != "ann.lee7@mail5.example.com" and mails[0][0].isupper()
+    assert re.findall(r"@(\S+)", text[2])[0].lower() == mails[0].split("@")[1].lower().rstrip(",")
+    phone = re.search(r"\+1 \(\d{3}\) \d{3}-\d{4}", text[1])[0]
+    assert re.sub(r"\D", "", phone) == re.search(r"\+(\d{11})", text[2])[1] != "17065553138"
+    a, b = re.search(r"card (\d{16}) and (\d{4}-\d{4}-\d{4}-\d{4})", text[3]).groups()
+    assert a == b.replace("-", "") != "4111111111111111" and sum(sum(divmod(int(d) * (1 + k % 2), 10)) for k, d in enumerate(reversed(a))) % 10 == 0
+    assert re.fullmatch(r"ip (\d{1,3}\.){3}\d{1,3}, ssn \d{3}-\d{2}-\d{4}, iban DE\d{20}\.", text[6]) and "10.20.30.40" not in text[6]
+    m = re.fullmatch(r"Mr (\w+ \w+) met Mrs (\w+) (\w+); Mr (\w+ \w+) left\. Господин (\w+)", text[7])
+    assert m[1] == m[4] and m[1].split()[0] in surrogates.FIRST["latin", "m"].split() and m[2] in surrogates.FIRST["latin", "f"].split() and re.fullmatch("[А-я]+", m[5])
+    again = {r["doc_id"]: r["text"] for r in surrogates.replace_entities(df, bound=0).collect()}
+    assert again == text
+    assert surrogates.replace_entities(df, key="other").where("doc_id = 2").first()["text"] != text[2]
+    assert surrogates.replace_entities(df.where("false")).count() == 0
+
+
+def test_op3_collisions_are_raised(spark, monkeypatch):
+    rows = [(f"1{k:01d}.1.1.{k}",) for k in range(1, 9)]
+    m = surrogates.described(spark.createDataFrame(rows, "m string"))
+    monkeypatch.setattr(surrogates, "_byte", lambda stream, i: F.conv(F.substring(stream, 1, 1), 16, 10).cast("int") % 4)  # four surrogates for all
+    with pytest.raises(RuntimeError):
+        surrogates.assign(m, "k", max_rounds=3)
+    monkeypatch.setattr(surrogates, "_byte", lambda stream, i: F.conv(F.substring(stream, 1, 2), 16, 10).cast("int") % 40)
+    got = surrogates.with_surrogates(m.join(surrogates.assign(m, "k"), ["kind", "canon"]), "k").collect()
+    assert len({r["s"] for r in got}) == 8 and not {r["s"] for r in got} & {r[0] for r in rows} and max(r["attempt"] for r in got) > 0
+
+
+# 4 ------------------------------------------------------------------------------------------------
+
+
+def test_op4(spark, docs, none):
+    base = "this line of some length tells about an offer that ends on friday the first of may"
+    rows = [(2, f"{base}\nunique line of the second document\n\nshort"), (1, f"header of one\n{base}\n{base}s"), (3, "short\nshort\n  \n" + base[:40]), (None, "null id line"), (4, None), (5, ""), (3, "short\nshort\n  \n" + base[:40])]
+    df = spark.createDataFrame([(*r, 7, "z") for r in rows], "doc_id long, text string, n long, line string")
+    got = {(r["doc_id"], k): r for k, r in enumerate(linededup.dedup_lines(df).orderBy(F.col("doc_id").asc_nulls_first()).collect())}
+    text = {i: r["text"] for (i, _), r in got.items()}
+    assert text[1] == f"header of one\n{base}" and text[2] == "unique line of the second document\n\nshort"
+    assert text[3] == "  \n" + base[:40] and text[4] is None and text[5] == "" and text[None] == "null id line"
+    assert len(got) == 7 and {r["n_removed_"] for (i, _), r in got.items() if i == 1} == {1}
+    assert linededup.dedup_lines(none).count() == 0
+    assert linededup.dedup_lines(docs).count() == len(TEXTS)
+
+
+def test_op4_bands_meet_alike_lines_of_both_kinds():
+    rng = np.random.default_rng(1)
+    pick = lambda n: "".join(rng.choice(list("abcdefgh ijklmn"), n))
+    lines = []
+    for n in [10, 40, 120, 240, 251, 300, 319, 330, 700] * 6:
+        a = pick(n)
+        lines += [a, a[:-1] + "#" if n < 60 else a[: n // 2] + "#" + a[n // 2 + 1 :]]
+    keys = linededup.band_keys(lines)
+    alike = met = 0
+    for i in range(0, len(lines), 2):
+        a, b = linededup.shingle_set(lines[i]), linededup.shingle_set(lines[i + 1])
+        if len(a & b) >= 0.8 * len(a | b):
+            alike += 1
+            met += bool(((keys[i] == keys[i + 1]) & (keys[i] != linededup.EMPTY)).any())
+    assert alike > 30 and met >= 0.97 * alike
+
+
+def test_cluster_sets_is_exact():
+    rng = np.random.default_rng(2)
+    sets = [frozenset(rng.integers(0, 14, 8).tolist()) for _ in range(60)]
+    alike = lambda a, b: len(a & b) >= 0.6 * len(a | b)
+    root = list(range(60))
+    for _ in range(60):
+        for i in range(60):
+            for j in range(60):
+                if alike(sets[i], sets[j]):
+                    root[i] = root[j] = min(root[i], root[j])
+    assert cluster_sets(list(range(60)), sets, 0.6) == root
+
+
+def test_large_groups_in_parts(spark):
+    base = "a line that many documents share but for a number at its end, which is never the same: "
+    df = spark.createDataFrame([(k, f"{base}{k:04d}") for k in range(300)], "doc_id long, text string")
+    got = linededup.line_classes(df, "text", 0.8, part_lines=40)
+    assert got.count() == 300 and got.select("root").distinct().count() == 1
+
+
+# 5 ------------------------------------------------------------------------------------------------
+
+
+def test_golay_code_is_perfect():
+    t = simhash.golay_table()
+    assert np.bincount(t).tolist() == [2048] * 4096
+    rng = np.random.default_rng(3)
+    for _ in range(300):
+        a = int(rng.integers(0, 2**63))
+        b = a
+        for bit in rng.choice(63, int(rng.integers(0, 3)), replace=False):
+            b ^= 1 << int(bit)
+        ka, kb = (set(simhash.golay_keys(np.array([x], np.int64))[1].tolist()) for x in (a, b))
+        assert ka & kb
+
+
+def sim(t):
+    w = words(t)
+    s = [" ".join(w[i : i + 3]) for i in range(len(w) - 2)] if len(w) > 2 else [" ".join(w)] * bool(w)
+    n = [sum(xxhash.xxh64_intdigest(x.encode(), seed=42) >> k & 1 for x in s) for k in range(64)]
+    return sum(1 << k for k in range(64) if 2 * n[k] > len(s)) if s else 0
+
+
+@pytest.mark.parametrize("cap", [64, 1])
+def test_op5(docs, none, cap):
+    got = simhash.components(docs, bucket_cap=cap).collect()
+    assert len(got) == len(TEXTS)
+    fps = [(i, sim(t)) for i, t in TEXTS]
+    comp = {k: i for k, (i, _) in enumerate(fps)}
+    key = lambda v: 1 << 60 if v is None else v
+    for _ in fps:
+        for a, (_, x) in enumerate(fps):
+            for b, (_, y) in enumerate(fps):
+                if (x ^ y).bit_count() <= 2:
+                    comp[a] = comp[b] = min(comp[a], comp[b], key=key)
+    assert Counter((r["id"], r["fp"] & (2**64 - 1), r["component_id"]) for r in got) == Counter((i, f, comp[k]) for k, (i, f) in enumerate(fps))
+    assert simhash.components(none).count() == 0
+
+
+def test_near_dedup_keeps_one_of_each_group(spark, docs, none):
+    rng = np.random.default_rng(4)
+    vocabulary = [f"w{k}" for k in range(4000)]
+    rows = []
+    for g in range(12):
+        w = list(rng.choice(vocabulary, 220))
+        for c in range(4):
+            x = list(w)
+            for at in rng.choice(220, c, replace=False):
+                x[at] = "edit"
+            rows.append((g * 10 + c, " ".join(x)))
+        rows.append((g * 10 + 9, " ".join(rng.choice(vocabulary, 220))))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    kept = {r["doc_id"] for r in simhash.near_deduped(spark, df, "").collect()}
+    assert {g * 10 for g in range(12)} | {g * 10 + 9 for g in range(12)} <= kept
+    assert len(kept) <= 24 + 4
+    assert simhash.near_deduped(spark, none, "").count() == 0
+    out = simhash.near_deduped(spark, docs, "").collect()
+    assert len([r for r in out if r["text"] in (None, "")]) == 1 and len([r for r in out if r["doc_id"] == 1]) == 1
+
+
+def test_components(spark):
+    edges = spark.createDataFrame([(1, 2), (2, 3), (3, 1), (7, 7), (9, 8), (8, 9), (10, 9), (None, 4)] + [(100 + k, 101 + k) for k in range(40)] + [(500, 600 + k) for k in range(200)], "a long, b long")
+    got = {r[0]: r[1] for r in connected_components(edges).collect()}
+    assert got == {1: 1, 2: 1, 3: 1, 8: 8, 9: 8, 10: 8} | {100 + k: 100 for k in range(41)} | {500: 500} | {600 + k: 500 for k in range(200)}
+    assert connected_components(edges.where("false")).count() == 0
+
+
+# 6 ------------------------------------------------------------------------------------------------
+
+
+def test_op6(spark, docs, none):
+    rng = np.random.default_rng(5)
+    rows = [(k, "w " * int(rng.integers(0, 900)), None if k % 7 == 0 else f"s{k % 5}") for k in range(300)] + [(1000, None, "s1"), (None, "a b c", "s2"), (5, "x y", "s3"), (5, "x y", "s3")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    out, blocks, slots = mixing.mix(df, shard_slots=512)
+    got = out.collect()
+    assert len(got) == len(rows)
+    size = Counter()
+    for _, t, s in rows:
+        size[s] += len((t or "").split())
+    order = sorted([s for s in size if s]) + [None]
+    weight = {s: (5, 2, 1)[k % 3] for k, s in enumerate(order)}
+    total, capped = 1.5 * sum(size.values()), {}
+    while True:
+        free = [s for s in order if s not in capped]
+        level = (total - sum(capped.values())) / sum(weight[s] for s in free)
+        over = [s for s in free if level * weight[s] > 2 * size[s]]
+        if not over:
+            break
+        capped |= {s: 2.0 * size[s] for s in over}
+    taken = Counter()
+    for r in got:
+        assert r["size"] * 2 >= r["taken"] >= 0 and r["source_size"] == size[r["source"]]
+        assert r["target"] == pytest.approx(capped.get(r["source"], level * weight[r["source"]]))
+        taken[r["source"]] += r["taken"]
+    for s in order:
+        assert taken[s] == pytest.approx(capped.get(s, level * weight[s]), abs=128)
+    again = sorted((str(r["id"]), r["key"], r["taken"]) for r in mixing.mix(df.repartition(7), shard_slots=512)[0].collect())
+    assert again == sorted((str(r["id"]), r["key"], r["taken"]) for r in got)
+    s = slots.toPandas()
+    assert (s.groupby(["sid", "b"]).size() <= 2).all() and not s.duplicated(["sid", "i"]).any() and s.groupby("shard").size().max() == 512
+    assert blocks.groupBy("sid", "b").agg(F.sum("words").alias("n")).where("n > 64").count() == 0
+    assert mixing.mix(none)[0].count() == 0 and mixing.mix(docs)[0].count() == len(TEXTS)
+
+
+def test_permutation(spark):
+    for n in (1, 2, 7, 64, 1000):
+        x = [r[0] for r in spark.range(n).select(mixing.permuted(F.col("id"), F.lit(n).cast("long"), [F.lit(3), F.lit(0), F.lit(1)])).collect()]
+        assert sorted(x) == list(range(n)) and (n < 64 or x != sorted(x))
+
+
+# 7 ------------------------------------------------------------------------------------------------
+
+
+def lcs(a, b):
+    row = [0] * (len(b) + 1)
+    for x in a:
+        new = [0]
+        for j, y in enumerate(b):
+            new.append(row[j] + 1 if x == y else max(row[j + 1], new[-1]))
+        row = new
+    return row[-1]
+
+
+def test_lcs():
+    rng = np.random.default_rng(6)
+    for _ in range(60):
+        a, b = (list(map(str, rng.integers(0, 6, int(rng.integers(0, 30))))) for _ in range(2))
+        assert latentdecon.lcs_length(a, b) == lcs(a, b)
+
+
+def test_op7(spark, docs, none):
+    rng = np.random.default_rng(7)
+    vocabulary = [f"term{k}" for k in range(3000)]
+    items = [(k, " ".join(rng.choice(vocabulary, int(rng.integers(15, 60))))) for k in range(30)]
+    fill = lambda n: " ".join(rng.choice(vocabulary, n))
+    rows = []
+    for k, t in items[:10]:
+        w = t.split()
+        swapped = [("other" if j % 5 == 2 else x) for j, x in enumerate(w)]
+        rows += [(k * 10, f"{fill(70)} {t} {fill(90)}"), (k * 10 + 1, f"{fill(33)} {' '.join(swapped)} {fill(40)}"), (k * 10 + 2, fill(150))]
+    df = spark.createDataFrame([*rows, (None, items[0][1]), (900, None), (901, "")], "doc_id long, text string").withColumn("item", F.lit("x"))
+    bench = spark.createDataFrame([*items, (99, None), (98, "")], "item_id long, text string")
+    got = latentdecon.search(df, latentdecon.build(df, bench, rank=30), ["doc_id", "item"]).withColumn("bad", latentdecon.contaminated()).collect()
+    by = {r["doc_id"]: r for r in got}
+    assert len(got) == len(rows) + 3 and by[None]["bad"] and not by[900]["bad"] and not by[901]["bad"]
+    for k in range(10):
+        assert by[k * 10]["bad"] and by[k * 10]["item_"] == k and by[k * 10]["lcs_"] == 1
+        assert by[k * 10 + 1]["bad"] and not by[k * 10 + 2]["bad"]
+    assert latentdecon.search(docs, latentdecon.build(docs, bench.where("false")), ["doc_id"]).where("item_ is not null").count() == 0
+    assert latentdecon.search(none, latentdecon.build(none, bench), ["doc_id"]).count() == 0
+
+
+# 8 ------------------------------------------------------------------------------------------------
+
+
+def test_op8(spark, tmp_path):
+    rows = [
+        (1, 'x token = "abcdefgh12" y é日 password:short passwd: secret = longenough1'), (2, "AKIA" + "A" * 12 + " AKIAB AKIA" + "Z9" * 9), (3, "é" * 5 + "0123456789abcdef" * 3 + "g" + "a" * 31), (4, None), (5, ""), (6, "TOKEN='a/b+c=d.e-f' api_key=12345678 APIKEY : 'zzzzzzzz'"),
+        (7, "user_name=alice99 " + "pad " * 10 + "k3yAbCdEfGhIjKlMnOpQrStUvWx at https://db.example.com/x"), (8, "user_name=alice99 " + "pad " * 200 + " k3yAbCdEfGhIjKlMnOpQrStUvWx"), (9, "https://only.example.com/ here"), (1, 'x token = "abcdefgh12" y é日 password:short passwd: secret = longenough1'), (None, "secret=abcdefghijk"),
+        (10, "token = " + "deadbeef" * 5 + " " + "w " * 30_000),
+    ]
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("kind", F.lit("k"))
+    df.write.parquet(f"{tmp_path}/documents.parquet")
+    got = secretspans.op8_secret_links(spark, str(tmp_path)).collect()
+    assert len(got) == len(rows)
+    pats = {"assign": (r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", 2, 8), "access": ("AKIA[A-Z0-9]+", 0, 16), "hex": ("[0-9a-f]+", 0, 32)}
+    want = Counter()
+    for i, t in rows:
+        found = [(m.start(), k, name, m.end()) for k, (name, (p, g, n)) in enumerate(pats.items()) for m in re.finditer(p, t or "") if len(m[g]) >= n]
+        text = ",".join(f"{name}:{s}:{e}" for s, _, name, e in sorted(found))
+        c = Counter(name for _, _, name, _ in found)
+        want[i, c["assign"], c["access"], c["hex"], hashlib.sha256(text.encode()).hexdigest()] += 1
+    assert Counter(tuple(r[:5]) for r in got) == want
+    spans = {r["doc_id"]: r["spans"] for r in got}
+    assert {x.split(":")[0] for x in spans[7].split(",")} == {"ident", "opaque", "endpoint"} and spans[8] == spans[9] == ""
+
+
+# 9 ------------------------------------------------------------------------------------------------
+
+
+def test_op9(spark, docs, none, sf):
+    d = spark.read.parquet(f"{sf}/documents.parquet")
+    labels = spark.read.parquet(f"{sf}/labels.parquet")
+    got = neighbours.op9_neighbour_votes(spark, sf).join(labels, "doc_id").collect()
+    held = [r for r in got if r["held_out"]]
+    assert held and np.mean([r["predicted"] == r["quality"] for r in held]) >= 0.9
+    m = neighbours.fit(d, labels)
+    assert len(m.labels) <= 4000
+    out = neighbours.score(docs, m, docs.columns, name="s").collect()
+    assert len(out) == len(TEXTS) and all(0 <= r["s"] <= 1 for r in out)
+    assert {r["s"] for r in out if not r["text"]} == {m.prior}
+    assert neighbours.score(none, m, ["doc_id"]).count() == 0
+    empty = neighbours.fit(none, labels)
+    assert {r["score"] for r in neighbours.score(docs, empty, ["doc_id"]).collect()} == {0.5}
+
+
+def test_op9_cosines_are_exact():
+    rng = np.random.default_rng(8)
+    x = rng.random((40, neighbours.TERMS)).astype(np.float32)
+    axes = neighbours.randomised_axes(x, 5)
+    m = neighbours.Model(np.ones(neighbours.TERMS, np.float32), axes, np.zeros((0, 5)), rng.integers(0, 2, 40).astype(float), 0.5, 7, 3.0)
+    m.vectors = m.latent(x)
+    y = rng.random((3, neighbours.TERMS)).astype(np.float32)
+    for v, s in zip(m.latent(y), m.score(y), strict=True):
+        near = sorted(((float(v @ u), l) for u, l in zip(m.vectors, m.labels, strict=True)), reverse=True)[:7]
+        w = [max(c, 0) ** 3 for c, _ in near]
+        assert s == pytest.approx(sum(a * l for a, (_, l) in zip(w, near, strict=True)) / sum(w), abs=1e-4)
+
+
+# 10 -----------------------------------------------------------------------------------------------
+
+
+def test_op10(spark, docs, none):
+    from tokenizers import Tokenizer
+
+    path = tokencount.vocabulary_path()
+    lib, mine = Tokenizer.from_file(path), tokencount.transducer(path)
+    rng = np.random.default_rng(9)
+    alphabet = list("abcdefgh  \n\tABC123'é日!?.<|>sotn　$$%%") + ["<|endoftext|>", "don't", " the", "\u0085", "\x1c"]
+    texts = ["".join(rng.choice(alphabet, int(rng.integers(0, 70)))) for _ in range(1500)] + [t or "" for _, t in TEXTS]
+    want = [len(e.ids) for e in lib.encode_batch(texts, add_special_tokens=False)]
+    assert [mine.count(t) for t in texts] == want
+    for chunk in (1, 5, 64):
+        assert [tokencount.scan(mine, t, chunk) if t else 0 for t in texts[:400]] == want[:400]
+    got = tokencount.token_counts(docs, path, chunk_chars=50).collect()
+    known = {i: n for (i, _), n in zip(TEXTS, want[1500:], strict=True)}
+    assert len(got) == len(TEXTS) and all(r["n_tokens"] == known[r["doc_id"]] for r in got)
+    assert {r["n_bytes"] for r in got if r["doc_id"] == 10} == {len(TEXTS[10][1].encode())}
+    assert tokencount.token_counts(none, path).count() == 0
+
+
+def test_op10_maps_compose_in_any_order():
+    t = tokencount.transducer(tokencount.vocabulary_path())
+    text = "one two  three\n\nfour<|endoftext|> five sixseven   "
+    a, b, c = (t.chunk_map(x) for x in (text[:13], text[13:30], text[30:]))
+    assert t.total(t.compose(t.compose(a, b), c)) == t.total(t.compose(a, t.compose(b, c))) == t.count(text)
