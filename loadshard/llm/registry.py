@@ -6,6 +6,7 @@ from loadshard.llm.latentdecon import op7_latent_decontamination
 from loadshard.llm.linededup import op4_fuzzy_lines
 from loadshard.llm.mixing import op6_multinomial_blocks
 from loadshard.llm.neighbours import op9_neighbour_votes
+from loadshard.llm.oracles import ORACLES
 from loadshard.llm.secretspans import op8_secret_links
 from loadshard.llm.simhash import op5_simhash_golay
 from loadshard.llm.surrogates import op3_surrogates
@@ -25,4 +26,5 @@ QUERIES = {
     "op9_neighbour_votes": op9_neighbour_votes,
     "op10_token_counts": op10_token_counts,
 }
-ORACLES: dict[str, str] = {}
+
+__all__ = ["ORACLES", "QUERIES"]

@@ -441,3 +441,19 @@ def test_op10_maps_compose_in_any_order():
     text = "one two  three\n\nfour<|endoftext|> five sixseven   "
     a, b, c = (t.chunk_map(x) for x in (text[:13], text[13:30], text[30:]))
     assert t.total(t.compose(t.compose(a, b), c)) == t.total(t.compose(a, t.compose(b, c))) == t.count(text)
+
+
+def test_op2_sql(spark, tmp_path):
+    import duckdb
+    import pandas as pd
+
+    from loadshard.llm.oracles import ORACLES
+
+    pages = pd.DataFrame(URLS, columns=["page_id", "url", "html"])
+    spark.createDataFrame([tuple(x) for x in URLS], "page_id long, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    con = duckdb.connect()
+    con.register("pages", pages)
+    got = urlrules.op2_redirect_equivalence(spark, str(tmp_path))
+    want = con.execute(ORACLES["op2_redirect_equivalence"]).fetchall()
+    names = [c[0] for c in con.description]
+    assert Counter(map(tuple, got.select(*names).collect())) == Counter(want)
