@@ -13,7 +13,6 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -139,21 +138,29 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", max_labelled
     rows = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.avg(label).alias("y"))
     chosen = rows.orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_labelled)
 
-    def counted(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pd.DataFrame({"doc_id": b["doc_id"], "y": b["y"], "v": [term_counts(t).astype(np.float16).tobytes() for t in b["t"]]})
+            at, v = [], []
+            for t in texts_of(b.column("t")):
+                c = term_counts(t)
+                at.append(np.flatnonzero(c).astype(np.uint16).tobytes())
+                v.append(c[c != 0].astype(np.float16).tobytes())
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("y"), pa.array(at, pa.binary()), pa.array(v, pa.binary())], names=["doc_id", "y", "at", "v"])
 
-    found = docs.select("doc_id", F.col("text").alias("t")).join(F.broadcast(chosen), "doc_id").mapInPandas(counted, "doc_id long, y double, v binary").orderBy("doc_id", "v").collect()
+    found = docs.select("doc_id", F.col("text").alias("t")).join(F.broadcast(chosen), "doc_id").select("doc_id", "y", "t").mapInArrow(counted, "doc_id long, y double, at binary, v binary").orderBy("doc_id", "at", "v").collect()
     if not found:
-        z = np.zeros((0, 1), np.float32)
-        return Model(weight, np.zeros((TERMS, 1), np.float32), z, np.zeros(0), 0.5, neighbours, power)
-    x = np.stack([np.frombuffer(r["v"], np.float16) for r in found]).astype(np.float32)
-    y = np.array([r["y"] for r in found])
-    xw = x * weight
-    axes = randomised_axes(xw / np.maximum(np.linalg.norm(xw, axis=1, keepdims=True), 1e-9), rank)
-    model = Model(weight, axes, np.zeros((0, axes.shape[1]), np.float32), y, float(y.mean()), neighbours, power)
-    model.vectors = model.latent(x)
-    return model
+        return Model(weight, np.zeros((TERMS, 1), np.float32), np.zeros((0, 1), np.float32), np.zeros(0), 0.5, neighbours, power)
+    # one matrix of the sample, changed in place: the driver holds max_labelled rows of floats and no copies
+    x, y = np.zeros((len(found), TERMS), np.float32), np.array([r["y"] for r in found])
+    for row, r in zip(x, found, strict=True):
+        row[np.frombuffer(r["at"], np.uint16)] = np.frombuffer(r["v"], np.float16)
+    del found
+    x *= weight
+    x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-9)
+    axes = randomised_axes(x, rank)
+    vectors = x @ axes
+    vectors /= np.maximum(np.linalg.norm(vectors, axis=1, keepdims=True), 1e-9)
+    return Model(weight, axes, vectors, y, float(y.mean()), neighbours, power)
 
 
 def score(docs: DataFrame, model: Model, keep: list[str], text_col: str = "text", block: int = 128, name: str = "score") -> DataFrame:
