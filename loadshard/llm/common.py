@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import math
 import tempfile
 import uuid
+from collections import Counter, defaultdict
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -109,29 +111,90 @@ def cluster_sets(names: list, sets: list[frozenset], threshold: float) -> list:
     return out
 
 
-def classes_in_groups(rows: DataFrame, value: str, fn: Callable[[list, list], list]) -> DataFrame:
-    """(h, root): ``fn(names, values)`` gives the class of each row of a (group, part) of rows (h, group, part, value).
+def merged_sides(names: list, roots: list, sides: list, sets: list[frozenset], threshold: float) -> list:
+    """Class of each set after two sides, each clustered before into ``roots``, are compared set by set: the smallest
+    root linked to it. Exact: alike sets share one of their rarest members, which is all that the prefixes leave out."""
+    parent = {r: r for r in roots}
+
+    def find(r):
+        while parent[r] != r:
+            parent[r] = r = parent[parent[r]]
+        return r
+
+    count = Counter(x for s in sets for x in s)
+    prefix = lambda s: sorted(s, key=lambda x: (count[x], x))[: len(s) - math.ceil(threshold * len(s) - 1e-9) + 1]
+    at = defaultdict(list)
+    for i, s in enumerate(sets):
+        if not sides[i]:
+            for x in prefix(s):
+                at[x].append(i)
+    for j, b in enumerate(sets):
+        if not sides[j]:
+            continue
+        met = set()
+        for x in prefix(b):
+            for i in at.get(x, ()):
+                if i in met:
+                    continue
+                met.add(i)
+                a, r, q = sets[i], find(roots[i]), find(roots[j])
+                if r != q and (both := len(a & b)) >= threshold * (len(a) + len(b) - both):
+                    parent[max(r, q)] = min(r, q)
+    return [find(r) for r in roots]
+
+
+def classes_in_groups(rows: DataFrame, value: str, fn: Callable[..., list], also: tuple[str, ...] = ()) -> DataFrame:
+    """(h, root): ``fn(names, values, *also)`` gives the class of each row of a (group, part) of rows (h, group, part,
+    value, *also).
 
     Groups are read one after the other from sorted partitions, so that many small ones cost no call of their own;
     memory is that of the largest group."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        current, names, values = None, [], []
+        current, held = None, [[] for _ in range(2 + len(also))]
         for b in batches:
-            g, part, h, v = b.column("group").to_numpy(), b.column("part").to_numpy(), b.column("h").to_numpy(), b.column(value)
+            g, part, columns = b.column("group").to_numpy(), b.column("part").to_numpy(), [b.column(c) for c in ("h", value, *also)]
             cuts = [0, *(np.flatnonzero((g[1:] != g[:-1]) | (part[1:] != part[:-1])) + 1), len(g)]
             done_names, done_roots = [], []
             for i, j in zip(cuts[:-1], cuts[1:], strict=True):
                 if j == i:
                     continue
                 if (g[i], part[i]) != current:
-                    done_names += names
-                    done_roots += fn(names, values) if names else []
-                    current, names, values = (g[i], part[i]), [], []
-                names += h[i:j].tolist()
-                values += v.slice(i, j - i).to_pylist()
+                    done_names += held[0]
+                    done_roots += fn(*held) if held[0] else []
+                    current, held = (g[i], part[i]), [[] for _ in columns]
+                for to, c in zip(held, columns, strict=True):
+                    to += c.slice(i, j - i).to_pylist()
             yield pa.RecordBatch.from_arrays([pa.array(done_names, pa.int64()), pa.array(done_roots, pa.int64())], names=["h", "root"])
-        if names:
-            yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(fn(names, values), pa.int64())], names=["h", "root"])
-
-    return rows.select("h", "group", "part", value).repartition("group", "part").sortWithinPartitions("group", "part").mapInArrow(run, "h long, root long")
+        if held[0]:
+            yield pa.RecordBatch.from_arrays([pa.array(held[0], pa.int64()), pa.array(fn(*held), pa.int64())], names=["h", "root"])
+
+    return rows.select("h", "group", "part", value, *also).repartition("group", "part").sortWithinPartitions("group", "part").mapInArrow(run, "h long, root long")
+
+
+def classes_in_parts(held: DataFrame, value: str, set_of: Callable[[str], frozenset], threshold: float) -> DataFrame:
+    """(h, root) of the rows of a written table (h, group, part, value) whose class has others; exact for each group.
+
+    Parts are clustered alone. In groups of several parts one row of each part's largest cluster meets those of the
+    others, which often leaves one class; where it does not, every two parts of the group are compared, row by row."""
+    alike = lambda names, values: cluster_sets(names, [set_of(x) for x in values], threshold)
+    across = lambda names, values, roots, sides: merged_sides(names, roots, sides, [set_of(x) for x in values], threshold)
+    found = materialize(classes_in_groups(held, value, alike))
+    edges = found.where("h <> root").select(F.col("h").alias("a"), F.col("root").alias("b"))
+    spans = materialize(held.groupBy("group").agg((F.max("part") + 1).cast("long").alias("parts")).where("parts > 1"))
+    if spans.isEmpty():
+        return edges.select(F.col("a").alias("h"), F.col("b").alias("root")).union(edges.select("b", "b").distinct())
+    places = materialize(held.join(spans, "group").select("h", "group", "part", "parts").join(found, "h"))
+    sizes = places.groupBy("group", "part", "root").agg(F.count(F.lit(1)).alias("n"))
+    first = sizes.groupBy("group", "part").agg(F.max_by("root", F.struct("n", "root")).alias("h"))
+    heads = first.select("h", "group", F.lit(0).cast("long").alias("part")).join(held.select("h", value), "h")
+    edges = materialize(edges.union(classes_in_groups(heads, value, alike).where("h <> root").select("h", "root")))
+    linked = materialize(connected_components(edges))
+    labels = places.drop("root").join(linked.select(F.col("node").alias("h"), F.col("component").alias("root")), "h", "left").withColumn("root", F.coalesce("root", "h"))
+    labels = materialize(labels)
+    open_ = labels.groupBy("group").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("group")
+    pairs = labels.join(open_, "group", "left_semi").withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1))).where("other <> part")
+    pairs = pairs.select("h", "group", (F.least("part", "other") * F.col("parts") + F.greatest("part", "other")).alias("part"), "root", (F.col("part") > F.col("other")).alias("side"))
+    more = materialize(classes_in_groups(pairs.join(held.select("h", value), "h"), value, across, ("root", "side")))
+    edges = edges.union(more.where("h <> root").select("h", "root"))
+    return connected_components(edges).select(F.col("node").alias("h"), F.col("component").alias("root"))

@@ -19,7 +19,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from loadshard.llm.common import classes_in_groups, cluster_sets, connected_components, lower_ascii, materialize, table, words_of
+from loadshard.llm.common import classes_in_parts, connected_components, lower_ascii, materialize, table, words_of
 
 #: Fixed value: generator polynomial of the binary Golay code.
 GOLAY_POLYNOMIAL = 0xC75
@@ -160,7 +160,7 @@ def text_classes(docs: DataFrame, text_col: str = "text", threshold: float = 0.8
 
     Texts whose distinct words have a fingerprint within two bits under any of SEEDS are candidates; the texts of a candidate
     component are gathered once and compared by exact Jaccard similarity of word shingles. Components over PART_WORDS
-    are compared in parts, then the first texts of the parts' clusters with each other."""
+    are compared in parts, then every two parts with each other."""
     base = docs.select(F.coalesce(text_col, F.lit("")).alias("text")).withColumn("h", F.xxhash64("text"))
     # copies of a text multiply all of its counts alike, so a hash stands for its rows
     words = base.select("h", F.explode(F.array_distinct(words_of(lower_ascii(F.col("text"))))).alias("w"))
@@ -176,15 +176,7 @@ def text_classes(docs: DataFrame, text_col: str = "text", threshold: float = 0.8
     total = sized.groupBy("group").agg(F.sum("n").alias("total"))
     dealt = sized.join(total, "group").select("h", "group", F.when(F.col("total") > PART_WORDS, F.pmod(F.xxhash64("h", "group"), F.ceil(2 * F.col("total") / PART_WORDS))).otherwise(0).alias("part"))
     held = materialize(base.join(dealt, "h").groupBy("h", "group", "part").agg(F.first("text").alias("text")))
-    alike = lambda names, texts: cluster_sets(names, [shingles(t, shingle) for t in texts], threshold)
-    compare = lambda d: materialize(classes_in_groups(d, "text", alike))
-    inner = compare(held)
-    parted = held.where("part > 0").select("group").distinct()
-    edges = inner.where("h <> root").select(F.col("h").alias("a"), F.col("root").alias("b"))
-    if not parted.isEmpty():
-        heads = held.join(parted, "group", "left_semi").join(inner.where("h = root").select("h"), "h", "left_semi")
-        edges = edges.union(compare(heads.select("h", "group", F.lit(0).cast("long").alias("part"), "text")).where("h <> root").select("h", "root"))
-    return connected_components(edges).select(F.col("node").alias("h"), F.col("component").alias("root"))
+    return classes_in_parts(held, "text", lambda t: shingles(t, shingle), threshold)
 
 
 def near_deduped(spark: SparkSession, docs: DataFrame, sf_dir: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -12,7 +12,7 @@ import xxhash
 from pyspark.sql import functions as F
 
 from loadshard.llm import latentdecon, linededup, mixing, neighbours, secretspans, simhash, surrogates, tokencount, urlrules, weightedsampling
-from loadshard.llm.common import cluster_sets, connected_components
+from loadshard.llm.common import cluster_sets, connected_components, merged_sides
 
 WORD = r"[^\x20\x09-\x0D]+"
 LOW = {i: i + 32 for i in range(65, 91)}
@@ -264,6 +264,33 @@ def test_near_dedup_keeps_one_of_each_group(spark, docs, none):
     assert len([r for r in out if r["text"] in (None, "")]) == 1 and len([r for r in out if r["doc_id"] == 1]) == 1
 
 
+def test_near_copies_of_a_hub_in_parts(spark, monkeypatch):
+    rng = np.random.default_rng(14)
+    vocabulary = [f"w{k}" for k in range(60)]
+    hub = [*vocabulary, *rng.choice(vocabulary, 240)]
+    texts = [" ".join(hub)]
+    for _ in range(160):  # each like the hub, not like each other; the words of all are the same
+        x = list(hub)
+        for at in rng.choice(48, 5, replace=False):
+            x[60 + at * 5] = str(rng.choice(vocabulary))
+        texts.append(" ".join(x))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    monkeypatch.setattr(simhash, "PART_WORDS", 2_000)
+    got = simhash.text_classes(df).collect()
+    want = cluster_sets(list(range(161)), [simhash.shingles(t, 5) for t in texts], 0.8)
+    assert len(set(want)) == 1 and len(got) == len(set(texts)) and len({r["root"] for r in got}) == 1
+
+
+def test_merged_sides_is_exact():
+    rng = np.random.default_rng(15)
+    for _ in range(20):
+        sets = [frozenset(rng.integers(0, 14, 8).tolist()) for _ in range(60)]
+        names, half = list(range(60)), 30
+        roots = cluster_sets(names[:half], sets[:half], 0.6) + cluster_sets(names[half:], sets[half:], 0.6)
+        got = merged_sides(names, roots, [k >= half for k in names], sets, 0.6)
+        assert got == cluster_sets(names, sets, 0.6)
+
+
 def test_components(spark):
     edges = spark.createDataFrame([(1, 2), (2, 3), (3, 1), (7, 7), (9, 8), (8, 9), (10, 9), (None, 4)] + [(100 + k, 101 + k) for k in range(40)] + [(500, 600 + k) for k in range(200)], "a long, b long")
     got = {r[0]: r[1] for r in connected_components(edges).collect()}
