@@ -204,6 +204,20 @@ def test_large_groups_in_parts(spark):
     assert got.count() == 300 and got.select("root").distinct().count() == 1
 
 
+def test_lines_of_a_hub_in_parts(spark):
+    rng = np.random.default_rng(16)
+    hub = "".join(rng.choice(list("abcdefghijklmnopqrstuvwxyz "), 150))
+    lines = [hub]
+    for k in range(300):  # two characters apart from the hub, four from each other
+        x, at = list(hub), (rng.integers(8, 70), rng.integers(80, 142))
+        x[at[0]], x[at[1]] = str(k % 10), str(k // 10 % 10)
+        lines.append("".join(x))
+    lines = sorted(set(lines))
+    assert len(set(cluster_sets(lines, [linededup.shingle_set(x) for x in lines], 0.8))) == 1
+    got = linededup.line_classes(spark.createDataFrame(list(enumerate(lines)), "doc_id long, text string"), "text", 0.8, part_lines=40).collect()
+    assert len(got) == len(lines) and len({r["root"] for r in got}) == 1
+
+
 # 5 ------------------------------------------------------------------------------------------------
 
 
