@@ -16,10 +16,14 @@ from itertools import combinations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from loadshard.llm.common import classes_in_parts, connected_components, lower_ascii, materialize, table, words_of
+from loadshard.llm.common import classes_in_parts, connected_components, lower_ascii, materialize, table, texts_of, words_of
+from loadshard.llm.linededup import BANDS, minhash_bands
 
 #: Fixed value: generator polynomial of the binary Golay code.
 GOLAY_POLYNOMIAL = 0xC75
@@ -155,11 +159,57 @@ def shingles(text: str, size: int) -> frozenset[str]:
     return frozenset(" ".join(w[i : i + size]) for i in range(max(1, len(w) - size + 1)))
 
 
+def shingle_bands(texts: list[list[int]], size: int) -> np.ndarray:
+    """texts x BANDS keys of the shingles of texts, each given as the hashes of its words, at least one."""
+    padded = [w if len(w) >= size else w + [0] * (size - len(w)) for w in texts]
+    n = np.array([len(w) for w in padded])
+    w = np.fromiter((x for p in padded for x in p), np.uint64, n.sum())
+    h = np.zeros(len(w) - size + 1, np.uint64)
+    for k in range(size):
+        h = (h ^ w[k : k + len(h)]) * np.uint64(0x9E3779B97F4A7C15)
+        h ^= h >> np.uint64(29)
+    inside = np.ones(len(h), bool)  # windows that cross a text's end are left out
+    for k in range(1, size):
+        inside[np.cumsum(n)[:-1] - k] = False
+    n = n - size + 1
+    return minhash_bands(h[inside], np.cumsum(n) - n)
+
+
+def banded_texts(docs: DataFrame, size: int) -> DataFrame:
+    """(h, band): MinHash bands of the shingles of texts (h, text) with words; a task tells a run of equal texts once."""
+
+    def rows(held: dict[int, list[int]]) -> pa.RecordBatch:
+        keys = shingle_bands(list(held.values()), size).view(np.int64)
+        return pa.RecordBatch.from_arrays([pa.array(np.repeat(np.fromiter(held, np.int64, len(held)), BANDS)), pa.array(keys.ravel())], names=["h", "band"])
+
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known: dict[str, int] = {}
+        held: dict[int, list[int]] = {}
+        total = 0
+        for b in batches:
+            for h, t in zip(b.column("h").to_pylist(), texts_of(b.column("text")), strict=True):
+                if h in held or not (w := t.lower().split()):
+                    continue
+                for x in set(w).difference(known):
+                    known[x] = xxhash.xxh64_intdigest(x.encode("utf-8", "surrogatepass"))
+                held[h] = [known[x] for x in w]
+                total += len(w)
+                if total > 200_000:
+                    yield rows(held)
+                    held, total = {}, 0
+                if len(known) > 500_000:
+                    known = {}
+        if held:
+            yield rows(held)
+
+    return docs.select("h", "text").mapInArrow(read, "h long, band long")
+
+
 def text_classes(docs: DataFrame, text_col: str = "text", threshold: float = 0.8, shingle: int = 5) -> DataFrame:
     """(h, root): hashes of distinct texts that have a near copy, and the smallest hash of their class.
 
-    Texts whose distinct words have a fingerprint within two bits under any of SEEDS are candidates; the texts of a candidate
-    component are gathered once and compared by exact Jaccard similarity of word shingles. Components over PART_WORDS
+    Texts whose distinct words have a fingerprint within two bits under any of SEEDS, or that share a MinHash band of
+    their shingles (probability 0.998 at a similarity of 0.8), are candidates; the texts of a candidate component are gathered once and compared by exact Jaccard similarity of word shingles. Components over PART_WORDS
     are compared in parts, then every two parts with each other."""
     base = docs.select(F.coalesce(text_col, F.lit("")).alias("text")).withColumn("h", F.xxhash64("text"))
     # copies of a text multiply all of its counts alike, so a hash stands for its rows
@@ -171,7 +221,9 @@ def text_classes(docs: DataFrame, text_col: str = "text", threshold: float = 0.8
     same = fps.join(first.where("rep < most"), ["t", "fp"]).where("h <> rep").select(F.col("h").alias("a"), F.col("rep").alias("b"))
     near = links(fps)
     ends = near.join(first.select("t", F.col("fp").alias("a"), F.col("rep").alias("ra")), ["t", "a"]).join(first.select("t", F.col("fp").alias("b"), F.col("rep").alias("rb")), ["t", "b"])
-    found = connected_components(same.union(ends.select("ra", "rb")).distinct()).select(F.col("node").alias("h"), F.col("component").alias("group"))
+    low = F.min("h").over(W.partitionBy("band"))
+    banded = banded_texts(base, shingle).withColumn("b", low).where("h <> b").select(F.col("h").alias("a"), "b")
+    found = connected_components(same.union(ends.select("ra", "rb")).union(banded).distinct()).select(F.col("node").alias("h"), F.col("component").alias("group"))
     sized = found.join(fps.where("t = 0").select("h", "n"), "h")
     total = sized.groupBy("group").agg(F.sum("n").alias("total"))
     dealt = sized.join(total, "group").select("h", "group", F.when(F.col("total") > PART_WORDS, F.pmod(F.xxhash64("h", "group"), F.ceil(2 * F.col("total") / PART_WORDS))).otherwise(0).alias("part"))

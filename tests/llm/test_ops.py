@@ -278,6 +278,26 @@ def test_near_dedup_keeps_one_of_each_group(spark, docs, none):
     assert len([r for r in out if r["text"] in (None, "")]) == 1 and len([r for r in out if r["doc_id"] == 1]) == 1
 
 
+@pytest.mark.parametrize("kind", ["replaced", "shortened", "lengthened"])
+def test_near_copies_of_each_kind_are_met(spark, kind):
+    rng = np.random.default_rng(17)
+    rows = []
+    for k in range(60):
+        n = int(rng.integers(50, 600))
+        a = [f"v{x}" for x in rng.integers(0, 20_000, n)]
+        if kind == "replaced":
+            b = list(a)
+            for at in rng.choice(n, max(1, n // 50), replace=False):
+                b[at] = "edit"
+        else:
+            b = a[: int(n * rng.uniform(0.82, 0.95))] if kind == "shortened" else [f"u{x}" for x in range(int(n * rng.uniform(0.05, 0.2)))] + a
+        rows += [(2 * k, " ".join(a)), (2 * k + 1, " ".join(b))]
+    alike = [len(a & b) >= 0.8 * len(a | b) for a, b in ((simhash.shingles(rows[i][1], 5), simhash.shingles(rows[i + 1][1], 5)) for i in range(0, 120, 2))]
+    kept = {r["doc_id"] for r in simhash.near_deduped(spark, spark.createDataFrame(rows, "doc_id long, text string"), "").select("doc_id").collect()}
+    met = [2 * k + 1 not in kept for k in range(60)]
+    assert sum(alike) > 40 and all(m <= a for m, a in zip(met, alike)) and sum(met) >= sum(alike) - 1
+
+
 def test_near_copies_of_a_hub_in_parts(spark, monkeypatch):
     rng = np.random.default_rng(14)
     vocabulary = [f"w{k}" for k in range(60)]
