@@ -1,8 +1,9 @@
 """Benchmark decontamination by latent semantic retrieval.
 
-Benchmark passages become TF-IDF vectors whose document frequencies come from all documents. A randomised SVD,
-its products summed over partitions, gives latent axes. Windows of documents are projected through the same axes
-and meet the passages in exact blocked cosine products; candidates are then checked by the longest common
+Benchmark passages become TF-IDF vectors whose document frequencies come from all documents. They are indexed in
+blocks, each with latent axes of its own: as many as leave every passage KEPT of its norm, so that a copy of a passage
+is near it however many passages there are. Windows of documents are projected through the axes of each block and meet
+its passages in exact blocked cosine products; candidates are then checked by the longest common
 subsequence of words, over the passage and over its answer (the last quarter of the passage).
 """
 
@@ -15,19 +16,22 @@ from dataclasses import dataclass
 from itertools import repeat
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from loadshard.llm.common import table, texts_of
+from loadshard.llm.common import materialize, table, texts_of
 
 WORDS = re.compile(r"\w+")
 WINDOWS = (16, 32, 64)
 MAX_PASSAGE = 64
 MAX_PASSAGES = 200_000
+#: Passages of a block, the least share of a passage's norm that its axes hold, and bytes of blocks broadcast at once.
+BLOCK, KEPT = 256, 0.7
+PART_BYTES = 256 << 20
 RARE, FEW = 8, 20
 COMMON, OTHER = -2, -1
+NONE = (None, 0.0, 0.0, 0.0)
 
 
 def words(text: str | None) -> list[str]:
@@ -55,12 +59,30 @@ def lcs_length(a: list[str], b: list[str]) -> int:
     return len(a) - row.bit_count()
 
 
+@dataclass
+class Block:
+    terms: np.ndarray  # numbers of the terms of its passages, ascending
+    vectors: np.ndarray  # its terms x rank, weighted
+    passages: np.ndarray  # its passages x rank, unit length
+
+
 @dataclass
 class Index:
     term: dict[str, int]  # benchmark words: rare ones and the rarest of each passage have numbers, others COMMON
-    vectors: np.ndarray  # term x rank, weighted
     energy: np.ndarray  # squared weight of each term, then of COMMON and OTHER words
-    passages: np.ndarray  # passage x rank, unit length
+    rows: list[tuple[list[int], list[float]]]  # terms and weights of each passage, unit length
+    words: list[list[str]]
+    item: np.ndarray
+    rank: int
+
+
+@dataclass
+class Part:
+    """What is broadcast at once: some blocks, and the words and items of their passages, in order."""
+
+    term: dict[str, int]
+    energy: np.ndarray
+    blocks: list[Block]
     words: list[list[str]]
     item: np.ndarray
 
@@ -81,33 +103,8 @@ def corpus_frequencies(docs: DataFrame, vocabulary: set[str], text_col: str) ->
     return n.pop("", 0), n
 
 
-def latent_axes(spark: SparkSession, rows: list[tuple[list[int], list[float]]], terms: int, rank: int, rounds: int = 3) -> np.ndarray:
-    """terms x rank right singular directions of the sparse rows. Each round sends the axes out and sums, over
-    partitions, X' X times them; sums are of the axes' size, however many rows there are."""
-    rank = max(1, min(rank, len(rows), terms))
-    x = spark.createDataFrame([(i, w) for i, w in rows], "i array<int>, w array<double>").repartition(max(1, len(rows) // 2_000))
-    q = np.linalg.qr(np.random.default_rng(5).standard_normal((terms, min(rank + 8, terms))))[0]
-    for _ in range(rounds):
-        sent = spark.sparkContext.broadcast(q)
-
-        def product(batches: Iterator[pd.DataFrame], sent=sent) -> Iterator[pd.DataFrame]:
-            out = np.zeros_like(sent.value)
-            for b in batches:
-                for i, w in zip(b["i"], b["w"], strict=True):
-                    out[i] += np.outer(w, w @ sent.value[i])
-            hit = np.flatnonzero(out.any(1))
-            yield pd.DataFrame({"term": hit, "v": list(out[hit])})
-
-        total = np.zeros_like(q)
-        cols = [F.sum(F.get("v", k)).alias(f"v{k}") for k in range(q.shape[1])]
-        for r in x.mapInPandas(product, "term int, v array<double>").groupBy("term").agg(F.array(*cols).alias("v")).collect():
-            total[r["term"]] = r["v"]
-        q = np.linalg.qr(total)[0]
-    return q[:, :rank]
-
-
 def build(docs: DataFrame, benchmark: DataFrame, id_col: str = "item_id", text_col: str = "text", rank: int = 128, common: float = 0.05) -> Index | None:
-    """Index of a benchmark of at most MAX_PASSAGES passages (the bound of what is broadcast).
+    """Index of a benchmark of at most MAX_PASSAGES passages (the bound of what the driver holds).
 
     Words in more than ``common`` of the documents (and in more than FEW) count only as one of a passage's RARE rarest."""
     items = benchmark.select(id_col, text_col).limit(MAX_PASSAGES + 1).collect()
@@ -128,43 +125,75 @@ def build(docs: DataFrame, benchmark: DataFrame, id_col: str = "item_id", text_c
         c = Counter(term[w] for w in p if w in term)
         v = np.array([k * idf[i] for i, k in c.items()])
         rows.append((list(c), (v / np.linalg.norm(v)).tolist()))
-    axes = latent_axes(docs.sparkSession, rows, len(term), rank)
-    vec = np.stack([np.asarray(w) @ axes[i] for i, w in rows])
-    norm = np.linalg.norm(vec, axis=1)
     energy = np.concatenate([idf**2, [0.0, (np.log(1 + n) + 1) ** 2 / 2]])
     term |= dict.fromkeys(vocabulary - keep, COMMON)
-    return Index(term, (axes * idf[:, None]).astype(np.float32), energy, (vec / np.maximum(norm, 1e-9)[:, None]).astype(np.float32), [p for _, p in got], np.array([-1 if i is None else i for i, _ in got], np.int64))
-
-
-def candidates(index: Index, ids: np.ndarray, least: float) -> list[tuple[int, int, int, float]]:
+    return Index(term, energy, rows, [p for _, p in got], np.array([-1 if i is None else i for i, _ in got], np.int64), rank)
+
+
+def block_of(index: Index, lo: int, hi: int) -> Block:
+    """Passages lo to hi with the index' rank, or the higher one at which each keeps KEPT of its norm."""
+    rows = index.rows[lo:hi]
+    terms = np.unique(np.concatenate([i for i, _ in rows]).astype(np.int64))
+    x = np.zeros((len(rows), len(terms)))
+    for k, (i, w) in enumerate(rows):
+        x[k, np.searchsorted(terms, i)] = w
+    power, left = np.linalg.eigh(x @ x.T)
+    power, left = power[::-1], left[:, ::-1]
+    full = max(1, int((power > 1e-9).sum()))
+    held = np.cumsum(left[:, :full] ** 2 * power[:full], axis=1).min(0)
+    rank = min(full, max(index.rank, int(np.searchsorted(held, KEPT**2)) + 1))
+    axes = x.T @ (left[:, :rank] / np.sqrt(power[:rank]))
+    vec = x @ axes
+    vec /= np.maximum(np.linalg.norm(vec, axis=1), 1e-9)[:, None]
+    return Block(terms, (axes * np.sqrt(index.energy[terms])[:, None]).astype(np.float32), vec.astype(np.float32))
+
+
+def parts_of(index: Index) -> Iterator[Part]:
+    """The whole index in parts of about PART_BYTES, each made when it is asked for."""
+    first, size, blocks = 0, 0, []
+    for lo in range(0, len(index.rows), BLOCK):
+        hi = min(lo + BLOCK, len(index.rows))
+        blocks.append(block_of(index, lo, hi))
+        size += blocks[-1].vectors.nbytes + blocks[-1].passages.nbytes
+        if size >= PART_BYTES or hi == len(index.rows):
+            yield Part(index.term, index.energy, blocks, index.words[first:hi], index.item[first:hi])
+            first, size, blocks = hi, 0, []
+
+
+def candidates(part: Part, ids: np.ndarray, least: float) -> list[tuple[int, int, int, float]]:
     """(start, end, passage, cosine) of windows of a text; ids: term of each word, COMMON or OTHER.
 
-    A window's length counts all its words, those that no passage has as rare ones. The share of it that terms hold
-    bounds the cosine, so only windows with enough of it are projected."""
-    weight = index.energy[ids]
+    A window's length counts all its words, those that no passage has as rare ones. The share of it that a block's terms
+    hold bounds the cosine, so only windows with enough of it are projected."""
+    weight = part.energy[ids]
     total = np.concatenate(([0.0], np.cumsum(weight)))
-    met = np.flatnonzero(ids >= 0)
-    held = np.concatenate(([0.0], np.cumsum(np.where(ids >= 0, weight, 0.0))))
-    out = []
+    known = np.flatnonzero(ids >= 0)
+    spans = []
     for size in WINDOWS:
         start = np.arange(0, max(1, len(ids) - size // 2), size // 2)
         end = np.minimum(start + size, len(ids))
-        whole = np.maximum(total[end] - total[start], 1e-9)
-        use = np.flatnonzero(held[end] - held[start] >= least * least * whole)
-        if not len(use):
-            continue
-        lo, hi = np.searchsorted(met, start[use]), np.searchsorted(met, end[use])
-        for block in range(0, len(use), 1024):
-            v = np.stack([index.vectors[ids[met[i:j]]].sum(0) for i, j in zip(lo[block : block + 1024], hi[block : block + 1024], strict=True)])
-            cos = (v @ index.passages.T) / np.sqrt(whole[use[block : block + 1024]])[:, None]
-            r, c = np.nonzero(cos >= least)
-            out += [(int(start[use[block + i]]), int(end[use[block + i]]), int(j), float(cos[i, j])) for i, j in zip(r, c, strict=True)]
+        spans.append((start, end, np.maximum(total[end] - total[start], 1e-9)))
+    out, first = [], 0
+    for b in part.blocks:
+        at = np.minimum(np.searchsorted(b.terms, ids[known]), len(b.terms) - 1)
+        mine = b.terms[at] == ids[known]
+        met, local = known[mine], at[mine]
+        held = np.concatenate(([0.0], np.cumsum(weight[met])))
+        for start, end, whole in spans:
+            lo, hi = np.searchsorted(met, start), np.searchsorted(met, end)
+            use = np.flatnonzero((hi > lo) & (held[hi] - held[lo] >= least * least * whole))
+            for block in range(0, len(use), 1024):
+                u = use[block : block + 1024]
+                v = np.stack([b.vectors[local[i:j]].sum(0) for i, j in zip(lo[u], hi[u], strict=True)])
+                cos = (v @ b.passages.T) / np.sqrt(whole[u])[:, None]
+                r, c = np.nonzero(cos >= least)
+                out += [(int(start[u[i]]), int(end[u[i]]), first + int(j), float(cos[i, j])) for i, j in zip(r, c, strict=True)]
+        first += len(b.passages)
     return out
 
 
-def judge(index: Index, w: list[str], found: list[tuple[int, int, int, float]]) -> tuple[int | None, float, float, float]:
-    """(item, cosine, share of the passage, share of its answer) of the passage best supported by the text."""
-    best: tuple = (None, 0.0, 0.0, 0.0)
+def judge(index: Part, w: list[str], found: list[tuple[int, int, int, float]], best: tuple = NONE) -> tuple[int | None, float, float, float]:
+    """(item, cosine, share of the passage, share of its answer) of the passage best supported by the text, or ``best``."""
     seen = set()
     for start, end, j, cos in found:
         p = index.words[j]
@@ -185,26 +214,32 @@ def search(docs: DataFrame, index: Index | None, keep: list[str], text_col: str
     """``keep`` columns, item_, cosine_, lcs_ and answer_ of the best passage for every row (null item: no candidate).
 
     Null and empty texts have none. Of equally supported passages the one first in item order is told."""
+    told = ["item_", "cosine_", "lcs_", "answer_"]
     extra = docs.select(*keep).withColumns({"item_": F.lit(None).cast("long"), "cosine_": F.lit(0.0), "lcs_": F.lit(0.0), "answer_": F.lit(0.0)})
     if index is None:
         return extra
-    shared = docs.sparkSession.sparkContext.broadcast(index)
     given = text_col if text_col in keep else "text_"
-
-    def searched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        x = shared.value
-        get = x.term.get
-        for b in batches:
-            got = []
-            for t in texts_of(b.column(given)):
-                w = words(t)
-                ids = np.fromiter(map(get, w, repeat(OTHER)), np.int64, len(w))
-                got.append(judge(x, w, candidates(x, ids, least)) if (ids >= 0).any() else (None, 0.0, 0.0, 0.0))
-            item, *rest = zip(*got, strict=True) if got else ((), (), (), ())
-            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in keep), pa.array(item, pa.int64()), *(pa.array(r, pa.float64()) for r in rest)], names=[*keep, "item_", "cosine_", "lcs_", "answer_"])
-
     rows = docs.select(*keep) if given == text_col else docs.select(*keep, F.col(text_col).alias("text_"))
-    return rows.mapInArrow(searched, extra.schema)
+    schema = rows.withColumns({"item_": F.lit(None).cast("long"), "cosine_": F.lit(0.0), "lcs_": F.lit(0.0), "answer_": F.lit(0.0)}).schema
+    for k, part in enumerate(parts_of(index)):
+        shared = docs.sparkSession.sparkContext.broadcast(part)
+
+        def searched(batches: Iterator[pa.RecordBatch], shared=shared, again=k > 0) -> Iterator[pa.RecordBatch]:
+            x = shared.value
+            get = x.term.get
+            for b in batches:
+                got = []
+                before = zip(*(b.column(c).to_pylist() for c in told), strict=True) if again else repeat(NONE)
+                for t, best in zip(texts_of(b.column(given)), before):
+                    w = words(t)
+                    ids = np.fromiter(map(get, w, repeat(OTHER)), np.int64, len(w))
+                    got.append(judge(x, w, candidates(x, ids, least), best) if (ids >= 0).any() else best)
+                item, *rest = zip(*got, strict=True) if got else ((), (), (), ())
+                yield pa.RecordBatch.from_arrays([*(b.column(c) for c in schema.names[:-4]), pa.array(item, pa.int64()), *(pa.array(r, pa.float64()) for r in rest)], names=schema.names)
+
+        # an index of several parts is searched part by part, the best so far told to the next
+        rows = (materialize(rows) if k else rows).mapInArrow(searched, schema)
+    return rows.select(*keep, *told)
 
 
 def contaminated() -> Column:

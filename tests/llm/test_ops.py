@@ -418,6 +418,20 @@ def test_op7(spark, docs, none):
     assert latentdecon.search(none, latentdecon.build(none, bench), ["doc_id"]).count() == 0
 
 
+@pytest.mark.parametrize("part_bytes", [256 << 20, 1])
+def test_op7_exact_copies_of_many_passages(spark, monkeypatch, part_bytes):
+    rng = np.random.default_rng(18)
+    n = 2000 if part_bytes > 1 else 600
+    vocabulary = [f"term{k}" for k in range(6000)]
+    items = [(k, " ".join(rng.choice(vocabulary, int(rng.integers(15, 60))))) for k in range(n)]
+    fill = lambda: " ".join(f"fill{x}" for x in rng.integers(0, 9000, 80))
+    df = spark.createDataFrame([(k, f"{fill()} {t} {fill()}") for k, t in items[::5]], "doc_id long, text string")
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    monkeypatch.setattr(latentdecon, "PART_BYTES", part_bytes)
+    got = latentdecon.search(df, latentdecon.build(df, bench), ["doc_id"]).withColumn("bad", latentdecon.contaminated()).collect()
+    assert len(got) == n // 5 and all(r["bad"] and r["item_"] == r["doc_id"] and r["lcs_"] == 1 for r in got)
+
+
 # 8 ------------------------------------------------------------------------------------------------
 
 
