@@ -184,6 +184,16 @@ def test_op4_bands_meet_alike_lines_of_both_kinds():
     assert alike > 30 and met >= 0.97 * alike
 
 
+def test_op4_repeated_pieces_of_unlike_length(spark):
+    rng = np.random.default_rng(19)
+    lines = ["-=*=-" * 40, "-=*=-" * 80, "ab" * 4000]
+    pool = "".join(chr(0x4E00 + int(x)) for x in rng.permutation(20_000)[:270])
+    lines += [pool, pool * 2, "ab" * 100]
+    got = {r["h"]: r["root"] for r in linededup.line_classes(spark.createDataFrame([(k, x) for k, x in enumerate(lines)], "doc_id long, text string"), "text", 0.8).collect()}
+    root = [got.get(xxhash.xxh64_intdigest(x.encode(), seed=42) - (1 << 64) * (xxhash.xxh64_intdigest(x.encode(), seed=42) >> 63)) for x in lines]
+    assert None not in root and root[0] == root[1] and root[2] == root[5] and root[3] == root[4] and len(set(root)) == 3
+
+
 def test_cluster_sets_is_exact():
     rng = np.random.default_rng(2)
     sets = [frozenset(rng.integers(0, 14, 8).tolist()) for _ in range(60)]
