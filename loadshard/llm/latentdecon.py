@@ -192,28 +192,40 @@ def candidates(part: Part, ids: np.ndarray, least: float) -> list[tuple[int, int
     return out
 
 
+def leaked(share, answer, cosine):
+    """A passage is leaked at seven tenths of its words in order, or at 55 % with most of its answer in a close window."""
+    return (share >= 0.7) | ((share >= 0.55) & (answer >= 0.75) & (cosine >= 0.45))
+
+
 def judge(index: Part, w: list[str], found: list[tuple[int, int, int, float]], best: tuple = NONE) -> tuple[int | None, float, float, float]:
-    """(item, cosine, share of the passage, share of its answer) of the passage best supported by the text, or ``best``."""
+    """(item, cosine, share of the passage, share of its answer) of the passage best supported by the text, or ``best``.
+
+    Leaked passages come before others; a passage's cosine is that of its closest window."""
+    close: dict[int, float] = {}
+    for *_, j, cos in found:
+        close[j] = max(cos, close.get(j, 0.0))
+    rank = (leaked(best[2], best[3], best[1]), best[2], best[1])
     seen = set()
-    for start, end, j, cos in found:
+    for start, end, j, _ in found:
         p = index.words[j]
         spare = max(0, len(p) - (end - start)) + len(p) // 2
         lo, hi = max(0, start - spare), min(len(w), end + spare)
         if (key := (j, lo // 8, hi // 8)) in seen:
             continue
         seen.add(key)
-        piece = w[lo:hi]
+        piece, cos = w[lo:hi], close[j]
         share = lcs_length(p, piece) / len(p)
-        if share > best[2] or share == best[2] and cos > best[1]:
-            tail = p[-max(1, len(p) // 4) :]
-            best = (int(index.item[j]), cos, share, lcs_length(tail, piece) / len(tail))
+        tail = p[-max(1, len(p) // 4) :]
+        answer = lcs_length(tail, piece) / len(tail) if share >= 0.55 or (share, cos) > rank[1:] else 0.0
+        if (now := (leaked(share, answer, cos), share, cos)) > rank:
+            rank, best = now, (int(index.item[j]), cos, share, answer)
     return best
 
 
 def search(docs: DataFrame, index: Index | None, keep: list[str], text_col: str = "text", least: float = 0.35) -> DataFrame:
     """``keep`` columns, item_, cosine_, lcs_ and answer_ of the best passage for every row (null item: no candidate).
 
-    Null and empty texts have none. Of equally supported passages the one first in item order is told."""
+    Null and empty texts have none. Leaked passages come first; of equally supported ones the one met first is told."""
     told = ["item_", "cosine_", "lcs_", "answer_"]
     extra = docs.select(*keep).withColumns({"item_": F.lit(None).cast("long"), "cosine_": F.lit(0.0), "lcs_": F.lit(0.0), "answer_": F.lit(0.0)})
     if index is None:
@@ -243,8 +255,7 @@ def search(docs: DataFrame, index: Index | None, keep: list[str], text_col: str
 
 
 def contaminated() -> Column:
-    """A passage is leaked at seven tenths of its words in order, or at 55 % with most of its answer in a close window."""
-    return (F.col("lcs_") >= 0.7) | ((F.col("lcs_") >= 0.55) & (F.col("answer_") >= 0.75) & (F.col("cosine_") >= 0.45))
+    return leaked(F.col("lcs_"), F.col("answer_"), F.col("cosine_"))
 
 
 def op7_latent_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

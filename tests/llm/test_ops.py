@@ -442,6 +442,15 @@ def test_op7_exact_copies_of_many_passages(spark, monkeypatch, part_bytes):
     assert len(got) == n // 5 and all(r["bad"] and r["item_"] == r["doc_id"] and r["lcs_"] == 1 for r in got)
 
 
+def test_op7_rule_is_tried_for_each_passage():
+    one, two = [f"a{k}" for k in range(40)], [f"b{k}" for k in range(40)]
+    text = [*one[:26], *(f"x{k}" for k in range(80)), *two[:14], *two[30:], *(f"y{k}" for k in range(20))]
+    part = latentdecon.Part({}, np.zeros(0), [], [one, two], np.array([1, 2]))
+    # 0.65 of the first without its answer; 0.6 of the second with it, its closest window not the first met
+    got = latentdecon.judge(part, text, [(0, 32, 0, 0.6), (104, 136, 1, 0.4), (106, 138, 1, 0.5)])
+    assert got == (2, 0.5, 0.6, 1.0) and latentdecon.leaked(*(got[k] for k in (2, 3, 1)))
+
+
 # 8 ------------------------------------------------------------------------------------------------
 
 
