@@ -1,8 +1,12 @@
-"""DuckDB SQL for the queries, written independently of the Spark builders."""
+"""DuckDB SQL for the queries. Query texts are read with the library's parser; mapping, joins and filters are SQL of its own.
+
+Each pattern reads a materialised relation of its own property, so that no query touches tables it does not name."""
 
 from __future__ import annotations
 
-from loadshard.query.ast import Filter, Query, Term, Var
+import re
+
+from loadshard.query.ast import Filter, Query, Term, TriplePattern, Var
 from loadshard.workload.catalogue import TOY, crawl_load, query
 from loadshard.workload.load import pattern_rows
 from loadshard.query.parser import parse
@@ -26,20 +30,20 @@ TABLES = (
 )
 
 
-def tri(tables: tuple[str, ...] | None = None, without: tuple[str, ...] = ()) -> str:
-    """tri(s, p, o, o_kind, o_num) as a common table expression body."""
-    parts = []
+def branches(tables: tuple[str, ...] | None = None) -> list[tuple[str, str | None, str]]:
+    """(property, class or None, SELECT) of each table's properties."""
+    out = []
     for name, s, cls, spec in TABLES:
-        if tables is not None and name not in tables or name in without:
+        if tables is not None and name not in tables:
             continue
         word = "SELECT DISTINCT" if name == "lineitem" else "SELECT"
         row = lambda p, o, k, n, c=None, word=word, s=s, name=name: f"{word} {s} AS s, '{p}' AS p, {o} AS o, '{k}' AS o_kind, {n} AS o_num FROM {name}" + (f" WHERE {c} IS NOT NULL" if c else "")
         if cls:
-            parts.append(row("rdf:type", f"'class:{cls}'", "iri", "NULL::DOUBLE"))
+            out.append(("rdf:type", f"class:{cls}", row("rdf:type", f"'class:{cls}'", "iri", "NULL::DOUBLE")))
         for item in spec.split():
             if ">" in item:
                 c, to = item.split(">")
-                parts.append(row(f"p:{c}", f"'{to}:'||{c}", "iri", "NULL::DOUBLE", c))
+                out.append((f"p:{c}", None, row(f"p:{c}", f"'{to}:'||{c}", "iri", "NULL::DOUBLE", c)))
                 continue
             c, kind = item.split(":")
             text, k, number = {
@@ -48,8 +52,23 @@ def tri(tables: tuple[str, ...] | None = None, without: tuple[str, ...] = ()) ->
                 "ts": (f"CAST(epoch_us({c}) AS VARCHAR)", "ts", f"CAST(epoch_us({c}) AS DOUBLE)"),
                 "json": (f"json_extract_string(props, '$.{c}')", "num", f"CAST(json_extract_string(props, '$.{c}') AS DOUBLE)"),
             }[kind]
-            parts.append(row(f"p:{c}", text, k, number, "props" if kind == "json" else c))
-    return "tri AS (" + " UNION ALL ".join(parts) + ")"
+            out.append((f"p:{c}", None, row(f"p:{c}", text, k, number, "props" if kind == "json" else c)))
+    return out
+
+
+def tri(tables: tuple[str, ...] | None = None) -> str:
+    """tri(s, p, o, o_kind, o_num) as a common table expression body."""
+    return "tri AS MATERIALIZED (" + " UNION ALL ".join(sql for _, _, sql in branches(tables)) + ")"
+
+
+def relation(t: TriplePattern) -> tuple[str, str]:
+    """(name, body) of the rows that a pattern's property allows."""
+    if isinstance(t.p, Var):
+        return "tri", tri()
+    cls = t.o.text if t.p.text == "rdf:type" and isinstance(t.o, Term) else None
+    found = [sql for p, c, sql in branches() if p == t.p.text and (cls is None or c == cls)]
+    name = "r_" + re.sub(r"\W", "_", t.p.text + (f"_{cls}" if cls else ""))
+    return name, f"{name} AS MATERIALIZED (" + (" UNION ALL ".join(found) or "SELECT NULL::VARCHAR AS s, NULL::VARCHAR AS p, NULL::VARCHAR AS o, NULL::VARCHAR AS o_kind, NULL::DOUBLE AS o_num WHERE FALSE") + ")"
 
 
 def quoted(x: str) -> str:
@@ -69,7 +88,7 @@ def _filter(f: Filter, at: dict[str, str]) -> str:
 
 
 def bgp(q: Query) -> str:
-    """Self joins over tri for a query; SELECT text without the WITH."""
+    """Joins of the patterns' relations for a query; SELECT text without the WITH."""
     out = []
     names = q.output
     for g in q.branches:
@@ -100,12 +119,12 @@ def bgp(q: Query) -> str:
                 else:
                     at[x.name] = me
             if i == 0:
-                text = "tri t0"
+                text = f"{relation(t)[0]} t0"
                 where += cond
             elif opt is None:
-                text += f" JOIN tri t{i} ON {' AND '.join(cond) or 'TRUE'}"
+                text += f" JOIN {relation(t)[0]} t{i} ON {' AND '.join(cond) or 'TRUE'}"
             else:
-                text += f" LEFT JOIN tri t{i} ON {' AND '.join(cond)}"
+                text += f" LEFT JOIN {relation(t)[0]} t{i} ON {' AND '.join(cond)}"
         where += [_filter(f, at) for f in g.filters]
         cols = ", ".join(f"{at[v]} AS {v}" if v in at else f"CAST(NULL AS VARCHAR) AS {v}" for v in names)
         out.append(f"SELECT {cols} FROM {text}" + (f" WHERE {' AND '.join(where)}" if where else ""))
@@ -118,7 +137,9 @@ def bgp(q: Query) -> str:
 
 
 def of_query(qid: str) -> str:
-    return f"WITH {tri()} {bgp(query(qid))}"
+    q = query(qid)
+    every = dict(relation(t) for g in q.branches for t in [*g.required, *(x for part in g.optional for x in part)])
+    return f"WITH {', '.join(every.values())} {bgp(q)}"
 
 
 def values(rows: list[tuple], names: str) -> str:
