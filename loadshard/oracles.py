@@ -7,7 +7,7 @@ from __future__ import annotations
 import re
 
 from loadshard.query.ast import Filter, Query, Term, TriplePattern, Var
-from loadshard.workload.catalogue import TOY, crawl_load, query
+from loadshard.workload.catalogue import SAMPLE, SAMPLE_TABLES, SAMPLE_THETA, crawl_load, query
 from loadshard.workload.load import pattern_rows
 from loadshard.query.parser import parse
 
@@ -150,7 +150,9 @@ def values(rows: list[tuple], names: str) -> str:
 def load_cte(items: list[tuple[str, str, int]]) -> str:
     """load(query_id, weight, bgp_id, pattern_id, s, p, o, o_kind, s_var, p_var, o_var)."""
     rows = [r for qid, text, w in items for r in pattern_rows(parse(text, qid), w)]
-    return "load AS (" + values(rows, "query_id, weight, bgp_id, pattern_id, optional, s, p, o, o_kind, s_var, p_var, o_var") + ")"
+    names = "query_id, weight, bgp_id, pattern_id, optional, s, p, o, o_kind, s_var, p_var, o_var"
+    typed = ", ".join(c if c in ("weight", "bgp_id", "pattern_id", "optional") else f"CAST({c} AS VARCHAR) AS {c}" for c in names.split(", "))
+    return f"load AS (SELECT {typed} FROM ({values(rows, names)}))"
 
 
 TERMS = "terms AS (SELECT DISTINCT query_id, weight, s AS term, 'iri' AS kind FROM load WHERE s IS NOT NULL UNION SELECT DISTINCT query_id, weight, o, o_kind FROM load WHERE o IS NOT NULL), freq AS (SELECT term, kind, CAST(sum(weight) AS BIGINT) AS freq FROM terms GROUP BY ALL)"
@@ -164,4 +166,67 @@ occ AS (SELECT *, coalesce(s, '_') || ' ' || coalesce(p, '_') || ' ' || coalesce
 
 SEATS = "seats AS (SELECT query_id, weight, bgp_id, pattern_id, pattern, unnest(list_distinct(list_filter([s_var, p_var, o_var], lambda x: x IS NOT NULL))) AS v FROM occ)"
 EDGE_SQL = "SELECT a, b, CAST(sum(weight) AS BIGINT) AS w FROM (SELECT DISTINCT x.query_id, x.weight, least(x.pattern, y.pattern) AS a, greatest(x.pattern, y.pattern) AS b FROM seats x JOIN seats y ON x.query_id = y.query_id AND x.bgp_id = y.bgp_id AND x.v = y.v AND x.pattern_id < y.pattern_id) GROUP BY a, b"
-CRAWL, TOYS = crawl_load(), TOY
+CRAWL = crawl_load()
+ACCESS_PATHS = """, seen AS (SELECT query_id, pattern_id, list_filter([{'c': 's', 'v': s_var}, {'c': 'p', 'v': p_var}, {'c': 'o', 'v': o_var}], lambda x: x.v IS NOT NULL) AS free FROM load WHERE bgp_id = 0 AND NOT optional),
+each AS (SELECT query_id, pattern_id, free, unnest(free) AS x FROM seen)
+SELECT query_id AS query, CAST(pattern_id AS INTEGER) AS pattern, array_to_string(list_filter(['s', 'p', 'o'], lambda c: NOT list_contains(list_transform(free, lambda f: f.c), c)), '') || x.c || array_to_string(list_transform(list_filter(free, lambda f: f.c <> x.c), lambda f: f.c), '') AS path, x.v AS sorted_by FROM each"""
+
+#: The sample load by brute force: every triple is labelled with all predicates that hold for it.
+_PROPS = "(SELECT list(DISTINCT p) FROM norm WHERE p IS NOT NULL)"
+_LABEL = f"""list_filter([CASE WHEN o_kind = 'num' AND o_num < 0 THEN 'o < 0' END, CASE WHEN o_kind = 'str' AND o = 'BUILDING' THEN 'o = BUILDING' END, CASE WHEN o_kind = 'iri' AND o = 'region:1' THEN 'o = region:1' END,
+ CASE WHEN o_kind = 'num' AND o_num >= 9000 THEN 'o >= 9000' END, CASE WHEN list_contains({_PROPS}, p) THEN 'p = ' || p END], lambda x: x IS NOT NULL)"""
+_SAMPLE = f"""{load_cte(SAMPLE)}, {TERMS}, {normalized(SAMPLE_THETA)}, {SEATS}, {tri(SAMPLE_TABLES)},
+frag AS (SELECT parts, CASE WHEN len(parts) = 0 THEN 'all negated' ELSE array_to_string(parts, ' & ') END AS definition, count(*) AS size FROM (SELECT {_LABEL} AS parts FROM tri) GROUP BY 1),
+pat AS (SELECT DISTINCT query_id, weight, pattern, list_filter(['p = ' || p, 'o = ' || o], lambda x: x IS NOT NULL) AS need FROM occ),
+met AS (SELECT f.definition, f.parts, f.size, q.* FROM frag f LEFT JOIN pat q ON list_has_all(f.parts, q.need))"""
+_FREQ = {
+    "pattern_sum": "SELECT definition, size, CAST(coalesce(sum(weight), 0) AS BIGINT) AS freq FROM met GROUP BY ALL",
+    "closest": "SELECT definition, size, CAST(coalesce(sum(CASE WHEN list_has_all(need, parts) THEN weight END), 0) AS BIGINT) AS freq FROM met GROUP BY ALL",
+    "query_count": "SELECT definition, size, CAST(coalesce(sum(weight), 0) AS BIGINT) AS freq FROM (SELECT DISTINCT definition, size, query_id, weight FROM met) GROUP BY ALL",
+}
+_WITNESS = """wit AS (SELECT DISTINCT x.query_id, x.weight, least(x.pattern, y.pattern) AS a, greatest(x.pattern, y.pattern) AS b FROM seats x JOIN seats y ON x.query_id = y.query_id AND x.bgp_id = y.bgp_id AND x.v = y.v AND x.pattern_id < y.pattern_id),
+over AS (SELECT DISTINCT pattern, definition FROM met WHERE pattern IS NOT NULL),
+pair AS (SELECT DISTINCT w.query_id, w.weight, w.a AS pa, w.b AS pb, least(x.definition, y.definition) AS a, greatest(x.definition, y.definition) AS b FROM wit w JOIN over x ON w.a = x.pattern JOIN over y ON w.b = y.pattern WHERE x.definition <> y.definition)"""
+_EDGE = {
+    "edge_sum": "SELECT a, b, CAST(sum(weight) AS BIGINT) AS w FROM pair GROUP BY a, b",
+    "query_count": "SELECT a, b, CAST(sum(weight) AS BIGINT) AS w FROM (SELECT DISTINCT query_id, weight, a, b FROM pair) GROUP BY a, b",
+}
+SAMPLE_PREDICATES = f"WITH {load_cte(SAMPLE)}, {TERMS}, {normalized(SAMPLE_THETA)} SELECT 'p' AS component, '=' AS op, p AS value FROM norm WHERE p IS NOT NULL UNION SELECT 'o', '=', o FROM norm WHERE o IS NOT NULL UNION SELECT * FROM (VALUES ('o', '<', '0'), ('o', '>=', '9000'))"
+SAMPLE_MINTERMS = f"""WITH {_SAMPLE}, pred AS (SELECT DISTINCT 'p' AS c, p FROM norm WHERE p IS NOT NULL UNION SELECT DISTINCT 'o', o FROM norm WHERE o IS NOT NULL),
+term AS (SELECT p, o, o_num FROM (SELECT p FROM pred WHERE c = 'p' UNION ALL SELECT 'other') CROSS JOIN (VALUES ('BUILDING', NULL), ('region:1', NULL), ('other', NULL), ('n', -1.0), ('n', 0.0), ('n', 1.0), ('n', 9000.0)) v(o, o_num)),
+vec AS (SELECT DISTINCT p, CASE WHEN o IN ('BUILDING', 'region:1') THEN o END AS e, coalesce(o_num < 0, FALSE) AS low, coalesce(o_num >= 9000, FALSE) AS high FROM term)
+SELECT 'sign vectors' AS what, CAST(2 ** ((SELECT count(*) FROM pred) + 2) AS BIGINT) AS n UNION ALL SELECT 'satisfiable', count(*) FROM vec UNION ALL SELECT 'satisfiable without ranges', count(*) FROM (SELECT DISTINCT p, e FROM vec) UNION ALL SELECT 'observed', count(*) FROM frag"""
+
+
+def sample_frequency(mode: str) -> str:
+    return f"WITH {_SAMPLE} SELECT definition, freq, size, freq * size AS load FROM ({_FREQ[mode]})"
+
+
+def sample_edges(mode: str) -> str:
+    return f"WITH {_SAMPLE}, {_WITNESS} {_EDGE[mode]}"
+
+
+#: A site's score from its load l, the joins a with its fragments and their number c, and the uniform load u.
+SCORES = {"smoothed": "2 * u / (u + l) * (1 + a)", "literal": "2 * u / (u + l) * (a + c)", "balance": "2 * u / (u + l)", "affinity": "1.0 + a", "damped": "2 * u / (u + l) * (1 + log2(1 + a))"}
+
+
+def _steps(form: str) -> str:
+    """Fragments in falling order of load, each to the first site of the best score; homes are a growing list."""
+    here = lambda what: f"list_sum(list_transform(range(1, k + 1), lambda i: CASE WHEN homes[i] = s THEN {what} ELSE 0 END))"
+    score = SCORES[form]
+    for name, what in (("l", "loads[i]"), ("a", "joins[i]"), ("c", "1")):
+        score = re.sub(rf"\b{name}\b", f"coalesce({here(what)}, 0)", score)
+    return f"""WITH RECURSIVE {_SAMPLE}, {_WITNESS}, e AS ({_EDGE['edge_sum']}), sized AS (SELECT definition, freq * size AS load FROM ({_FREQ['pattern_sum']}) WHERE definition <> 'all negated'),
+ord AS (SELECT CAST(row_number() OVER (ORDER BY load DESC, definition) AS INTEGER) AS turn, definition, load FROM sized),
+bag AS (SELECT list(load ORDER BY turn) AS loads, CAST(sum(load) AS DOUBLE) / 3 AS u FROM ord),
+near AS (SELECT x.turn, list(CAST(coalesce(e.w, 0) AS BIGINT) ORDER BY y.turn) AS joins FROM ord x CROSS JOIN ord y LEFT JOIN e ON e.a = least(x.definition, y.definition) AND e.b = greatest(x.definition, y.definition) GROUP BY x.turn),
+step AS (SELECT 0 AS k, CAST([] AS INTEGER[]) AS homes, CAST([] AS DOUBLE[]) AS scores UNION ALL
+ SELECT k + 1, list_append(homes, CAST(list_position(now, list_max(now)) AS INTEGER)), now FROM (SELECT k, homes, list_transform([1, 2, 3], lambda s: CAST({score} AS DOUBLE)) AS now FROM step JOIN near ON near.turn = step.k + 1, bag))"""
+
+
+def sample_trace(form: str) -> str:
+    return f"{_steps(form)} SELECT turn, definition, round(scores[1], 3) AS site1, round(scores[2], 3) AS site2, round(scores[3], 3) AS site3, homes[turn] AS chosen FROM step JOIN ord ON ord.turn = step.k"
+
+
+def sample_allocation(form: str) -> str:
+    return f"{_steps(form)}, home AS (SELECT homes[turn] AS site_id, definition, load FROM step JOIN ord ON ord.turn = step.k) SELECT CAST(n.i AS INTEGER) AS site_id, coalesce(string_agg(definition, '; ' ORDER BY definition), '') AS fragments, CAST(coalesce(sum(load), 0) AS BIGINT) AS load FROM range(1, 4) n(i) LEFT JOIN home ON home.site_id = n.i GROUP BY n.i"

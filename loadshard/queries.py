@@ -12,7 +12,7 @@ from loadshard import oracles as O
 from loadshard.baselines import by_property, khop
 from loadshard.functions.shared import fresh_path
 from loadshard.operators import dictionary, sizing
-from loadshard.operators.allocation import allocate, hash_site, place, second_round
+from loadshard.operators.allocation import hash_site, place, second_round
 from loadshard.operators.fragments import Fragmentation, fragment, fragment_edges, fragment_table
 from loadshard.operators.predicates import extract, satisfiable_minterms
 from loadshard.operators.store import Store, bootstrap, virtual_store
@@ -22,8 +22,7 @@ from loadshard.plans.physical import Meter, execute, plan
 from loadshard.query.compile import to_dataframe
 from loadshard.sources.mapping import triple_view, triples
 from loadshard.streaming import updates
-from loadshard.workload import toy
-from loadshard.workload.catalogue import CRAWL, HEAVY, TOY, crawl_load, query, text_of
+from loadshard.workload.catalogue import CRAWL, HEAVY, SAMPLE, SAMPLE_TABLES, SAMPLE_THETA, crawl_load, query, text_of
 from loadshard.workload.load import analyse, load_queries, pattern_edges, pattern_frequency, phi, term_frequency
 
 Run = Callable[[SparkSession, str], DataFrame]
@@ -92,29 +91,34 @@ def unpruned(qid: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     return execute(query(qid), built(spark, sf_dir), prune=False)
 
 
-def toy_fragmentation(spark: SparkSession, mode: str = "pattern_sum", signature: str = "pattern_set") -> Fragmentation:
-    return held(spark, ("toy", mode, signature), lambda: fragment(analyse(load_queries(spark, TOY), 2), toy.triples(spark), signature=signature, mode=mode))
+def sample_fragmentation(spark: SparkSession, sf_dir: str, mode: str = "pattern_sum") -> Fragmentation:
+    return held(spark, ("sample", sf_dir, mode), lambda: fragment(analyse(load_queries(spark, SAMPLE), SAMPLE_THETA), triples(spark, sf_dir, SAMPLE_TABLES), signature="none", mode=mode))
 
 
-def toy_frequency(mode: str, spark: SparkSession, _: str) -> DataFrame:
-    return fragment_table(spark, toy_fragmentation(spark, mode)).select("definition", "freq", "size", "load")
+def sample_frequency(mode: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fragment_table(spark, sample_fragmentation(spark, sf_dir, mode)).select("definition", "freq", "size", "load")
 
 
-def toy_edges(mode: str, spark: SparkSession, _: str) -> DataFrame:
-    fr = toy_fragmentation(spark)
+def sample_edges(mode: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    fr = sample_fragmentation(spark, sf_dir)
     name = {f.number: f.label() for f in fr.fragments}
     rows = [(*sorted((name[a], name[b])), w) for (a, b), w in fragment_edges(fr, mode).items()]
     return spark.createDataFrame(rows, "a string, b string, w long")
 
 
-def toy_trace(spark: SparkSession, _: str) -> DataFrame:
-    p = allocate(toy.table(), toy.EDGES, 3, remainder_ratio=0)
-    return spark.createDataFrame([(i + 1, f, *(round(s, 3) for s in scores), site) for i, (f, scores, site) in enumerate(p.trace)], "turn int, frag_id int, site1 double, site2 double, site3 double, chosen int")
+def sample_trace(form: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What each site would gain from each fragment, in the order in which they are placed."""
+    fr = sample_fragmentation(spark, sf_dir)
+    name = {f.number: f.label() for f in fr.fragments}
+    p = place(fr, SITES, form, remainder_ratio=0)
+    return spark.createDataFrame([(i + 1, name[f], *(round(x, 3) for x in scores), site) for i, (f, scores, site) in enumerate(p.trace)], "turn int, definition string, site1 double, site2 double, site3 double, chosen int")
 
 
-def toy_allocation(form: str, mode: str, spark: SparkSession, _: str) -> DataFrame:
-    p = allocate(toy.table(mode), toy.EDGES, 3, form, remainder_ratio=0)
-    return spark.createDataFrame([(s.number, ",".join(map(str, sorted(s.fragments))), s.load) for s in p.sites], "site_id int, fragments string, load long")
+def sample_allocation(form: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    fr = sample_fragmentation(spark, sf_dir)
+    name = {f.number: f.label() for f in fr.fragments}
+    p = place(fr, SITES, form, remainder_ratio=0)
+    return spark.createDataFrame([(s.number, "; ".join(sorted(name[f] for f in s.fragments)), s.load) for s in p.sites], "site_id int, fragments string, load long")
 
 
 def mini_fragments(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -226,14 +230,14 @@ def access_paths(spark: SparkSession, _: str) -> DataFrame:
 
 
 def predicate_rows(spark: SparkSession, _: str) -> DataFrame:
-    return spark.createDataFrame([(p.component, p.op, p.value) for p in extract(analyse(load_queries(spark, TOY), 2))], "component string, op string, value string")
+    return spark.createDataFrame([(p.component, p.op, p.value) for p in extract(analyse(load_queries(spark, SAMPLE), SAMPLE_THETA))], "component string, op string, value string")
 
 
-def minterm_counts(spark: SparkSession, _: str) -> DataFrame:
-    s = extract(analyse(load_queries(spark, TOY), 2))
+def minterm_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    s = extract(analyse(load_queries(spark, SAMPLE), SAMPLE_THETA))
     kept = [p for p in s if p.op == "="]
-    fr = toy_fragmentation(spark)
-    return spark.createDataFrame([("sign vectors", 2 ** len(s)), ("satisfiable", len(satisfiable_minterms(s))), ("satisfiable without the range", len(satisfiable_minterms(kept))), ("observed after reduction", len(fr.fragments))], "what string, n long")
+    fr = sample_fragmentation(spark, sf_dir)
+    return spark.createDataFrame([("sign vectors", 2 ** len(s)), ("satisfiable", len(satisfiable_minterms(s))), ("satisfiable without ranges", len(satisfiable_minterms(kept))), ("observed", len(fr.fragments))], "what string, n long")
 
 
 def remainder_split(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -256,10 +260,10 @@ QUERIES: dict[str, Run] = {
     "minterm_counts": minterm_counts,
     "fragment_sizes_exact": mini_fragments,
     "fragment_assignment_hash": mini_assignment,
-    **{f"fragment_frequency_{m}": partial(toy_frequency, m) for m in ("pattern_sum", "query_count", "closest")},
-    **{f"fragment_edges_{m}": partial(toy_edges, m) for m in ("edge_sum", "query_count")},
-    "toy_benefit_trace": toy_trace,
-    **{f"toy_allocation_{f}_{m}": partial(toy_allocation, f, m) for f, m in (("smoothed", "printed"), ("smoothed", "closest"), ("smoothed", "pattern_sum"), ("literal", "printed"), ("balance", "printed"))},
+    **{f"fragment_frequency_{m}": partial(sample_frequency, m) for m in ("pattern_sum", "query_count", "closest")},
+    **{f"fragment_edges_{m}": partial(sample_edges, m) for m in ("edge_sum", "query_count")},
+    **{f"benefit_trace_{f}": partial(sample_trace, f) for f in O.SCORES},
+    **{f"allocation_{f}": partial(sample_allocation, f) for f in O.SCORES},
     "remainder_split": remainder_split,
     "flagship": flagship,
     **{q: partial(on_store, q) for q in [*CRAWL, *HEAVY]},
@@ -287,24 +291,10 @@ _MINI = ("CASE WHEN p = 'p:o_custkey' THEN 'p = p:o_custkey' WHEN p = 'p:c_natio
          "WHEN p = 'p:o_orderstatus' AND o = 'F' THEN 'o = F & p = p:o_orderstatus' WHEN p = 'p:o_orderstatus' THEN 'p = p:o_orderstatus' WHEN p = 'p:o_orderpriority' AND o = '1-URGENT' THEN 'o = 1-URGENT & p = p:o_orderpriority' "
          "WHEN p = 'p:o_orderpriority' THEN 'p = p:o_orderpriority' WHEN p = 'p:c_mktsegment' THEN 'p = p:c_mktsegment' ELSE 'all negated' END")
 _FREQ = "('p = p:o_custkey', 3), ('p = p:c_nationkey', 2), ('o = region:2 & p = p:n_regionkey', 1), ('p = p:n_regionkey', 0), ('o = F & p = p:o_orderstatus', 2), ('p = p:o_orderstatus', 0), ('o = 1-URGENT & p = p:o_orderpriority', 2), ('p = p:o_orderpriority', 1), ('p = p:c_mktsegment', 1), ('all negated', 0)"
-_NAMES = ("p = q:turnover", "p = q:label", "o = k:town & p = rdf:type", "p = q:heads", "p = rdf:type", "p = q:in", "o = x:landA & p = q:in", "o = Acme & p = q:label", "all negated")
-
-
-def _toy_freq(freqs: tuple[int, ...]) -> str:
-    return O.values([(n, f, s, f * s) for n, f, s in zip(_NAMES, freqs, toy.SIZES, strict=True)], "definition, freq, size, load")
-
-
 def _load(body: str, items=O.CRAWL) -> str:
     return f"WITH {O.load_cte(items)}, {O.TERMS}, {O.normalized(THETA)}, {O.SEATS} {body}"
 
 
-_TOY_SITES = {
-    ("smoothed", "printed"): [(1, "1,8", 22010), (2, "2,3,7", 19898), (3, "4,5,6", 6700)],
-    ("smoothed", "closest"): [(1, "1,8", 22010), (2, "2,3,7", 24897), (3, "4,5,6", 6700)],
-    ("smoothed", "pattern_sum"): [(1, "1,8", 22013), (2, "2,3,7", 28197), (3, "4,5,6", 6700)],
-    ("literal", "printed"): [(1, "1,2,3,4,5,6,7,8", 48608), (2, "", 0), (3, "", 0)],
-    ("balance", "printed"): [(1, "1", 22000), (2, "2,5,6", 13698), (3, "3,4,7,8", 12910)],
-}
 _UPDATE = """, ev AS (SELECT * FROM events), live AS (SELECT e.* FROM ev e WHERE e.event_type <> 'error' AND NOT EXISTS (SELECT 1 FROM ev x WHERE x.event_id = e.event_id + 1 AND x.event_type = 'error')),
 buy AS (SELECT 'customer:' || user_id AS s, arg_max(CAST(CAST(value AS DECIMAL(18,2)) AS VARCHAR), event_id) AS o FROM ev WHERE event_type = 'purchase' GROUP BY user_id),
 sign AS (SELECT DISTINCT 'customer:' || user_id AS s FROM ev WHERE event_type = 'signup'),
@@ -323,18 +313,15 @@ ORACLES: dict[str, str] = {
     "phi_patterns": _load("SELECT DISTINCT pattern FROM occ"),
     "pattern_frequency": _load("SELECT pattern, CAST(sum(weight) AS BIGINT) AS freq FROM (SELECT DISTINCT query_id, weight, pattern FROM occ) GROUP BY pattern"),
     "query_graph_edges": _load(O.EDGE_SQL),
-    "simple_predicates": O.values([("p", "=", x) for x in ("rdf:type", "q:in", "q:heads", "q:turnover", "q:label")] + [("o", "=", x) for x in ("k:town", "x:landA", "Acme")] + [("o", ">=", "1000000000")], "component, op, value"),
-    "minterm_counts": O.values([("sign vectors", 512), ("satisfiable", 30), ("satisfiable without the range", 24), ("observed after reduction", 9)], "what, n"),
+    "simple_predicates": O.SAMPLE_PREDICATES,
+    "minterm_counts": O.SAMPLE_MINTERMS,
     "fragment_sizes_exact": f"WITH {O.tri(MINI_TABLES)}, f AS (SELECT {_MINI} AS definition, count(*) AS size FROM tri GROUP BY 1), q AS (SELECT * FROM (VALUES {_FREQ}) v(definition, freq)) SELECT f.definition, f.size, q.freq, q.freq * f.size AS load FROM f JOIN q USING (definition)",
     "fragment_assignment_hash": f"WITH {O.tri(MINI_TABLES)} SELECT {_MINI} AS definition, count(*) AS n, min(s) AS first, max(s) AS last FROM tri GROUP BY 1",
-    "fragment_frequency_pattern_sum": _toy_freq(toy.FREQUENCIES["pattern_sum"]),
-    "fragment_frequency_closest": _toy_freq(toy.FREQUENCIES["closest"]),
-    "fragment_frequency_query_count": _toy_freq((11, 3, 4, 1, 1, 1, 4, 13, 0)),
-    "toy_benefit_trace": O.values(
-        [(1, 1, 2.0, 2.0, 2.0, 1), (2, 2, 1.696, 2.0, 2.0, 2), (3, 3, 0.848, 3.71, 2.0, 2), (4, 4, 0.848, 1.841, 2.0, 3), (5, 5, 0.848, 0.921, 1.688, 3), (6, 6, 0.848, 1.841, 3.057, 3), (7, 7, 0.848, 4.603, 2.83, 2), (8, 8, 9.331, 0.898, 1.415, 1)],
-        "turn, frag_id, site1, site2, site3, chosen",
-    ),
-    **{f"toy_allocation_{f}_{m}": O.values(rows, "site_id, fragments, load") for (f, m), rows in _TOY_SITES.items()},
+    **{f"fragment_frequency_{m}": O.sample_frequency(m) for m in ("pattern_sum", "query_count", "closest")},
+    **{f"fragment_edges_{m}": O.sample_edges(m) for m in ("edge_sum", "query_count")},
+    **{f"benefit_trace_{f}": O.sample_trace(f) for f in O.SCORES},
+    **{f"allocation_{f}": O.sample_allocation(f) for f in O.SCORES},
+    "access_paths": _load(O.ACCESS_PATHS),
     "remainder_split": f"WITH {O.tri(('pages', 'benchmark', 'part'))} SELECT CAST(('0x' || substr(md5(s), 1, 8))::BIGINT % 3 + 1 AS INTEGER) AS site_id, count(*) AS n FROM tri GROUP BY 1",
     "flagship": O.of_query("b05"),
     "update_after_batch": f"WITH {O.tri(('region', 'nation', 'customer', 'supplier', 'orders'))}{_UPDATE}",

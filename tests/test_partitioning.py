@@ -7,11 +7,12 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from loadshard.operators.allocation import allocate, benefit, place, rebalance, second_round
-from loadshard.operators.fragments import fragment, symbolic_relevant
+from loadshard.operators.fragments import fragment, fragment_edges, symbolic_relevant
 from loadshard.operators.predicates import Cells, Predicate, component_satisfiable, enumerate_all, extract, satisfiable, satisfiable_minterms
 from loadshard.query.ast import Term
-from loadshard.workload import toy
-from loadshard.workload.catalogue import CRAWL, TOY, crawl_load, query, text_of
+from loadshard.sources.mapping import triples
+from loadshard.workload import worked
+from loadshard.workload.catalogue import CRAWL, SAMPLE, SAMPLE_TABLES, SAMPLE_THETA, crawl_load, query, text_of
 from loadshard.workload.load import analyse, collapse_duplicates, load_queries, parse_log, term_frequency
 
 
@@ -20,35 +21,37 @@ def P(op, value, kind="num", c="o"):
 
 
 @pytest.fixture(scope="module")
-def toy_analysis(spark):
-    return analyse(load_queries(spark, TOY), 2)
+def sample_analysis(spark):
+    return analyse(load_queries(spark, SAMPLE), SAMPLE_THETA)
 
 
-def test_load_analysis_of_the_example(spark, toy_analysis):
-    freq = {(r["term"], r["kind"]): r["freq"] for r in term_frequency(load_queries(spark, TOY).rows).collect()}
-    assert freq == {("k:town", "iri"): 3, ("x:landA", "iri"): 3, ("Acme", "str"): 10, ("x:landB", "iri"): 1, ("k:firm", "iri"): 1}
-    assert len(toy_analysis.patterns) == 8 and len(toy_analysis.edges) == 9
-    assert len(extract(toy_analysis)) == 9
+@pytest.fixture(scope="module")
+def sample(spark, sf, sample_analysis):
+    return fragment(sample_analysis, triples(spark, sf, SAMPLE_TABLES))
+
+
+def test_load_analysis_of_the_sample(spark, sample_analysis):
+    freq = {(r["term"], r["kind"]): r["freq"] for r in term_frequency(load_queries(spark, SAMPLE).rows).collect()}
+    assert freq == {("region:1", "iri"): 7, ("BUILDING", "str"): 9, ("nation:7", "iri"): 1}
+    kept = {o for p in sample_analysis.patterns.values() if (o := p.o) is not None}
+    assert kept == {"region:1", "BUILDING"}
+    assert {(p.op, p.value) for p in extract(sample_analysis) if p.op != "="} == {("<", "0"), (">=", "9000")}
 
 
-def test_range_that_splits_nothing_is_dropped(spark, toy_analysis):
-    fr = fragment(toy_analysis, toy.triples(spark))
-    assert len(fr.predicates) == 8 and all(p.op == "=" for p in fr.predicates)
-    assert sorted(f.size for f in fr.fragments) == sorted(toy.SIZES)
+def test_range_that_splits_nothing_is_dropped(spark, sf):
+    load = [("a", "SELECT * { ?s s_acctbal ?b . FILTER(?b >= -100000) }", 3), ("b", "SELECT * { ?s s_name ?n }", 2), ("c", "SELECT * { ?s s_acctbal ?b }", 5)]
+    fr = fragment(analyse(load_queries(spark, load), 2), triples(spark, sf, ("supplier",)))
+    assert len(fr.predicates) == 2 and all(p.op == "=" for p in fr.predicates)
 
 
 @pytest.mark.parametrize("signature,kept", [("pattern_set", True), ("load", True), ("access", False)])
 def test_range_that_splits_stays_unless_filters_are_ignored(spark, sf, signature, kept):
-    from loadshard.sources.mapping import triples
-
     a = analyse(load_queries(spark, [*crawl_load(), ("s7", text_of("s7"), 3)]), 2)
     fr = fragment(a, triples(spark, sf), signature=signature, filter_aware=signature != "access")
     assert any(p.op == ">=" for p in fr.predicates) == kept
 
 
 def test_complete_and_disjoint(spark, sf):
-    from loadshard.sources.mapping import triples
-
     t = triples(spark, sf)
     fr = fragment(analyse(load_queries(spark, crawl_load()), 2), t)
     counts = {r[0]: r[1] for r in fr.assign(t).groupBy("frag_id").count().collect()}
@@ -56,11 +59,11 @@ def test_complete_and_disjoint(spark, sf):
     assert sum(counts.values()) == t.count()
 
 
-def test_dropping_any_kept_predicate_changes_the_fragmentation(spark, toy_analysis):
+def test_dropping_any_kept_predicate_changes_the_fragmentation(sample, sample_analysis):
     from loadshard.operators.fragments import pattern_masks
 
-    fr = fragment(toy_analysis, toy.triples(spark))
-    masks = pattern_masks(toy_analysis, fr.predicates, True)
+    fr = sample
+    masks = pattern_masks(sample_analysis, fr.predicates, True)
     met = lambda f: frozenset(k for k, need, _ in masks if f.bits & need == need)
     for i in range(len(fr.predicates)):
         groups: dict = {}
@@ -112,8 +115,6 @@ def test_cell_columns_agree_with_the_driver(spark):
 
 def test_relevant_fragments_hold_all_matches(spark, sf):
     from loadshard.query.compile import matches
-    from loadshard.sources.mapping import triples
-
     t = triples(spark, sf)
     fr = fragment(analyse(load_queries(spark, crawl_load()), 5), t)
     placed = fr.assign(t).cache()
@@ -125,31 +126,26 @@ def test_relevant_fragments_hold_all_matches(spark, sf):
 
 
 def test_benefit_values():
-    u = sum(f.load for f in toy.table() if not f.remainder) / 3
+    u = sum(f.load for f in worked.table() if not f.remainder) / 3
     assert round(benefit([0], 22000, u), 2) == 0.85
     assert benefit([], 0, u) == 2
     assert benefit([], 0, u, "literal") == 0
 
 
-def test_printed_placement_is_not_what_the_rule_gives():
-    p = allocate(toy.table(), toy.EDGES, 3, remainder_ratio=0)
-    got = [sorted(s.fragments) for s in p.sites]
-    assert got == [[1, 8], [2, 3, 7], [4, 5, 6]] and got != [[1, 8], [2], [3, 4, 5, 6, 7]]
-    assert sum(s.load for s in p.sites) == sum(f.load for f in toy.table())
-
-
-def test_capacity():
-    p = allocate(toy.table(), toy.EDGES, 3, capacity=9000, remainder_ratio=0)
-    assert all(s.used <= 9000 for s in p.sites) and sum(s.used for s in p.sites) == pytest.approx(sum(toy.SIZES))
+def test_capacity(sample):
+    edges, total = fragment_edges(sample), sum(f.size for f in sample.fragments)
+    p = allocate(sample.fragments, edges, 3, capacity=0.5 * total, remainder_ratio=0)
+    assert all(s.used <= 0.5 * total for s in p.sites) and sum(s.used for s in p.sites) == pytest.approx(total)
     with pytest.warns(UserWarning, match="no site has room"):
-        allocate(toy.table(), toy.EDGES, 3, capacity=100, remainder_ratio=0)
+        allocate(sample.fragments, edges, 3, capacity=1, remainder_ratio=0)
 
 
-def test_greedy_against_every_placement():
-    frags = [f for f in toy.table() if not f.remainder]
-    p = allocate(frags, toy.EDGES, 3)
-    kept = lambda home: sum(w for (a, b), w in toy.EDGES.items() if home[a] == home[b])
-    best = max(kept(dict(zip([f.number for f in frags], h, strict=True))) for h in itertools.product((1, 2, 3), repeat=8))
+def test_greedy_against_every_placement(sample):
+    frags = [f for f in sample.fragments if not f.remainder and f.freq]
+    edges = {k: w for k, w in fragment_edges(sample).items() if set(k) <= {f.number for f in frags}}
+    p = allocate(frags, edges, 3)
+    kept = lambda home: sum(w for (a, b), w in edges.items() if home[a] == home[b])
+    best = max(kept(dict(zip([f.number for f in frags], h, strict=True))) for h in itertools.product((1, 2, 3), repeat=len(frags)))
     assert kept(p.site_of) >= 0.5 * best
 
 
@@ -157,8 +153,6 @@ def test_co_location_against_balance(spark, sf):
     """More queries stay on one site, at the price of balance."""
     from loadshard.operators.store import Store, statistics
     from loadshard.plans.physical import plan
-    from loadshard.sources.mapping import triples
-
     t = triples(spark, sf)
     fr = fragment(analyse(load_queries(spark, crawl_load()), 2), t)
     stats = statistics(t, fr)
