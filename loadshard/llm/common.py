@@ -85,44 +85,69 @@ def connected_components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
     return e.select(F.col("a").alias("node"), F.col("b").alias("component")).union(e.select(F.col("b").alias("node"), F.col("b").alias("component"))).distinct()
 
 
-def cluster_sets(names: list, sets: list[frozenset], threshold: float) -> list:
-    """Class of each set: the smallest name linked to it by Jaccard similarity. Exact for the sets given: a set is
-    compared with a cluster until one member links, and clusters that a set links become one."""
-    clusters: list[list[int]] = []
-    for i in sorted(range(len(sets)), key=lambda k: names[k]):
-        a, joined, rest = sets[i], [i], []
-        for c in clusters:
-            for j in c:
-                b = sets[j]
-                if min(len(a), len(b)) < threshold * max(len(a), len(b)):
-                    continue
-                both = len(a & b)
-                if both >= threshold * (len(a) + len(b) - both):
-                    joined += c
-                    break
-            else:
-                rest.append(c)
-        clusters = [*rest, joined]
-    out = [None] * len(sets)
-    for c in clusters:
-        least = min(names[k] for k in c)
-        for k in c:
-            out[k] = least
-    return out
-
+class Roots:
+    """Union-find over names; a class is named by its smallest."""
 
-def merged_sides(names: list, roots: list, sides: list, sets: list[frozenset], threshold: float) -> list:
-    """Class of each set after two sides, each clustered before into ``roots``, are compared set by set: the smallest
-    root linked to it. Exact: alike sets share one of their rarest members, which is all that the prefixes leave out."""
-    parent = {r: r for r in roots}
+    def __init__(self, names):
+        self.parent = {n: n for n in names}
 
-    def find(r):
+    def find(self, r):
+        parent = self.parent
         while parent[r] != r:
             parent[r] = r = parent[parent[r]]
         return r
 
+    def join(self, r, q) -> None:
+        self.parent[max(r, q)] = min(r, q)
+
+
+def rare_first(sets: list[frozenset], threshold: float) -> Callable[[frozenset], list]:
+    """The members of a set that two alike sets cannot both miss: its rarest, one more than may differ."""
     count = Counter(x for s in sets for x in s)
-    prefix = lambda s: sorted(s, key=lambda x: (count[x], x))[: len(s) - math.ceil(threshold * len(s) - 1e-9) + 1]
+    return lambda s: sorted(s, key=lambda x: (count[x], x))[: len(s) - math.ceil(threshold * len(s) - 1e-9) + 1]
+
+
+def alike(a: frozenset, b: frozenset, threshold: float) -> bool:
+    if min(len(a), len(b)) < threshold * max(len(a), len(b)):
+        return False
+    both = len(a & b)
+    return both >= threshold * (len(a) + len(b) - both)
+
+
+def cluster_sets(names: list, sets: list[frozenset], threshold: float, few: int = 6) -> list:
+    """Class of each set: the smallest name linked to it by Jaccard similarity of at least ``threshold``; exact.
+
+    A few sets are compared pair by pair, more of them through an index of their rarest members. Sets already in one
+    class are not compared."""
+    roots = Roots(names)
+    if len(sets) <= few:
+        for j in range(1, len(sets)):
+            for i in range(j):
+                r, q = roots.find(names[i]), roots.find(names[j])
+                if r != q and alike(sets[i], sets[j], threshold):
+                    roots.join(r, q)
+        return [roots.find(n) for n in names]
+    prefix = rare_first(sets, threshold)
+    at = defaultdict(list)
+    for j, b in enumerate(sets):
+        met = set()
+        for x in prefix(b):
+            here = at[x]
+            for i in here:
+                if i not in met:
+                    met.add(i)
+                    r, q = roots.find(names[i]), roots.find(names[j])
+                    if r != q and alike(sets[i], b, threshold):
+                        roots.join(r, q)
+            here.append(j)
+    return [roots.find(n) for n in names]
+
+
+def merged_sides(names: list, roots: list, sides: list, sets: list[frozenset], threshold: float) -> list:
+    """Class of each set after two sides, each clustered before into ``roots``, are compared set by set: the smallest
+    root linked to it. Exact: alike sets share one of their rarest members, which is all that the prefixes leave out."""
+    classes = Roots(roots)
+    prefix = rare_first(sets, threshold)
     at = defaultdict(list)
     for i, s in enumerate(sets):
         if not sides[i]:
@@ -137,10 +162,10 @@ def merged_sides(names: list, roots: list, sides: list, sets: list[frozenset], t
                 if i in met:
                     continue
                 met.add(i)
-                a, r, q = sets[i], find(roots[i]), find(roots[j])
-                if r != q and (both := len(a & b)) >= threshold * (len(a) + len(b) - both):
-                    parent[max(r, q)] = min(r, q)
-    return [find(r) for r in roots]
+                r, q = classes.find(roots[i]), classes.find(roots[j])
+                if r != q and alike(sets[i], b, threshold):
+                    classes.join(r, q)
+    return [classes.find(r) for r in roots]
 
 
 def classes_in_groups(rows: DataFrame, value: str, fn: Callable[..., list], also: tuple[str, ...] = ()) -> DataFrame:
@@ -177,9 +202,9 @@ def classes_in_parts(held: DataFrame, value: str, set_of: Callable[[str], frozen
 
     Parts are clustered alone. In groups of several parts one row of each part's largest cluster meets those of the
     others, which often leaves one class; where it does not, every two parts of the group are compared, row by row."""
-    alike = lambda names, values: cluster_sets(names, [set_of(x) for x in values], threshold)
+    within = lambda names, values: cluster_sets(names, [set_of(x) for x in values], threshold)
     across = lambda names, values, roots, sides: merged_sides(names, roots, sides, [set_of(x) for x in values], threshold)
-    found = materialize(classes_in_groups(held, value, alike))
+    found = materialize(classes_in_groups(held, value, within))
     edges = found.where("h <> root").select(F.col("h").alias("a"), F.col("root").alias("b"))
     spans = materialize(held.groupBy("group").agg((F.max("part") + 1).cast("long").alias("parts")).where("parts > 1"))
     if spans.isEmpty():
@@ -188,7 +213,7 @@ def classes_in_parts(held: DataFrame, value: str, set_of: Callable[[str], frozen
     sizes = places.groupBy("group", "part", "root").agg(F.count(F.lit(1)).alias("n"))
     first = sizes.groupBy("group", "part").agg(F.max_by("root", F.struct("n", "root")).alias("h"))
     heads = first.select("h", "group", F.lit(0).cast("long").alias("part")).join(held.select("h", value), "h")
-    edges = materialize(edges.union(classes_in_groups(heads, value, alike).where("h <> root").select("h", "root")))
+    edges = materialize(edges.union(classes_in_groups(heads, value, within).where("h <> root").select("h", "root")))
     linked = materialize(connected_components(edges))
     labels = places.drop("root").join(linked.select(F.col("node").alias("h"), F.col("component").alias("root")), "h", "left").withColumn("root", F.coalesce("root", "h"))
     labels = materialize(labels)
