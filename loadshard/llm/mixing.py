@@ -12,10 +12,11 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from loadshard.llm.common import WORD, materialize, table
+from loadshard.llm.common import WORD, materialize, running_total, table, unused
 
 WEIGHTS = (5, 2, 1)
 CELL_ROWS = 4_096
+TASK_SLOTS, MAX_TASKS = 65_536, 100_000
 GRID = 1 << 16
 
 
@@ -59,14 +60,16 @@ def draw_slots(plan: DataFrame, shard_slots: int, seed: int) -> DataFrame:
     u = F.pmod(F.xxhash64("shard", "j", F.lit(seed)), F.lit(max(total, 1)))
     drawn = shards.select("shard", F.explode(F.sequence(F.lit(0), F.col("room") - 1)).alias("j")).select("shard", u.alias("u")).withColumn("g", grid(F.col("u")))
     counts = materialize(drawn.join(cells, "g").where("u >= lo and u < hi").groupBy("shard", "sid").agg(F.count(F.lit(1)).alias("c")))
-    past = F.coalesce(F.sum("c").over(W.partitionBy("sid").orderBy("shard").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
-    kept = materialize(counts.withColumn("past", past).join(spans.select("sid", "slots"), "sid").select("shard", "sid", F.greatest(F.lit(0), F.least("c", F.col("slots") - F.col("past"))).alias("c")))
+    run = running_total(counts, ["sid"], "shard", "c", "upto").withColumn("past", F.col("upto") - F.col("c"))
+    kept = materialize(run.join(spans.select("sid", "slots"), "sid").select("shard", "sid", F.greatest(F.lit(0), F.least("c", F.col("slots") - F.col("past"))).alias("c")))
     lack = spans.join(kept.groupBy("sid").agg(F.sum("c").alias("got")), "sid", "left").select("sid", (F.col("slots") - F.coalesce("got", F.lit(0))).alias("n")).where("n > 0")
     room = shards.join(kept.groupBy("shard").agg(F.sum("c").alias("got")), "shard", "left").select("shard", (F.col("room") - F.coalesce("got", F.lit(0))).alias("n")).where("n > 0")
-    units = lambda d, k: d.withColumn("end", F.sum("n").over(W.orderBy(k).rowsBetween(W.unboundedPreceding, 0))).select(k, F.explode(F.sequence(F.col("end") - F.col("n"), F.col("end") - 1)).alias("at"))
+    units = lambda d, k: running_total(d, [], k, "n", "end").select(k, F.explode(F.sequence(F.col("end") - F.col("n"), F.col("end") - 1)).alias("at"))
     dealt = kept.union(units(room, "shard").join(units(lack, "sid"), "at").select("shard", "sid", F.lit(1).cast("long").alias("c"))).groupBy("shard", "sid").agg(F.sum("c").alias("c")).where("c > 0")
-    end = F.sum("c").over(W.partitionBy("sid").orderBy("shard").rowsBetween(W.unboundedPreceding, 0))
-    return dealt.withColumn("end", end).select("shard", "sid", F.explode(F.sequence(F.col("end") - F.col("c"), F.col("end") - 1)).alias("i"))
+    dealt = running_total(dealt, ["sid"], "shard", "c", "end")
+    # slots are numbered where their shard's share of a source is, whatever the source's size
+    tasks = max(1, min(MAX_TASKS, -(-total // TASK_SLOTS)))
+    return dealt.repartition(tasks, "sid", "shard").select("shard", "sid", F.explode(F.sequence(F.col("end") - F.col("c"), F.col("end") - 1)).alias("i"))
 
 
 def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", block: int = 64, shard_slots: int = 4096, share: float = 1.5, passes: int = 2, weights: tuple[float, ...] = WEIGHTS, seed: int = 20) -> tuple[DataFrame, DataFrame, DataFrame]:
@@ -85,8 +88,7 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     cells = -(-rows.count() // CELL_ROWS) or 1
     laid = rows.join(plan, rows["source"].eqNullSafe(plan["source"])).select("rid", "id", "key", rows["source"], "size", "sid", "source_size", "target")
     laid = laid.withColumn("h", F.xxhash64("id", "key", F.lit(seed))).withColumn("cell", F.pmod("h", F.lit(cells)))
-    starts = laid.groupBy("sid", "cell").agg(F.sum("size").alias("n"))
-    starts = starts.select("sid", "cell", (F.sum("n").over(W.partitionBy("sid").orderBy("cell").rowsBetween(W.unboundedPreceding, 0)) - F.col("n")).alias("from"))
+    starts = running_total(laid.groupBy("sid", "cell").agg(F.sum("size").alias("n")), ["sid"], "cell", "n", "upto").select("sid", "cell", (F.col("upto") - F.col("n")).alias("from"))
     inner = F.sum("size").over(W.partitionBy("sid", "cell").orderBy("h", "id", "key", "rid").rowsBetween(W.unboundedPreceding, 0))
     laid = materialize(laid.withColumn("inner", inner).join(starts, ["sid", "cell"]).withColumn("at", F.col("from") + F.col("inner") - F.col("size")).drop("h", "cell", "from", "inner"))
 
@@ -107,7 +109,11 @@ def op6_multinomial_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents with what the mix takes of them; rows of equal id and text carry the mean of their takes."""
-    out = mix(docs)[0].groupBy("id", "key", "size", "source_size", "target").agg(F.floor(F.avg("taken")).alias("taken"))
-    d = docs.withColumn("key_", F.xxhash64("text"))
-    return d.join(out, d["doc_id"].eqNullSafe(out["id"]) & (d["key_"] == out["key"])).select(*[d[c] for c in docs.columns], "size", "source_size", "target", "taken")
+    """Documents with what the mix takes of them: size, source_size, target and taken, with an underscore where the
+    input has a column of that name. Rows of equal id and text carry the mean of their takes."""
+    told = ["size", "source_size", "target", "taken"]
+    out = mix(docs)[0].groupBy("id", "key", *told[:3]).agg(F.floor(F.avg("taken")).alias("taken"))
+    key, i, k, *new = unused(docs.columns, "key", "id", "k", *told)
+    out = out.select(F.col("id").alias(i), F.col("key").alias(k), *(F.col(a).alias(b) for a, b in zip(told, new, strict=True)))
+    d = docs.withColumn(key, F.xxhash64("text"))
+    return d.join(out, F.col("doc_id").eqNullSafe(F.col(i)) & F.col(key).eqNullSafe(F.col(k))).select(*docs.columns, *new)
