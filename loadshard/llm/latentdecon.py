@@ -11,7 +11,7 @@ from __future__ import annotations
 
 import re
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator, Sequence
 from dataclasses import dataclass
 from itertools import repeat
 
@@ -20,11 +20,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from loadshard.llm.common import materialize, table, texts_of
+from loadshard.llm.common import materialize, table, texts_of, unused
 
 WORDS = re.compile(r"\w+")
 WINDOWS = (16, 32, 64)
 MAX_PASSAGE = 64
+#: About how many passages an index has; more are indexed and searched slice by slice.
 MAX_PASSAGES = 200_000
 #: Passages of a block, the least share of a passage's norm that its axes hold, and bytes of blocks broadcast at once.
 BLOCK, KEPT = 256, 0.7
@@ -104,13 +105,11 @@ def corpus_frequencies(docs: DataFrame, vocabulary: set[str], text_col: str) ->
 
 
 def build(docs: DataFrame, benchmark: DataFrame, id_col: str = "item_id", text_col: str = "text", rank: int = 128, common: float = 0.05) -> Index | None:
-    """Index of a benchmark of at most MAX_PASSAGES passages (the bound of what the driver holds).
+    """Index of all passages of a benchmark, or of a slice of one, held by the driver.
 
     Words in more than ``common`` of the documents (and in more than FEW) count only as one of a passage's RARE rarest."""
-    items = benchmark.select(id_col, text_col).limit(MAX_PASSAGES + 1).collect()
+    items = benchmark.select(id_col, text_col).collect()
     got = [(r[0], p) for r in sorted(items, key=lambda r: (r[0] is None, r[0] or 0, r[1] or "")) for p in passages(r[1])]
-    if len(got) > MAX_PASSAGES or len(items) > MAX_PASSAGES:
-        raise ValueError(f"more than {MAX_PASSAGES} passages; index the benchmark in parts")
     if not got:
         return None
     vocabulary = {w for _, p in got for w in p}
@@ -130,6 +129,16 @@ def build(docs: DataFrame, benchmark: DataFrame, id_col: str = "item_id", text_c
     return Index(term, energy, rows, [p for _, p in got], np.array([-1 if i is None else i for i, _ in got], np.int64), rank)
 
 
+def slices(docs: DataFrame, benchmark: DataFrame, id_col: str = "item_id", text_col: str = "text", **more) -> Iterator[Index | None]:
+    """Indexes of a benchmark of any size: items are dealt by a hash to slices of about half MAX_PASSAGES passages."""
+    words_ = F.coalesce(F.regexp_count(text_col, F.lit(r"(?U)\w+")), F.lit(0))
+    total = benchmark.agg(F.sum(F.ceil(words_ / MAX_PASSAGE))).first()[0] or 0
+    n = max(1, -(-2 * total // MAX_PASSAGES)) if total > MAX_PASSAGES else 1
+    for k in range(n):
+        part = benchmark if n == 1 else benchmark.where(F.pmod(F.xxhash64(id_col, text_col), F.lit(n)) == k)
+        yield build(docs, part, id_col, text_col, **more)
+
+
 def block_of(index: Index, lo: int, hi: int) -> Block:
     """Passages lo to hi with the index' rank, or the higher one at which each keeps KEPT of its norm."""
     rows = index.rows[lo:hi]
@@ -222,21 +231,25 @@ def judge(index: Part, w: list[str], found: list[tuple[int, int, int, float]], b
     return best
 
 
-def search(docs: DataFrame, index: Index | None, keep: list[str], text_col: str = "text", least: float = 0.35) -> DataFrame:
-    """``keep`` columns, item_, cosine_, lcs_ and answer_ of the best passage for every row (null item: no candidate).
+TOLD = ("item_", "cosine_", "lcs_", "answer_")
+
+
+def search(docs: DataFrame, index: Index | None | Iterable[Index | None], keep: list[str], text_col: str = "text", least: float = 0.35) -> DataFrame:
+    """``keep`` columns, item_, cosine_, lcs_ and answer_ (with further underscores where ``keep`` has such names) of the
+    best passage for every row (null item: no candidate), over one index or several.
 
     Null and empty texts have none. Leaked passages come first; of equally supported ones the one met first is told."""
-    told = ["item_", "cosine_", "lcs_", "answer_"]
-    extra = docs.select(*keep).withColumns({"item_": F.lit(None).cast("long"), "cosine_": F.lit(0.0), "lcs_": F.lit(0.0), "answer_": F.lit(0.0)})
-    if index is None:
-        return extra
-    given = text_col if text_col in keep else "text_"
-    rows = docs.select(*keep) if given == text_col else docs.select(*keep, F.col(text_col).alias("text_"))
-    schema = rows.withColumns({"item_": F.lit(None).cast("long"), "cosine_": F.lit(0.0), "lcs_": F.lit(0.0), "answer_": F.lit(0.0)}).schema
-    for k, part in enumerate(parts_of(index)):
+    told = unused(keep, *TOLD)
+    blank = dict(zip(told, (F.lit(None).cast("long"), F.lit(0.0), F.lit(0.0), F.lit(0.0)), strict=True))
+    given = text_col if text_col in keep else unused([*keep, *told], "text_")[0]
+    rows = docs.select(*keep) if given == text_col else docs.select(*keep, F.col(text_col).alias(given))
+    schema = rows.withColumns(blank).schema
+    every = [index] if index is None or isinstance(index, Index) else index
+    first = True
+    for part in (p for x in every if x is not None for p in parts_of(x)):
         shared = docs.sparkSession.sparkContext.broadcast(part)
 
-        def searched(batches: Iterator[pa.RecordBatch], shared=shared, again=k > 0) -> Iterator[pa.RecordBatch]:
+        def searched(batches: Iterator[pa.RecordBatch], shared=shared, again=not first) -> Iterator[pa.RecordBatch]:
             x = shared.value
             get = x.term.get
             for b in batches:
@@ -250,20 +263,22 @@ def search(docs: DataFrame, index: Index | None, keep: list[str], text_col: str
                 yield pa.RecordBatch.from_arrays([*(b.column(c) for c in schema.names[:-4]), pa.array(item, pa.int64()), *(pa.array(r, pa.float64()) for r in rest)], names=schema.names)
 
         # an index of several parts is searched part by part, the best so far told to the next
-        rows = (materialize(rows) if k else rows).mapInArrow(searched, schema)
-    return rows.select(*keep, *told)
+        rows = (rows if first else materialize(rows)).mapInArrow(searched, schema)
+        first = False
+    return (rows.withColumns(blank) if first else rows).select(*keep, *told)
 
 
-def contaminated() -> Column:
-    return leaked(F.col("lcs_"), F.col("answer_"), F.col("cosine_"))
+def contaminated(told: Sequence[str] = TOLD) -> Column:
+    _, cosine, share, answer = told
+    return leaked(F.col(share), F.col(answer), F.col(cosine))
 
 
 def op7_latent_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    out = search(docs, build(docs, table(spark, sf_dir, "benchmark")), ["doc_id"])
+    out = search(docs, slices(docs, table(spark, sf_dir, "benchmark")), ["doc_id"])
     return out.select("doc_id", F.col("item_").alias("item_id"), F.round("cosine_", 4).alias("cosine"), F.round("lcs_", 4).alias("lcs"), F.round("answer_", 4).alias("answer"), contaminated().alias("contaminated"))
 
 
 def decontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    out = search(docs, build(docs, table(spark, sf_dir, "benchmark")), docs.columns)
-    return out.where(~contaminated()).select(*docs.columns)
+    out = search(docs, slices(docs, table(spark, sf_dir, "benchmark")), docs.columns)
+    return out.where(~contaminated(unused(docs.columns, *TOLD))).select(*docs.columns)

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from loadshard.llm.common import table, texts_of
+from loadshard.llm.common import table, texts_of, unused
 
 #: Fixed value: each character class; the rest of ASCII is class 15, letters beyond ASCII are lower case.
 CLASSES = ("abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789", " \t\r\x0b\x0c", "\n", ".", ",", "!?", "#", "$", "%", "&", "*", "|", "\"'")
@@ -93,9 +93,17 @@ class Model:
         cos = self.latent(counts) @ self.vectors.T
         k = min(self.neighbours, cos.shape[1])
         near = np.argpartition(cos, -k, axis=1)[:, -k:]
-        w = np.maximum(np.take_along_axis(cos, near, 1), 0).astype(np.float64) ** self.power
-        some = (counts[:, :TRIGRAMS].any(1)) & (w.sum(1) > 0)
-        out[some] = ((w * self.labels[near]).sum(1) / np.maximum(w.sum(1), 1e-300))[some]
+        got = np.take_along_axis(cos, near, 1)
+        w = np.maximum(got, 0).astype(np.float64) ** self.power
+        whole, up = w.sum(1), (w * self.labels[near]).sum(1)
+        last = got.min(1)
+        # vectors that tie with the last neighbour share its places, whichever of them were picked
+        for r in np.flatnonzero((cos >= last[:, None]).sum(1) > k):
+            tied, places = cos[r] == last[r], got[r] == last[r]
+            weight = max(float(last[r]), 0.0) ** self.power * places.sum()
+            up[r] += weight * self.labels[tied].mean() - (w[r] * self.labels[near[r]])[places].sum()
+        some = (counts[:, :TRIGRAMS].any(1)) & (whole > 0)
+        out[some] = (up / np.maximum(whole, 1e-300))[some]
         return np.clip(out, 0, 1)
 
 
@@ -147,7 +155,9 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", max_labelled
                 v.append(c[c != 0].astype(np.float16).tobytes())
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("y"), pa.array(at, pa.binary()), pa.array(v, pa.binary())], names=["doc_id", "y", "at", "v"])
 
-    found = docs.select("doc_id", F.col("text").alias("t")).join(F.broadcast(chosen), "doc_id").select("doc_id", "y", "t").mapInArrow(counted, "doc_id long, y double, at binary, v binary").orderBy("doc_id", "at", "v").collect()
+    found = docs.select("doc_id", F.col("text").alias("t")).join(F.broadcast(chosen), "doc_id").select("doc_id", "y", "t").mapInArrow(counted, "doc_id long, y double, at binary, v binary")
+    # of rows that repeat an id one text is learned from, so that the driver never holds more than max_labelled
+    found = sorted(found.groupBy("doc_id").agg(F.first("y").alias("y"), F.min(F.struct("at", "v")).alias("x")).select("doc_id", "y", "x.at", "x.v").collect())
     if not found:
         return Model(weight, np.zeros((TERMS, 1), np.float32), np.zeros((0, 1), np.float32), np.zeros(0), 0.5, neighbours, power)
     # one matrix of the sample, changed in place: the driver holds max_labelled rows of floats and no copies
@@ -167,7 +177,7 @@ def score(docs: DataFrame, model: Model, keep: list[str], text_col: str = "text"
     """``keep`` columns and the score, called ``name``. Null, empty and term-less texts score the sample's mean label."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
     schema = docs.select(*keep).withColumn(name, F.lit(0.0)).schema
-    given = text_col if text_col in keep else "text_"
+    given = text_col if text_col in keep else unused([*keep, name], "text_")[0]
 
     def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
@@ -177,7 +187,7 @@ def score(docs: DataFrame, model: Model, keep: list[str], text_col: str = "text"
                 got.append(m.score(np.stack([term_counts(t) for t in texts.slice(at, block).to_pylist()])))
             yield pa.RecordBatch.from_arrays([*(b.column(c) for c in keep), pa.array(np.concatenate(got))], names=[*keep, name])
 
-    rows = docs.select(*keep) if given == text_col else docs.select(*keep, F.col(text_col).alias("text_"))
+    rows = docs.select(*keep) if given == text_col else docs.select(*keep, F.col(text_col).alias(given))
     return rows.mapInArrow(scored, schema)
 
 
@@ -189,5 +199,6 @@ def op9_neighbour_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def quality_kept(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier doesn't reject (score of 0.7 or more), with their own columns."""
-    scored = score(docs, fit(docs, table(spark, sf_dir, "labels")), docs.columns, name="quality_score_")
-    return scored.where("quality_score_ >= 0.7").select(*docs.columns)
+    name = unused(docs.columns, "quality_score_")[0]
+    scored = score(docs, fit(docs, table(spark, sf_dir, "labels")), docs.columns, name=name)
+    return scored.where(F.col(name) >= 0.7).select(*docs.columns)

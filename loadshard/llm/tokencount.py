@@ -22,7 +22,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from loadshard.llm.common import table
+from loadshard.llm.common import table, unused
 
 #: Fixed values of the byte-level vocabularies: pretoken pattern and printable stand-ins of bytes.
 PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
@@ -182,19 +182,20 @@ def vocabulary_path(name: str = "byte_bpe_50k.json") -> str:
 
 
 def token_counts(docs: DataFrame, vocabulary: str, text_col: str = "text", chunk_chars: int = 1 << 16, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """``keep`` columns, n_bytes and n_tokens for each row.
+    """``keep`` columns, n_bytes and n_tokens (with an underscore where ``keep`` has such a name) for each row.
 
     Texts over ``chunk_chars`` code points are cut into chunks whose maps are counted one by one and composed
     by a scan in which halves are composed pairwise. Null texts count as empty (0, 0); repeated rows each have
     their row; an empty table gives no rows; ``vocabulary`` is a path that executors can open."""
-    rows = docs.select(*keep, F.coalesce(F.octet_length(text_col).cast("long"), F.lit(0).cast("long")).alias("n_bytes"), F.coalesce(text_col, F.lit("")).alias("text_"))
-    schema = rows.drop("text_").withColumn("n_tokens", F.lit(0).cast("long")).schema
+    n_bytes, n_tokens, given = unused(list(keep), "n_bytes", "n_tokens", "text_")
+    rows = docs.select(*keep, F.coalesce(F.octet_length(text_col).cast("long"), F.lit(0).cast("long")).alias(n_bytes), F.coalesce(text_col, F.lit("")).alias(given))
+    schema = rows.drop(given).withColumn(n_tokens, F.lit(0).cast("long")).schema
 
     def counted(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         t = transducer(vocabulary)
         for b in batches:
-            counts = [t.count(x) if len(x) <= chunk_chars else scan(t, x, chunk_chars) for x in b["text_"]]
-            yield b.drop(columns="text_").assign(n_tokens=counts)
+            counts = [t.count(x) if len(x) <= chunk_chars else scan(t, x, chunk_chars) for x in b[given]]
+            yield b.drop(columns=given).assign(**{n_tokens: counts})
 
     return rows.mapInPandas(counted, schema)
 

@@ -16,11 +16,11 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from loadshard.llm.common import lower_ascii, table, words_of
+from loadshard.llm.common import lower_ascii, materialize, table, words_of
 
 SAMPLES = 64
 LANE = 4  # hexadecimal digits
-MAX_CELLS = 200_000  # neighbour cells; their first ids are broadcast, at most 3.2 MB
+MAX_CELLS = 100_000  # neighbour cells; the places where they begin are broadcast, at most 2 MB
 CELL_ROWS = 1_000
 
 
@@ -116,26 +116,36 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return least.select("id", lanes([F.col(f"m{k}") for k in range(samples)]).alias("fp"))
 
 
+def _places(base: DataFrame) -> DataFrame:
+    """Adds place, which orders rows by descending id, nulls last, then by a hash of the text."""
+    return base.withColumn("place", F.struct(F.col("id").isNull().cast("int").alias("last"), F.coalesce(F.bitwise_not("id"), F.lit(0)).alias("down"), F.xxhash64("t").alias("h")))
+
+
+def _cell_starts(base: DataFrame) -> DataFrame:
+    """One row: the places at which cells of about CELL_ROWS rows begin, in order, whatever the ids' spread.
+
+    Spark's range partitioning picks them from its sample; ids that repeat are told apart by their texts' hashes, so
+    no id makes a cell of its own."""
+    places = _places(base).select("place")
+    cells = max(1, min(MAX_CELLS, places.count() // CELL_ROWS))
+    firsts = places.repartitionByRange(cells, "place").groupBy(F.spark_partition_id().alias("p")).agg(F.min("place").alias("place"))
+    return firsts.agg(F.sort_array(F.collect_list("place")).alias("starts"))
+
+
 def _with_next(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(cell, pos, id, t, own): documents dealt into cells by descending id, each cell ending with a copy of the
-    next cell's first document (own = false), so that a neighbour never lies in another cell.
-
-    A cell is an id range; the first ids of cells, at most MAX_CELLS numbers, are all that is broadcast. Null ids
-    come last; rows with one id are told apart by a hash of the text."""
-    base = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("t"))
-    least, most, rows = docs.agg(F.min(id_col), F.max(id_col), F.count(F.lit(1))).first()
-    least, most = least or 0, most or 0
-    cells = max(1, min(MAX_CELLS, rows // CELL_ROWS))
-    width = (most - least) // cells + 1
-    # cell numbers grow as ids fall; ids span less than 2^63
-    cell = F.coalesce(F.expr(f"({most}L - id) div {width}L"), F.lit(cells + 1).cast("long"))
-    placed = base.withColumn("cell", cell)
-    firsts = docs.select(F.col(id_col).alias("id")).withColumn("cell", cell).groupBy("cell").agg(F.max("id").alias("first"))
-    w = W.orderBy("cell")  # over the cells, not over rows
-    before = F.coalesce(F.lag("cell").over(w), F.max("cell").over(W.orderBy(F.lit(1)).rowsBetween(W.unboundedPreceding, W.unboundedFollowing)))
-    heads = firsts.select(F.col("cell").alias("c"), "first", before.alias("to"))
-    copies = placed.join(F.broadcast(heads), (F.col("cell") == F.col("c")) & F.col("id").eqNullSafe(F.col("first"))).select("id", "t", F.col("to").alias("cell"), F.lit(False).alias("own"), F.lit(1).alias("late"))
-    return placed.select("id", "t", "cell", F.lit(True).alias("own"), F.lit(0).alias("late")).union(copies)
+    """(cell, place, id, t, own): documents dealt into cells of neighbours, each cell ending with a copy of the next
+    cell's first document (own = false), so that a neighbour never lies in another cell."""
+    base = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("t"))
+    starts = materialize(_cell_starts(base))
+    n = F.size("starts")
+    steps = F.array(*(F.lit(1 << k) for k in reversed(range(MAX_CELLS.bit_length()))))
+    # the last start that is not behind a row's place, by bisection
+    at = F.aggregate(steps, F.lit(0), lambda lo, step: F.when((lo + step < n) & (F.get("starts", lo + step) <= F.col("place")), lo + step).otherwise(lo))
+    placed = _places(base).withColumn("one", F.lit(1)).join(F.broadcast(starts.withColumn("one", F.lit(1))), "one").withColumn("cell", at)
+    # a cell's first rows are told once more, to the cell before (the first cell's to the last)
+    first = F.get("starts", F.col("cell")) == F.col("place")
+    to = F.array(F.struct(F.col("cell"), F.lit(True).alias("own")), F.struct(F.pmod(F.col("cell") - 1, n).alias("cell"), F.lit(False).alias("own")))
+    return placed.select("place", "id", "t", F.explode(F.slice(to, F.lit(1), F.when(first, 2).otherwise(1))).alias("x")).select("x.cell", "place", "id", "t", "x.own")
 
 
 def edited_pairs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", samples: int = SAMPLES) -> DataFrame:
@@ -145,7 +155,7 @@ def edited_pairs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     descending id, the last one's next being the first. Null texts are empty; of rows that share an id, order is
     by a hash of the text; a single document is its own next."""
     cells = _with_next(docs, id_col, text_col)
-    order = W.partitionBy("cell").orderBy("late", F.col("id").desc_nulls_last(), F.xxhash64("t"))
+    order = W.partitionBy("cell").orderBy(F.col("own").desc(), "place")
     n = F.length("t")
     third = F.floor(n / 3).cast("int")
     # rows keep the cell's partitioning from here on: nothing below is shuffled again

@@ -59,6 +59,35 @@ def test_op1_edits_and_fingerprints(docs, none):
     assert {r["fp"] for r in weightedsampling.fingerprints(docs).where("id = 1").collect()} == {fp[1]}
 
 
+def test_op1_edited_and_near_values(spark):
+    rng = np.random.default_rng(4)
+    texts = {k: " ".join(rng.choice(["alpha", "beta", "gamma", "delta", "eps"], int(rng.integers(0, 40)))) for k in range(60)}
+    texts |= {2**61: "far away alpha", -(2**62): "low gamma"}
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    order = sorted(texts, reverse=True)
+    edited = {}
+    for k, i in enumerate(order):
+        t, n = texts[i], texts[order[(k + 1) % len(order)]]
+        edited[i] = t[: len(t) - len(t) // 3] + n[: len(t) // 3]
+    own = {r["id"]: r["fp"] for r in weightedsampling.fingerprints(df).collect()}
+    new = {r["id"]: r["fp"] for r in weightedsampling.fingerprints(spark.createDataFrame(list(edited.items()), "doc_id long, text string")).collect()}
+    near = lambda a, b: sum(a[j : j + 4] == b[j : j + 4] for j in range(0, 256, 4)) / 64
+    got = {r["id"]: r for r in weightedsampling.edited_pairs(df).collect()}
+    for k, i in enumerate(order):
+        r = got[i]
+        assert (r["fingerprint"], r["edited_fingerprint"]) == (own[i], new[i])
+        assert r["near_edited"] == near(own[i], new[i]) and r["near_next"] == near(own[i], own[order[(k + 1) % len(order)]])
+
+
+@pytest.mark.parametrize("spread", ["far", "null", "one"])
+def test_op1_cells_are_even(spark, monkeypatch, spread):
+    monkeypatch.setattr(weightedsampling, "CELL_ROWS", 100)
+    ids = {"far": [*range(2000), 2**61], "null": [None] * 2000, "one": [7] * 2000}[spread]
+    cells = weightedsampling._with_next(spark.createDataFrame([(i, f"t{k}") for k, i in enumerate(ids)], "doc_id long, text string"), "doc_id", "text")
+    sizes = [r["count"] for r in cells.groupBy("cell").count().collect()]
+    assert cells.where("own").count() == len(ids) and max(sizes) < 400
+
+
 def test_op1_collision_rate_is_generalised_jaccard(spark):
     rng = np.random.default_rng(0)
     pairs = []
@@ -142,7 +171,7 @@ def test_op3(spark):
 
 def test_op3_collisions_are_raised(spark, monkeypatch):
     rows = [(f"1{k:01d}.1.1.{k}",) for k in range(1, 9)]
-    m = surrogates.described(spark.createDataFrame(rows, "m string"))
+    m = surrogates.described(spark.createDataFrame(rows, "m string")).select("m", "kind", "canon")
     monkeypatch.setattr(surrogates, "_byte", lambda stream, i: F.conv(F.substring(stream, 1, 1), 16, 10).cast("int") % 4)  # four surrogates for all
     with pytest.raises(RuntimeError):
         surrogates.assign(m, "k", max_rounds=3)
@@ -151,6 +180,35 @@ def test_op3_collisions_are_raised(spark, monkeypatch):
     assert len({r["s"] for r in got}) == 8 and not {r["s"] for r in got} & {r[0] for r in rows} and max(r["attempt"] for r in got) > 0
 
 
+def test_op3_names_addresses_and_accounts(spark):
+    rows = [
+        (1, "Mr John Smith wrote. Mr Smith and Maria Lopez met Dr Maria Lopez, Anna Schmidt and Prof. Smith; Mr John Brown left."),
+        (2, "from 2001:db8::1 to 2001:0DB8:0:0:0:0:0:1 and fe80::a1:2, not std::vec or a::b, at 12:30:45"), (3, "pay DE89 3704 0044 0532 0130 00 or DE89370400440532013000, not DE00370400440532013000"), (4, "JOHN SMITH and Карл; Мария Иванова"),
+    ]
+    got = {r["doc_id"]: r["text"] for r in surrogates.replace_entities(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    m = re.fullmatch(r"Mr (\w+) (\w+) wrote\. Mr (\w+) and (\w+) (\w+) met Dr (\w+) (\w+), (\w+) (\w+) and Prof\. (\w+); Mr (\w+) (\w+) left\.", got[1])
+    assert m[2] == m[3] == m[10] and m[1] == m[11] and m[12] != m[2] and (m[4], m[5]) == (m[6], m[7]) and m[8] != m[4] and m[9] != m[5]
+    assert {m[4], m[8]} <= set(surrogates.FIRST["latin", "f"].split()) and not re.search("John|Smith|Maria|Lopez|Anna|Schmidt", got[1])
+    m = re.fullmatch(r"from (\S+) to (\S+) and (\S+), not std::vec or a::b, at 12:30:45", got[2])
+    assert m[1] == m[2] != m[3] and m[1].startswith("2001:db8:") and len(m[1].split(":")) == 8
+    m = re.fullmatch(r"pay (DE\d\d(?: \d{4}){4} \d\d) or (DE\d{20}), not (DE\d{20})", got[3])
+    rest = lambda x: int("".join(str(int(c, 36)) for c in x[4:] + x[:4])) % 97
+    assert m[1].replace(" ", "") == m[2] != "DE89370400440532013000" and rest(m[2]) == 1
+    assert re.search("[А-я]+ [А-я]+$", got[4]) and "Иванова" not in got[4]
+
+
+def test_op3_distinct_and_coreferent_at_ten_thousand(spark):
+    """Every entity has one surrogate and no two share one; surnames alone agree with full names."""
+    name = lambda k: "".join("bcdfghjklm"[int(d)] + "aeiou"[int(d) % 5] for d in f"{k:04d}").capitalize()
+    rows = [(k, f"Mr John {name(k)} x; Mr {name(k)} y; {k}.user@mail{k % 7}.example.com z") for k in range(10_000)]
+    got = surrogates.replace_entities(spark.createDataFrame(rows, "doc_id long, text string")).select("doc_id", "text", "mentions_").collect()
+    found = [re.fullmatch(r"Mr (\w+) (\w+) x; Mr (\w+) y; (\S+) z", r["text"]).groups() for r in got]
+    assert len({f for f, *_ in found}) == 1 and all(a == b for _, a, b, _ in found)
+    assert len({a for _, a, *_ in found}) == 10_000 == len({m for *_, m in found})
+    assert not {a for _, a, *_ in found} & {name(k) for k in range(10_000)}
+    assert all(tuple(r["mentions_"][:2]) == (1, 2) for r in got)
+
+
 # 4 ------------------------------------------------------------------------------------------------
 
 
@@ -536,6 +594,30 @@ def test_op9_cosines_are_exact():
         assert s == pytest.approx(sum(a * l for a, (_, l) in zip(w, near, strict=True)) / sum(w), abs=1e-4)
 
 
+CLASHES = "size target taken source_size gone_ id id_ k k_ key key_ at h h_ n_lines_ n_removed_ told told_ found found_ swapped mentions_ quality_score_ item_ cosine_ lcs_ answer_ text_ n_tokens n_bytes rid sid root salt_ n_".split()
+
+
+@pytest.fixture(scope="module")
+def clashing(spark):
+    body = [" ".join(f"w{(k * 7 + j) % 97}" for j in range(60)) for k in range(6)]
+    return spark.createDataFrame([(k, body[k % 5] + ("\ncall 555-123-4567" if k else ""), "en", f"s{k % 2}", 9, *CLASHES) for k in range(8)], "doc_id long, text string, lang string, source string, n_chars long, " + ", ".join(f"{c} string" for c in CLASHES))
+
+
+def test_stages_with_clashing_columns(spark, clashing, sf):
+    for stage in (neighbours.quality_kept, linededup.lines_deduped, simhash.near_deduped, latentdecon.decontaminated, mixing.mixed):
+        out = stage(spark, clashing, sf)
+        assert out.columns[: len(clashing.columns)] == clashing.columns
+        for r in out.collect():
+            assert [r[c] for c in CLASHES] == CLASHES
+    assert set(out.columns) - set(clashing.columns) == {"size_", "source_size_", "target_", "taken_"}
+
+
+def test_operators_with_clashing_columns(clashing):
+    assert [[r[c] for c in CLASHES] for r in surrogates.replace_entities(clashing).collect()] == [CLASHES] * 8
+    got = tokencount.token_counts(clashing, tokencount.vocabulary_path(), keep=("doc_id", "n_tokens", "n_bytes", "text_")).collect()
+    assert all(r["n_tokens"] == "n_tokens" and r["n_tokens_"] > 0 and r["text_"] == "text_" for r in got)
+
+
 # 10 -----------------------------------------------------------------------------------------------
 
 
