@@ -39,7 +39,16 @@ def materialize(df: DataFrame) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/loadshard-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.written_to = path
+    return out
+
+
+def discard(df: DataFrame) -> None:
+    """Deletes the table of a materialised DataFrame that nothing reads any more."""
+    spark = df.sparkSession
+    path = spark._jvm.org.apache.hadoop.fs.Path(df.written_to)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def texts_of(column: pa.Array, step: int = 64) -> Iterator[str | None]:
@@ -68,21 +77,6 @@ def unused(columns: list[str], *names: str) -> list[str]:
     return out
 
 
-#: A key is hot if it holds more rows than this, and more than a HOT_SHARE-th of all, so there are at most HOT_SHARE hot keys.
-HOT_ROWS, HOT_SHARE, SALTS = 1_000, 10_000, 64
-
-
-def lookup(rows: DataFrame, facts: DataFrame, key: str, spread: Column, total: int) -> DataFrame:
-    """``rows`` joined with ``facts``, which has a row a key and a count n_ of its rows; hot keys are dealt over SALTS tasks
-    by a hash of ``spread``. ``total`` is the number of rows; at most HOT_SHARE keys are broadcast."""
-    hot = F.col("n_") > max(HOT_ROWS, total // HOT_SHARE)
-    keys = facts.where(hot).select(F.col(key).alias("hot_"))
-    salt = F.when(F.col("hot_").isNotNull(), F.pmod(F.xxhash64(spread), F.lit(SALTS))).otherwise(0).cast("int")
-    dealt = rows.join(F.broadcast(keys), F.col(key) == F.col("hot_"), "left").withColumn("salt_", salt).drop("hot_")
-    copies = F.when(hot, F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))
-    return dealt.join(facts.withColumn("salt_", F.explode(copies)).drop("n_"), [key, "salt_"]).drop("salt_")
-
-
 def running_total(rows: DataFrame, keys: list[str], order: str, value: str, name: str, span: int = 4_096) -> DataFrame:
     """``rows`` with ``name``: the sum of ``value`` up to and with each row, by ``keys`` in the order of a whole number.
 
@@ -98,8 +92,8 @@ def running_total(rows: DataFrame, keys: list[str], order: str, value: str, name
 def connected_components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
     """(node, component) for every node of ``edges`` (columns a, b); component is its smallest node.
 
-    Alternates the two star contractions, each a partial aggregation and an equi-join in which hubs are salted, and
-    writes the remaining edges to the shared folder each round. Self-loops and repeated edges are allowed, null ends
+    Alternates the two star contractions, each a partial aggregation and an equi-join, and writes the
+    remaining edges to the shared folder each round. Self-loops and repeated edges are allowed, null ends
     are ignored, no edges give no rows."""
     e = materialize(
         edges.where("a is not null and b is not null and a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
@@ -110,12 +104,13 @@ def connected_components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
         if not seen[0]:
             break
         both = e.union(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        low = both.groupBy("a").agg(F.min("b").alias("m"), F.count(F.lit(1)).alias("n_")).select("a", F.least("a", "m").alias("m"), "n_")
-        large = lookup(both, low, "a", F.col("b"), 2 * seen[0]).where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
-        low = large.groupBy("a").agg(F.min("b").alias("m"), F.count(F.lit(1)).alias("n_"))
-        small = lookup(large, low, "a", F.col("b"), seen[0]).where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
-        e = materialize(small.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).union(low.select("a", F.col("m").alias("b"))).distinct())
+        low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
+        large = both.join(low, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
+        low = large.groupBy("a").agg(F.min("b").alias("m"))
+        small = large.join(low, "a").where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
+        before, e = e, materialize(small.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).union(low.select("a", F.col("m").alias("b"))).distinct())
         now = mark(e)
+        discard(before)
         if now == seen:
             break
         seen = now

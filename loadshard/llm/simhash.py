@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from loadshard.llm.common import classes_in_parts, connected_components, lookup, lower_ascii, materialize, table, texts_of, unused, words_of
+from loadshard.llm.common import classes_in_parts, connected_components, lower_ascii, materialize, table, texts_of, unused, words_of
 from loadshard.llm.linededup import BANDS, minhash_bands
 
 #: Fixed value: generator polynomial of the binary Golay code.
@@ -145,10 +145,9 @@ def components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     classes = fps.groupBy("fp").agg(F.min("id").alias("rep"))
     linked = connected_components(links(fps.withColumn("t", F.lit(0)), bucket_cap)).select(F.col("node").alias("fp"), "component")
     rooted = materialize(classes.join(linked, "fp", "left").withColumn("root", F.coalesce("component", "fp")).select("fp", "rep", "root"))
-    least = rooted.groupBy("root").agg(F.min("rep").alias("component_id"), F.count(F.lit(1)).alias("n_"))
-    counts = fps.groupBy("fp").agg(F.count(F.lit(1)).alias("n_"))
-    named = materialize(lookup(rooted, least, "root", F.col("fp"), rooted.count()).select("fp", "component_id").join(counts, "fp"))
-    return lookup(fps, named, "fp", F.col("rid"), fps.count()).select("id", "rid", "fp", "component_id")
+    least = rooted.groupBy("root").agg(F.min("rep").alias("component_id"))
+    named = materialize(rooted.join(least, "root").select("fp", "component_id"))
+    return fps.join(named, "fp").select("id", "rid", "fp", "component_id")
 
 
 SEEDS = (42, 7, 19, 101, 3, 57, 211, 1009)
@@ -240,9 +239,9 @@ def near_deduped(spark: SparkSession, docs: DataFrame, sf_dir: str, id_col: str
     rows = docs.select(F.col(id_col).alias("id"), key.alias("h"))
     classes = materialize(text_classes(docs, text_col))
     placed = materialize(rows.join(classes, "h", "left").select("id", "h", F.coalesce("root", "h").alias("root")).groupBy("root", "h", "id").agg(F.count(F.lit(1)).alias("n")))
-    kept = placed.groupBy("root").agg(F.min(F.struct("id", "h")).alias("k"), F.count(F.lit(1)).alias("n_"))
+    kept = placed.groupBy("root").agg(F.min(F.struct("id", "h")).alias("k"))
     mine, i, k = unused(docs.columns, "key", "id", "k")
-    late = lookup(placed, kept, "root", F.col("h"), placed.count()).where(~F.struct("id", "h").eqNullSafe(F.col("k")))
+    late = placed.join(kept, "root").where(~F.struct("id", "h").eqNullSafe(F.col("k")))
     gone = late.select(F.col("id").alias(i), F.col("h").alias(k))
     d = docs.withColumn(mine, key)
     out = d.join(gone, F.col(id_col).eqNullSafe(F.col(i)) & (F.col(mine) == F.col(k)), "left_anti")
