@@ -116,15 +116,20 @@ def decompose(patterns: list[TriplePattern], k: int) -> list[list[TriplePattern]
     return out
 
 
-def run_core(store: KHop, scope: Scope, patterns: list[TriplePattern], dedup: str) -> DataFrame:
-    """One sub-pattern in all parts at once, part_id being a join key. owned: an answer counts where its core vertex is
-    owned, which costs a join with the owners; distinct: answers of all parts are made distinct."""
+def core_rows(store: KHop, scope: Scope, patterns: list[TriplePattern]) -> tuple[str | None, DataFrame]:
+    """(core vertex, answers) of one sub-pattern in all parts at once, part_id being a join key; copies answer too."""
     core = core_vertex(patterns, store.k)
     bound = []
     for t in join_order(tuple(patterns)):
         rows = store.triples.where(F.col("owned")) if core is None else store.triples
         bound.append(scope.bind(rows, t, ("part_id",)))
-    rows = reduce(natural, bound)
+    return core, reduce(natural, bound)
+
+
+def run_core(store: KHop, scope: Scope, patterns: list[TriplePattern], dedup: str) -> DataFrame:
+    """One sub-pattern without repeats. owned: an answer counts where its core vertex is owned, which costs a join with the
+    owners; distinct: answers of all parts are made distinct."""
+    core, rows = core_rows(store, scope, patterns)
     if core is None:
         return rows.drop("part_id")
     if dedup == "owned":
@@ -149,6 +154,25 @@ def run(q: Query, store: KHop, dedup: str = "owned") -> DataFrame:
     return finish_query(q, done)
 
 
+def duplicates(q: Query, store: KHop) -> DataFrame:
+    """(branch, part, found, kept, removed): answers of each sub-pattern that has a core over all parts, those that
+    ownership keeps, and those that it removes as repeats of replication."""
+    out = []
+    for i, g in enumerate(q.branches):
+        scope = Scope(g, {k for k, _ in q.order})
+        groups = [list(g.required)] if is_pwoc(list(g.required), store.k) else decompose(list(g.required), store.k)
+        for j, patterns in enumerate(groups):
+            core, rows = core_rows(store, scope, patterns)
+            if core is None:
+                continue
+            owner = store.labels.select(F.col("s").alias(core), F.col("part_id").alias("home_"))
+            kept = F.coalesce(F.sum((F.col("part_id") == F.col("home_")).cast("long")), F.lit(0))
+            n = rows.join(owner, core).agg(F.count(F.lit(1)).alias("found"), kept.alias("kept"))
+            out.append(n.select(F.lit(i).alias("branch"), F.lit(j).alias("part"), "found", "kept", (F.col("found") - F.col("kept")).alias("removed")))
+    empty = store.triples.sparkSession.createDataFrame([], "branch int, part int, found long, kept long, removed long")
+    return reduce(DataFrame.union, out, empty)
+
+
 def replication_factor(store: KHop) -> float:
     r = store.triples.agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("owned").cast("long")).alias("own")).first()
     return r["n"] / r["own"]

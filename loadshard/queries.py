@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from functools import partial
+from functools import partial, reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -15,7 +15,7 @@ from loadshard.operators import dictionary, sizing
 from loadshard.operators.allocation import hash_site, place, second_round
 from loadshard.operators.fragments import Fragmentation, fragment, fragment_edges, fragment_table
 from loadshard.operators.predicates import extract, satisfiable_minterms
-from loadshard.operators.store import Store, bootstrap, virtual_store
+from loadshard.operators.store import Store, bootstrap, fragment_by_statistics, from_sites, pair_counts, site_summaries, virtual_store
 from loadshard.plans.cost import moved_pages
 from loadshard.plans.initial import access_path
 from loadshard.plans.physical import Meter, execute, plan
@@ -125,6 +125,20 @@ def mini_fragments(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fragment_table(spark, mini(spark, sf_dir).fragmentation).select("definition", "size", "freq", "load")
 
 
+def mini_by_statistics(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Fragment sizes from counts by property and by constant, without a count of cells."""
+    a = analyse(load_queries(spark, [(q, text_of(q), 1) for q in MINI]), 1)
+    t = mini(spark, sf_dir).triples
+    stats = from_sites(site_summaries(t), pair_counts(t, extract(a)))
+    return fragment_table(spark, fragment_by_statistics(a, stats, signature="none")).where("size > 0").select("definition", "size", "freq", "load")
+
+
+def site_statistics(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Statistics by property, merged from what each site tells of its triples."""
+    stats = from_sites(site_summaries(built(spark, sf_dir).triples))
+    return spark.createDataFrame([(p, s.rows, s.low, s.high) for p, s in stats.properties.items()], "p string, n long, low double, high double")
+
+
 def mini_assignment(spark: SparkSession, sf_dir: str) -> DataFrame:
     st = mini(spark, sf_dir)
     name = spark.createDataFrame([(f.number, f.label()) for f in st.fragmentation.fragments], "frag_id int, definition string")
@@ -221,6 +235,12 @@ def khop_measures(spark: SparkSession, sf_dir: str) -> DataFrame:
     return k.triples.groupBy("part_id").agg(F.count(F.lit(1)).alias("triples"), F.sum(F.col("owned").cast("long")).alias("owned"))
 
 
+def khop_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Answers that replication repeats in each sub-pattern, and that ownership removes."""
+    one = lambda q: khop.duplicates(query(q), built_khop(spark, sf_dir)).select(F.lit(q).alias("query"), "branch", "part", "found", "kept", "removed")
+    return reduce(DataFrame.union, [one(q) for q in ("b01", "b05", "b08", "b10", "b12", "b16", "s6")])
+
+
 def khop_local(spark: SparkSession, _: str) -> DataFrame:
     return spark.createDataFrame([(q, khop.is_pwoc(list(query(q).branches[0].required), 2)) for q in CRAWL], "query string, local boolean")
 
@@ -259,6 +279,7 @@ QUERIES: dict[str, Run] = {
     "simple_predicates": predicate_rows,
     "minterm_counts": minterm_counts,
     "fragment_sizes_exact": mini_fragments,
+    "fragment_sizes_statistics": mini_by_statistics,
     "fragment_assignment_hash": mini_assignment,
     **{f"fragment_frequency_{m}": partial(sample_frequency, m) for m in ("pattern_sum", "query_count", "closest")},
     **{f"fragment_edges_{m}": partial(sample_edges, m) for m in ("edge_sum", "query_count")},
@@ -283,6 +304,8 @@ QUERIES: dict[str, Run] = {
     "sampled_sizes": sampled_sizes,
     "replication_round": replicated,
     "khop_parts": khop_measures,
+    "khop_duplicates": khop_duplicates,
+    "site_statistics": site_statistics,
     "khop_local_queries": khop_local,
     "access_paths": access_paths,
 }
@@ -295,6 +318,7 @@ def _load(body: str, items=O.CRAWL) -> str:
     return f"WITH {O.load_cte(items)}, {O.TERMS}, {O.normalized(THETA)}, {O.SEATS} {body}"
 
 
+_MINI_SIZES = f"WITH {O.tri(MINI_TABLES)}, f AS (SELECT {_MINI} AS definition, count(*) AS size FROM tri GROUP BY 1), q AS (SELECT * FROM (VALUES {_FREQ}) v(definition, freq)) SELECT f.definition, f.size, q.freq, q.freq * f.size AS load FROM f JOIN q USING (definition)"
 _UPDATE = """, ev AS (SELECT * FROM events), live AS (SELECT e.* FROM ev e WHERE e.event_type <> 'error' AND NOT EXISTS (SELECT 1 FROM ev x WHERE x.event_id = e.event_id + 1 AND x.event_type = 'error')),
 buy AS (SELECT 'customer:' || user_id AS s, arg_max(CAST(CAST(value AS DECIMAL(18,2)) AS VARCHAR), event_id) AS o FROM ev WHERE event_type = 'purchase' GROUP BY user_id),
 sign AS (SELECT DISTINCT 'customer:' || user_id AS s FROM ev WHERE event_type = 'signup'),
@@ -315,13 +339,15 @@ ORACLES: dict[str, str] = {
     "query_graph_edges": _load(O.EDGE_SQL),
     "simple_predicates": O.SAMPLE_PREDICATES,
     "minterm_counts": O.SAMPLE_MINTERMS,
-    "fragment_sizes_exact": f"WITH {O.tri(MINI_TABLES)}, f AS (SELECT {_MINI} AS definition, count(*) AS size FROM tri GROUP BY 1), q AS (SELECT * FROM (VALUES {_FREQ}) v(definition, freq)) SELECT f.definition, f.size, q.freq, q.freq * f.size AS load FROM f JOIN q USING (definition)",
+    "fragment_sizes_exact": _MINI_SIZES,
+    "fragment_sizes_statistics": _MINI_SIZES,
     "fragment_assignment_hash": f"WITH {O.tri(MINI_TABLES)} SELECT {_MINI} AS definition, count(*) AS n, min(s) AS first, max(s) AS last FROM tri GROUP BY 1",
     **{f"fragment_frequency_{m}": O.sample_frequency(m) for m in ("pattern_sum", "query_count", "closest")},
     **{f"fragment_edges_{m}": O.sample_edges(m) for m in ("edge_sum", "query_count")},
     **{f"benefit_trace_{f}": O.sample_trace(f) for f in O.SCORES},
     **{f"allocation_{f}": O.sample_allocation(f) for f in O.SCORES},
     "access_paths": _load(O.ACCESS_PATHS),
+    "site_statistics": f"WITH {O.tri()} SELECT p, count(*) AS n, min(o_num) AS low, max(o_num) AS high FROM tri GROUP BY p",
     "remainder_split": f"WITH {O.tri(('pages', 'benchmark', 'part'))} SELECT CAST(('0x' || substr(md5(s), 1, 8))::BIGINT % 3 + 1 AS INTEGER) AS site_id, count(*) AS n FROM tri GROUP BY 1",
     "flagship": O.of_query("b05"),
     "update_after_batch": f"WITH {O.tri(('region', 'nation', 'customer', 'supplier', 'orders'))}{_UPDATE}",

@@ -7,14 +7,13 @@ from __future__ import annotations
 
 import json
 from dataclasses import replace
-from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from loadshard.functions.shared import materialize
+from loadshard.functions.shared import materialize, read_text, write_text
 from loadshard.operators.allocation import rebalance, site_column
-from loadshard.operators.store import SCHEMA, Store, statistics
+from loadshard.operators.store import SCHEMA, Store, dealt, statistics
 from loadshard.sources.mapping import BY_NAME, table_triples
 
 #: op_id, op (insert, delete, delete_subject, modify), ts, s, p, o, o_kind, o_num; for modify o is the new object.
@@ -80,8 +79,8 @@ def apply(triples: DataFrame, ops: DataFrame, store: Store) -> DataFrame:
 def apply_batch(store: Store, ops: DataFrame, batch_id: int) -> Store:
     """Rewrites the partitions that hold or get triples of the batch's subjects (dynamic partition overwrite)."""
     spark = ops.sparkSession
-    log = Path(f"{store.path}/_batches.json".removeprefix("file:"))
-    seen = json.loads(log.read_text()) if log.exists() else []
+    log = f"{store.path}/_batches.json"
+    seen = json.loads(read_text(spark, log) or "[]")
     if batch_id in seen:
         return store
     ops = materialize(ops)
@@ -94,12 +93,12 @@ def apply_batch(store: Store, ops: DataFrame, batch_id: int) -> Store:
         cond = F.concat_ws("/", "site_id", "frag_id").isin([f"{a}/{b}" for a, b in parts])
         held = store.triples.where(F.col("site_id").isin([a for a, _ in parts]) & F.col("frag_id").isin([b for _, b in parts]) & cond)
         after = materialize(apply(held, ops, store))
-        out = after.repartition("site_id", "frag_id").sortWithinPartitions("site_id", "frag_id", "p", "o", "s")
+        out = dealt(after, store.fragmentation, store.placement)
         out.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("site_id", "frag_id").parquet(store.path)
         empty = wanted.join(after.select("site_id", "frag_id").distinct(), ["site_id", "frag_id"], "left_anti").collect()
         for r in empty:
             _drop_partition(spark, f"{store.path}/site_id={r[0]}/frag_id={r[1]}")
-    log.write_text(json.dumps([*seen, batch_id]))
+    write_text(spark, log, json.dumps([*seen, batch_id]))
     return refresh(replace(store, triples=spark.read.schema(SCHEMA).parquet(store.path)))
 
 
@@ -125,7 +124,7 @@ def relocate(store: Store, tolerance: float = 1.5) -> Store:
     moves = rebalance(store.placement, store.fragmentation, tolerance)
     for f, a, b in moves:
         rows = materialize(store.triples.where((F.col("site_id") == a) & (F.col("frag_id") == f)))
-        rows.withColumn("site_id", F.lit(b)).repartition("frag_id").sortWithinPartitions("p", "o", "s").write.mode("append").partitionBy("site_id", "frag_id").parquet(store.path)
+        dealt(rows.withColumn("site_id", F.lit(b)), store.fragmentation, store.placement).write.mode("append").partitionBy("site_id", "frag_id").parquet(store.path)
         _drop_partition(spark, f"{store.path}/site_id={a}/frag_id={f}")
         store.placement.site_of[f] = b
         for s in store.placement.sites:

@@ -3,12 +3,14 @@ from __future__ import annotations
 from dataclasses import replace
 
 import pytest
+from pyspark.sql import functions as F
 
 from loadshard.baselines import khop
 from loadshard.operators import dictionary, sizing
 from loadshard.operators.allocation import place
 from loadshard.operators.fragments import fragment
-from loadshard.operators.store import bootstrap, load_catalogue, save_catalogue, statistics
+from loadshard.operators.predicates import Predicate
+from loadshard.operators.store import bootstrap, dealt, fragment_by_statistics, from_sites, load_catalogue, open_store, pair_counts, place_triples, save_catalogue, site_summaries, statistics
 from loadshard.plans.cost import CostParams, local, moved_pages, operator_cost, pages, plan_cost, transfer
 from loadshard.plans.initial import optimize
 from loadshard.plans.ir import Node, joins
@@ -173,6 +175,74 @@ def test_bootstrap_modes_and_catalogue(spark, base, tmp_path):
     save_catalogue(scan, str(tmp_path / "c.json"))
     c = load_catalogue(str(tmp_path / "c.json"))
     assert c["sites"] == 2 and len(c["fragments"]) == len(fr.fragments)
+    with pytest.raises(FileNotFoundError):
+        load_catalogue(str(tmp_path / "none.json"))
+
+
+def test_a_store_reopens_from_its_catalogue(spark, base, tmp_path):
+    t, fr, stores = base
+    save_catalogue(stores[3], f"file://{tmp_path}/c.json")
+    again = open_store(spark, f"file://{tmp_path}/c.json", fr.analysis)
+    assert again.placement == replace(stores[3].placement, trace=[]) and again.stats == stores[3].stats
+    assert again.fragmentation.fragments == fr.fragments and again.fragmentation.of_cell == fr.of_cell
+    assert rows_of(place_triples(t, again.fragmentation, again.placement).groupBy("site_id", "frag_id").count()) == rows_of(stores[3].triples.groupBy("site_id", "frag_id").count())
+    for q in ("b05", "b16", "s6"):
+        assert [(p.cost, p.sites, p.fragments) for p in plan(query(q), again)] == [(p.cost, p.sites, p.fragments) for p in plan(query(q), stores[3])]
+        assert rows_of(execute(query(q), again)) == rows_of(execute(query(q), stores[3]))
+
+
+def test_large_fragments_are_dealt_to_several_tasks(spark, base):
+    t, fr, stores = base
+    p = stores[2].placement
+    big = max(f.size for f in fr.fragments if f.number not in p.split)
+    rows = dealt(place_triples(t, fr, p), fr, p, rows_per_file=big // 4 + 1)
+    assert rows.count() == t.count() and "salts_" not in rows.columns
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", False)  # else so few rows are one task
+    try:
+        tasks = rows.withColumn("task", F.spark_partition_id()).groupBy("site_id", "frag_id").agg(F.count_distinct("task").alias("tasks"), F.count(F.lit(1)).alias("n")).collect()
+    finally:
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+    assert max(r["tasks"] for r in tasks if r["n"] == big) > 1
+    assert all(r["tasks"] == 1 for r in tasks if r["n"] * 8 < big)
+
+
+def test_statistics_from_sites(spark, base):
+    t, fr, stores = base
+    exact = {r["p"]: r for r in t.groupBy("p").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("s").alias("ds"), F.count_distinct("o").alias("do"), F.min("o_num").alias("lo"), F.max("o_num").alias("hi")).collect()}
+    got = from_sites(site_summaries(stores[3].triples), pair_counts(t, fr.cells.predicates))
+    assert got.total == t.count() and set(got.properties) == set(exact)
+    for p, s in got.properties.items():
+        assert (s.rows, s.low, s.high) == (exact[p]["n"], exact[p]["lo"], exact[p]["hi"])
+        assert abs(s.subjects - exact[p]["ds"]) <= 0.1 * exact[p]["ds"] + 1 and abs(s.objects - exact[p]["do"]) <= 0.1 * exact[p]["do"] + 1
+    for (p, o, kind), n in got.pairs.items():
+        assert n == t.where((F.col("p") == p) & (F.col("o") == o) & (F.col("o_kind") == kind)).count()
+
+
+def test_sizes_from_statistics(base):
+    t, fr, _ = base
+    equal = [p for p in fr.cells.predicates if p.op == "=" and p.component != "s"]
+    counted = fragment(fr.analysis, t, equal, signature="none")
+    stats = from_sites(site_summaries(t.withColumn("site_id", F.lit(1))), pair_counts(t, equal))
+    sized = fragment_by_statistics(fr.analysis, stats, equal, signature="none")
+    assert {f.label(): f.size for f in sized.fragments if f.size} == {f.label(): f.size for f in counted.fragments}
+    # without pair counts a constant gets a property's mean, and the sizes still add up
+    rough = fragment_by_statistics(fr.analysis, replace(stats, pairs={}), equal, signature="none")
+    assert abs(sum(f.size for f in rough.fragments) - stats.total) <= len(rough.cell_size)  # each cell is rounded
+    with pytest.raises(ValueError):
+        fragment_by_statistics(fr.analysis, stats, [Predicate("o", "<", "5", "num")])
+
+
+def test_khop_duplicates(spark):
+    rows = [("a", "p:x", "b", "iri", None), ("b", "p:y", "c", "iri", None), ("c", "p:z", "1", "num", 1.0), ("d", "p:x", "b", "iri", None)]
+    t = spark.createDataFrame(rows, "s string, p string, o string, o_kind string, o_num double")
+    labels = spark.createDataFrame([("a", 1), ("b", 1), ("c", 2), ("d", 2)], "s string, part_id int")
+    k = khop.replicate(t, labels, 2)  # part 2 holds a copy of b's triple for d, part 1 one of c's for b
+    for text, want in (
+        ("SELECT ?a WHERE { ?a p:x ?b . ?b p:y ?c }", [(0, 0, 2, 2, 0)]),
+        ("SELECT ?b WHERE { ?b p:y ?c }", [(0, 0, 2, 1, 1)]),
+        ("SELECT ?b WHERE { ?b p:y ?c . ?c p:z ?v }", [(0, 0, 2, 1, 1)]),
+    ):
+        assert sorted(map(tuple, khop.duplicates(parse(text), k).collect())) == want, text
 
 
 def test_sampled_statistics_come_near(base):
