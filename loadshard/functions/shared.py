@@ -35,13 +35,28 @@ def _file(spark: SparkSession, path: str) -> tuple:
 
 
 def write_text(spark: SparkSession, path: str, text: str) -> None:
-    """A small file on whatever file system the path names; a former one is replaced."""
+    """A small file on whatever file system the path names, there as a whole or not at all; a former one is replaced."""
     fs, at = _file(spark, path)
-    out = fs.create(at, True)
+    _, made = _file(spark, f"{path}.{uuid.uuid4().hex}.tmp")
+    out = fs.create(made, True)
     try:
         out.write(bytearray(text.encode()))
     finally:
         out.close()
+    if fs.exists(at):
+        fs.delete(at, False)
+    if not fs.rename(made, at):
+        raise OSError(f"cannot write {path}")
+
+
+def list_names(spark: SparkSession, path: str) -> list[str]:
+    fs, at = _file(spark, path)
+    return sorted(x.getPath().getName() for x in fs.listStatus(at)) if fs.exists(at) else []
+
+
+def delete_path(spark: SparkSession, path: str) -> None:
+    fs, at = _file(spark, path)
+    fs.delete(at, True)
 
 
 def read_text(spark: SparkSession, path: str) -> str | None:

@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from loadshard.functions.shared import read_text, write_text
+from loadshard.operators import layout
 from loadshard.operators.allocation import Placement, Site, site_column
 from loadshard.operators.fragments import Fragment, Fragmentation, assemble
 from loadshard.operators.predicates import Cells, Predicate, extract
@@ -74,23 +75,27 @@ def statistics(triples: DataFrame, fr: Fragmentation | None = None, fraction: fl
     got = triples.groupBy("p").agg(*aggs).collect()
     props = {r["p"]: PropertyStats(r["n"] * scale, r["ds"] * scale, min(r["do"] * scale, r["n"] * scale), r["lo"], r["hi"]) for r in got}
     total = sum(s.rows for s in props.values())
-    pairs: dict[tuple[str, str, str], int] = {}
-    if fr is not None:
-        ps, os_ = fr.cells.equal["p"], fr.cells.equal["o"]
-        pairs = {(p.value, o.value, o.kind): 0 for p in ps for o in os_}
-        sizes = {c: n for f in fr.fragments for c, n in zip(f.cells, _cell_sizes(fr, f), strict=True)}
-        for (_, pc, oc), n in sizes.items():
-            i, j = int(pc.split(".")[0]), int(oc.split(".")[0])
-            if i and j:
-                pairs[ps[i - 1].value, os_[j - 1].value, os_[j - 1].kind] += n
-    return Statistics(total, props, pairs, max((s.subjects for s in props.values()), default=1), sum(s.objects for s in props.values()))
-
-
-def site_summaries(triples: DataFrame) -> DataFrame:
+    return Statistics(total, props, counted_pairs(fr) if fr is not None else {}, max((s.subjects for s in props.values()), default=1), sum(s.objects for s in props.values()))
+
+
+def counted_pairs(fr: Fragmentation) -> dict[tuple[str, str, str], int]:
+    """(property, constant, kind) -> triples, from the cell counts."""
+    ps, os_ = fr.cells.equal["p"], fr.cells.equal["o"]
+    pairs = {(p.value, o.value, o.kind): 0 for p in ps for o in os_}
+    sizes = {c: n for f in fr.fragments for c, n in zip(f.cells, _cell_sizes(fr, f), strict=True)}
+    for (_, pc, oc), n in sizes.items():
+        i, j = int(pc.split(".")[0]), int(oc.split(".")[0])
+        if i and j:
+            pairs[ps[i - 1].value, os_[j - 1].value, os_[j - 1].kind] += n
+    return pairs
+
+
+def site_summaries(triples: DataFrame, by: tuple[str, ...] = ("site_id",)) -> DataFrame:
     """(site_id, p, n, subjects, objects, low, high) of a store: what each site tells of its own triples, in one partially
-    aggregated scan. Distinct subjects and objects are sketches, so that summaries can be merged."""
+    aggregated scan. Distinct subjects and objects are sketches, so that summaries can be merged. With frag_id in ``by``
+    they are kept by partition, and an update replaces those of the partitions it rewrites."""
     objects = F.hll_sketch_agg(F.concat_ws("\x01", "o_kind", "o"))
-    return triples.groupBy("site_id", "p").agg(F.count(F.lit(1)).alias("n"), F.hll_sketch_agg("s").alias("subjects"), objects.alias("objects"), F.min("o_num").alias("low"), F.max("o_num").alias("high"))
+    return triples.groupBy(*by, "p").agg(F.count(F.lit(1)).alias("n"), F.hll_sketch_agg("s").alias("subjects"), objects.alias("objects"), F.min("o_num").alias("low"), F.max("o_num").alias("high"))
 
 
 def from_sites(summaries: DataFrame, pairs: dict[tuple[str, str, str], int] | None = None) -> Statistics:
@@ -159,6 +164,8 @@ class Store:
     placement: Placement
     stats: Statistics
     path: str | None = None
+    buckets: int = 0
+    snapshot: layout.Snapshot | None = None
 
 
 def place_triples(triples: DataFrame, fr: Fragmentation, placement: Placement, key: str = "s") -> DataFrame:
@@ -166,9 +173,12 @@ def place_triples(triples: DataFrame, fr: Fragmentation, placement: Placement, k
     return fr.assign(triples).withColumn("site_id", site_column(placement, key))
 
 
-def dealt(placed: DataFrame, fr: Fragmentation, placement: Placement, files_per_fragment: int = 1, rows_per_file: int = ROWS_PER_FILE) -> DataFrame:
+def dealt(placed: DataFrame, fr: Fragmentation, placement: Placement, files_per_fragment: int = 1, rows_per_file: int = ROWS_PER_FILE, buckets: int = 0) -> DataFrame:
     """Placed triples shuffled by (site, fragment, salt) and sorted for writing. A fragment has as many salts as its counted
-    size needs at ``rows_per_file``, at least ``files_per_fragment``, so that no task gets a large fragment whole."""
+    size needs at ``rows_per_file``, at least ``files_per_fragment``, so that no task gets a large fragment whole. With
+    buckets the salt is the subject's bucket, and the writer sorts."""
+    if buckets:
+        return placed.repartition("site_id", "frag_id", F.pmod(F.hash("s"), F.lit(buckets)))
     share = {f.number: ceil(f.size / (placement.n if f.number in placement.split else 1) / rows_per_file) for f in fr.fragments}
     rows = [(k, n) for k, n in share.items() if n > files_per_fragment]
     salts = F.lit(files_per_fragment)
@@ -179,24 +189,43 @@ def dealt(placed: DataFrame, fr: Fragmentation, placement: Placement, files_per_
     return out.sortWithinPartitions("site_id", "frag_id", "p", "o", "s")
 
 
-def distribute(triples: DataFrame, fr: Fragmentation, placement: Placement, path: str, mode: str = "route", files_per_fragment: int = 1, key: str = "s", rows_per_file: int = ROWS_PER_FILE) -> None:
+def distribute(triples: DataFrame, fr: Fragmentation, placement: Placement, path: str, mode: str = "route", files_per_fragment: int = 1, key: str = "s", rows_per_file: int = ROWS_PER_FILE, buckets: int = 0) -> None:
     """Writes the sites. route: one scan whose rows are shuffled by (site, fragment, salt), see ``dealt``; scan: every site filters all triples by its own fragments, without a shuffle.
     Files are sorted by (p, o, s), which gives narrow column statistics."""
     placed = place_triples(triples, fr, placement, key)
     if mode == "scan":
         for site in range(1, placement.n + 1):
-            placed.where(F.col("site_id") == site).sortWithinPartitions("frag_id", "p", "o", "s").write.mode("append").partitionBy("site_id", "frag_id").parquet(path)
+            mine = placed.where(F.col("site_id") == site)
+            layout.write(mine if buckets else mine.sortWithinPartitions("frag_id", "p", "o", "s"), path, 0, buckets, first=site == 1, more=site > 1)
         return
-    dealt(placed, fr, placement, files_per_fragment, rows_per_file).write.mode("overwrite").partitionBy("site_id", "frag_id").parquet(path)
+    layout.write(dealt(placed, fr, placement, files_per_fragment, rows_per_file, buckets), path, 0, buckets, first=True)
+
+
+def bootstrap(spark: SparkSession, triples: DataFrame, fr: Fragmentation, placement: Placement, path: str, mode: str = "route", buckets: int | None = None) -> Store:
+    """Writes the sites and opens them as a store. Triples are bucketed by subject within each fragment, so that joins on a
+    subject need no exchange; None takes as many buckets as the largest fragment needs, or none at all where subjects are
+    too uneven for that; 0 writes no buckets."""
+    if buckets is None:
+        buckets = layout.bucket_count(max((f.size for f in fr.fragments), default=0))
+        buckets = buckets if layout.evenly_bucketed(triples, buckets) else 0
+    distribute(triples, fr, placement, path, mode, buckets=buckets)
+    everything = spark.read.schema(layout.SCHEMA).parquet(path)
+    write_summaries(everything, path, 0)
+    snapshot = layout.Snapshot(0, layout.parts_of_version(spark, path, 0))
+    layout.commit(spark, path, snapshot)
+    stats = from_sites(live_summaries(spark, path, snapshot), counted_pairs(fr))
+    return Store(layout.read(spark, path, buckets, snapshot), fr, placement, stats, path, buckets, snapshot)
 
 
-SCHEMA = "s string, p string, o string, o_kind string, o_num double, site_id int, frag_id int"
+def write_summaries(triples: DataFrame, path: str, version: int) -> None:
+    """Summaries by (site, fragment, property) of one version's partitions, kept beside them."""
+    site_summaries(triples.where(F.col("ver") == version), layout.PARTS).coalesce(1).write.mode("overwrite").parquet(f"{path}/_summaries/{version}")
 
 
-def bootstrap(spark: SparkSession, triples: DataFrame, fr: Fragmentation, placement: Placement, path: str, mode: str = "route") -> Store:
-    distribute(triples, fr, placement, path, mode)
-    placed = spark.read.schema(SCHEMA).parquet(path)
-    return Store(placed, fr, placement, statistics(placed, fr), path)
+def live_summaries(spark: SparkSession, path: str, snapshot: layout.Snapshot) -> DataFrame:
+    """The kept summaries of the partitions a snapshot consists of; no triple is read."""
+    kept = [f"{path}/_summaries/{v}" for v in sorted({v for v, _, _ in snapshot.live})]
+    return spark.read.parquet(*kept).where(layout.live_in(snapshot)) if kept else site_summaries(spark.createDataFrame([], layout.SCHEMA), layout.PARTS)
 
 
 def virtual_store(triples: DataFrame, fr: Fragmentation, placement: Placement) -> Store:
@@ -209,6 +238,7 @@ def save_catalogue(store: Store, path: str) -> None:
     fr, p = store.fragmentation, store.placement
     body = {
         "path": store.path,
+        "buckets": store.buckets,
         "predicates": [[x.component, x.op, x.value, x.kind] for x in fr.predicates],
         "fragments": [{"number": f.number, "bits": f.bits, "size": f.size, "freq": f.freq, "remainder": f.remainder, "cells": f.cells} for f in fr.fragments],
         "cell_sizes": [[*c, n] for c, n in fr.cell_size.items()],
@@ -249,4 +279,5 @@ def open_store(spark: SparkSession, catalogue: str, analysis: Analysis) -> Store
     sites = [Site(n, float("inf") if cap is None else cap, fs, load, used) for n, cap, fs, load, used in c["state"]]
     placement = Placement(c["sites"], {int(k): v for k, v in c["site_of"].items()}, sites, set(c["split"]), c["uniform"], [], {int(k): set(v) for k, v in c["copies"].items()})
     stats = Statistics(c["total"], {k: PropertyStats(*v) for k, v in c["properties"].items()}, {tuple(x[:3]): x[3] for x in c["pairs"]}, c["subjects"], c["objects"])
-    return Store(spark.read.schema(SCHEMA).parquet(c["path"]), fr, placement, stats, c["path"])
+    snapshot = layout.newest(spark, c["path"])
+    return Store(layout.read(spark, c["path"], c["buckets"], snapshot), fr, placement, stats, c["path"], c["buckets"], snapshot)

@@ -9,8 +9,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from loadshard import oracles as O
-from loadshard.baselines import by_property, khop
-from loadshard.functions.shared import fresh_path
+from loadshard.baselines import by_property, central, khop
+from loadshard.functions.shared import fresh_path, materialize
 from loadshard.operators import dictionary, sizing
 from loadshard.operators.allocation import hash_site, place, second_round
 from loadshard.operators.fragments import Fragmentation, fragment, fragment_edges, fragment_table
@@ -40,9 +40,14 @@ def held(spark: SparkSession, key: tuple, make: Callable[[], object]) -> object:
     return _held[key]
 
 
+def written(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The triples of all tables, written once for all stores."""
+    return held(spark, ("triples", sf_dir), lambda: materialize(triples(spark, sf_dir).sortWithinPartitions("p", "o", "s")))
+
+
 def built(spark: SparkSession, sf_dir: str, n: int = SITES, form: str = "smoothed") -> Store:
     def make() -> Store:
-        t = triples(spark, sf_dir)
+        t = written(spark, sf_dir)
         fr = fragment(analyse(load_queries(spark, crawl_load()), THETA), t)
         return bootstrap(spark, t, fr, place(fr, n, form), fresh_path(spark, "store"))
 
@@ -50,11 +55,11 @@ def built(spark: SparkSession, sf_dir: str, n: int = SITES, form: str = "smoothe
 
 
 def built_by_property(spark: SparkSession, sf_dir: str) -> Store:
-    return held(spark, ("byprop", sf_dir), lambda: by_property.build(spark, built(spark, sf_dir).triples.drop("site_id", "frag_id"), analyse(load_queries(spark, crawl_load()), THETA), SITES, path=fresh_path(spark, "byprop")))
+    return held(spark, ("byprop", sf_dir), lambda: by_property.build(spark, written(spark, sf_dir), analyse(load_queries(spark, crawl_load()), THETA), SITES, path=fresh_path(spark, "byprop")))
 
 
 def built_khop(spark: SparkSession, sf_dir: str) -> khop.KHop:
-    return held(spark, ("khop", sf_dir), lambda: khop.build(built(spark, sf_dir).triples.drop("site_id", "frag_id"), SITES))
+    return held(spark, ("khop", sf_dir), lambda: khop.build(written(spark, sf_dir), SITES))
 
 
 def mini(spark: SparkSession, sf_dir: str, n: int = 2, signature: str = "none") -> Store:
@@ -76,7 +81,7 @@ def on_store(qid: str, spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def on_central(qid: str, spark: SparkSession, sf_dir: str) -> DataFrame:
-    return to_dataframe(query(qid), triple_view(spark, sf_dir))
+    return central.run(query(qid), written(spark, sf_dir))
 
 
 def on_by_property(qid: str, spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,19 +1,20 @@
 """Updates of a placed store: routing by fragment definitions, batches, and a stream of events.
 
-Files are immutable, so a batch rewrites the (site, fragment) partitions it touches and no others. A batch has a
-number that is kept in the store's log; a number already there is not applied again."""
+Files are immutable, so a batch writes the (site, fragment) partitions it touches anew, as a further version, and no others.
+One manifest then names the new partitions, the kept ones and the batch's number: a batch that fails before it leaves the
+store as it was, and a number already there is not applied again."""
 
 from __future__ import annotations
 
-import json
 from dataclasses import replace
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from loadshard.functions.shared import materialize, read_text, write_text
+from loadshard.functions.shared import materialize
+from loadshard.operators import layout
 from loadshard.operators.allocation import rebalance, site_column
-from loadshard.operators.store import SCHEMA, Store, dealt, statistics
+from loadshard.operators.store import Store, dealt, from_sites, live_summaries, write_summaries
 from loadshard.sources.mapping import BY_NAME, table_triples
 
 #: op_id, op (insert, delete, delete_subject, modify), ts, s, p, o, o_kind, o_num; for modify o is the new object.
@@ -77,59 +78,79 @@ def apply(triples: DataFrame, ops: DataFrame, store: Store) -> DataFrame:
 
 
 def apply_batch(store: Store, ops: DataFrame, batch_id: int) -> Store:
-    """Rewrites the partitions that hold or get triples of the batch's subjects (dynamic partition overwrite)."""
+    """Writes anew the partitions that hold or get triples of the batch's subjects, then switches to them."""
     spark = ops.sparkSession
-    log = f"{store.path}/_batches.json"
-    seen = json.loads(read_text(spark, log) or "[]")
-    if batch_id in seen:
+    store = current(store)
+    if batch_id in store.snapshot.batches:
         return store
     ops = materialize(ops)
     named = ops.select("s").distinct()
     old_parts = store.triples.join(named, "s", "left_semi").select("site_id", "frag_id")
     new_parts = route(ops, store).where("frag_id is not null").select("site_id", "frag_id")
-    parts = [(r[0], r[1]) for r in old_parts.union(new_parts).distinct().collect()]  # at most sites x fragments
-    if parts:
-        wanted = spark.createDataFrame(parts, "site_id int, frag_id int")
-        cond = F.concat_ws("/", "site_id", "frag_id").isin([f"{a}/{b}" for a, b in parts])
-        held = store.triples.where(F.col("site_id").isin([a for a, _ in parts]) & F.col("frag_id").isin([b for _, b in parts]) & cond)
-        after = materialize(apply(held, ops, store))
-        out = dealt(after, store.fragmentation, store.placement)
-        out.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("site_id", "frag_id").parquet(store.path)
-        empty = wanted.join(after.select("site_id", "frag_id").distinct(), ["site_id", "frag_id"], "left_anti").collect()
-        for r in empty:
-            _drop_partition(spark, f"{store.path}/site_id={r[0]}/frag_id={r[1]}")
-    write_text(spark, log, json.dumps([*seen, batch_id]))
-    return refresh(replace(store, triples=spark.read.schema(SCHEMA).parquet(store.path)))
-
-
-def _drop_partition(spark: SparkSession, path: str) -> None:
-    jpath = spark._jvm.org.apache.hadoop.fs.Path(path)
-    jpath.getFileSystem(spark._jsc.hadoopConfiguration()).delete(jpath, True)
+    parts = {(r[0], r[1]) for r in old_parts.union(new_parts).distinct().collect()}  # at most sites x fragments
+    after = apply(_held(store, parts), ops, store) if parts else None
+    return switch(store, after, parts, batch_id)
+
+
+def _held(store: Store, parts: set[tuple[int, int]]) -> DataFrame:
+    """The triples of some partitions, by a filter on partition columns."""
+    sites, frags = (sorted({x[i] for x in parts}) for i in (0, 1))
+    named = F.concat_ws("/", "site_id", "frag_id").isin([f"{a}/{b}" for a, b in sorted(parts)])
+    return store.triples.where(F.col("site_id").isin(sites) & F.col("frag_id").isin(frags) & named)
+
+
+def switch(store: Store, rows: DataFrame | None, parts: set[tuple[int, int]], batch_id: int | None = None) -> Store:
+    """The store with the partitions ``parts`` replaced by ``rows``: all data first, then the manifest."""
+    spark, now = store.triples.sparkSession, store.snapshot
+    version = now.version + 1
+    made = frozenset()
+    if rows is not None:
+        layout.write(dealt(rows, store.fragmentation, store.placement, buckets=store.buckets), store.path, version, store.buckets)
+        made = layout.parts_of_version(spark, store.path, version)
+        if made:
+            write_summaries(spark.read.schema(layout.SCHEMA).parquet(store.path), store.path, version)
+    kept = frozenset(x for x in now.live if (x[1], x[2]) not in parts)
+    layout.commit(spark, store.path, layout.Snapshot(version, kept | made, (*now.batches, *([] if batch_id is None else [batch_id]))))
+    return current(store)
+
+
+def current(store: Store) -> Store:
+    """The store as its newest manifest has it."""
+    spark = store.triples.sparkSession
+    now = layout.newest(spark, store.path)
+    if now == store.snapshot:
+        return store
+    return refresh(replace(store, triples=layout.read(spark, store.path, store.buckets, now), snapshot=now))
 
 
 def refresh(store: Store) -> Store:
-    """Fragment sizes and statistics after a batch: one count by fragment and one aggregation by property."""
-    sizes = {r[0]: r[1] for r in store.triples.groupBy("frag_id").count().collect()}
+    """Fragment sizes and statistics from the kept summaries; no triple is read, whatever the store's size."""
+    told = live_summaries(store.triples.sparkSession, store.path, store.snapshot)
+    sizes = {r[0]: r[1] for r in told.groupBy("frag_id").agg(F.sum("n")).collect()}
     for f in store.fragmentation.fragments:
         f.size = sizes.get(f.number, 0)
     by = {f.number: f for f in store.fragmentation.fragments}
     for s in store.placement.sites:
         s.load = sum(by[f].load for f in s.fragments)
-    return replace(store, stats=statistics(store.triples, store.fragmentation))
+    return replace(store, stats=from_sites(told, store.stats.pairs))
 
 
 def relocate(store: Store, tolerance: float = 1.5) -> Store:
-    """Moves fragments off overloaded sites; only the moved fragments' partitions are rewritten."""
-    spark = store.triples.sparkSession
-    moves = rebalance(store.placement, store.fragmentation, tolerance)
-    for f, a, b in moves:
-        rows = materialize(store.triples.where((F.col("site_id") == a) & (F.col("frag_id") == f)))
-        dealt(rows.withColumn("site_id", F.lit(b)), store.fragmentation, store.placement).write.mode("append").partitionBy("site_id", "frag_id").parquet(store.path)
-        _drop_partition(spark, f"{store.path}/site_id={a}/frag_id={f}")
-        store.placement.site_of[f] = b
-        for s in store.placement.sites:
+    """Moves fragments off overloaded sites in one switch; only the moved fragments' partitions are written anew."""
+    store = current(store)
+    moved: dict[int, tuple[int, int]] = {}
+    for f, a, b in rebalance(store.placement, store.fragmentation, tolerance):
+        moved[f] = (moved.get(f, (a, b))[0], b)
+    if not moved:
+        return store
+    left = {(a, f) for f, (a, _) in moved.items()}
+    site = F.coalesce(*(F.when(F.col("frag_id") == f, F.lit(b)) for f, (_, b) in moved.items()))
+    out = switch(store, _held(store, left).withColumn("site_id", site), left)
+    for f, (_, b) in moved.items():
+        out.placement.site_of[f] = b
+        for s in out.placement.sites:
             s.fragments = [x for x in s.fragments if x != f] + ([f] if s.number == b else [])
-    return refresh(replace(store, triples=spark.read.schema(SCHEMA).parquet(store.path))) if moves else store
+    return refresh(out)
 
 
 def stream(events: DataFrame, store: Store, checkpoint: str, lateness: str = "1 day"):

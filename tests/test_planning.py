@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from loadshard.baselines import khop
-from loadshard.operators import dictionary, sizing
+from loadshard.operators import dictionary, layout, sizing
 from loadshard.operators.allocation import place
 from loadshard.operators.fragments import fragment
 from loadshard.operators.predicates import Predicate
@@ -206,6 +206,28 @@ def test_large_fragments_are_dealt_to_several_tasks(spark, base):
     assert all(r["tasks"] == 1 for r in tasks if r["n"] * 8 < big)
 
 
+def test_stars_join_without_exchange(spark, base, tmp_path):
+    t, fr, stores = base
+    store = bootstrap(spark, t, fr, place(fr, 3), str(tmp_path / "s"), buckets=4)
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        for q in ("b18", "b21", "s2"):
+            df = execute(query(q), store)
+            rows = rows_of(df)
+            text = df._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[0]
+            assert "SortMergeJoin" in text and "hashpartitioning" not in text, q
+            assert rows == rows_of(execute(query(q), stores[3]))
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_uneven_subjects_are_not_bucketed(spark):
+    even = spark.range(4000).selectExpr("concat('s', id) s")
+    assert layout.evenly_bucketed(even, 16) and layout.evenly_bucketed(even.limit(0), 16)
+    assert not layout.evenly_bucketed(even.union(spark.range(2000).selectExpr("'hot' s")), 16)
+    assert [layout.bucket_count(n) for n in (0, 100_000, 100_001, 600_000, 10**12)] == [1, 1, 2, 8, 4096]
+
+
 def test_statistics_from_sites(spark, base):
     t, fr, stores = base
     exact = {r["p"]: r for r in t.groupBy("p").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("s").alias("ds"), F.count_distinct("o").alias("do"), F.min("o_num").alias("lo"), F.max("o_num").alias("hi")).collect()}

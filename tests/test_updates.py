@@ -3,9 +3,10 @@ from __future__ import annotations
 import pytest
 from pyspark.sql import functions as F
 
+from loadshard.operators import layout
 from loadshard.operators.allocation import place
 from loadshard.operators.fragments import fragment
-from loadshard.operators.store import bootstrap
+from loadshard.operators.store import bootstrap, from_sites, open_store, save_catalogue, site_summaries
 from loadshard.sources.mapping import triples
 from loadshard.sources.ntriples import read_csv, read_ntriples, write_csv, write_ntriples
 from loadshard.streaming import updates
@@ -78,3 +79,61 @@ def test_text_formats(spark, sf, tmp_path):
     plain = t.where("p <> 'p:t'")
     write_csv(plain, str(tmp_path / "csv"))
     assert rows_of(read_csv(spark, str(tmp_path / "csv"))) == rows_of(plain)
+
+
+def bucketed(spark, sf, path, buckets=4):
+    t = triples(spark, sf, TABLES)
+    fr = fragment(analyse(load_queries(spark, [(q, text_of(q), 1) for q in ("b05", "b07", "b08", "b16")]), 1), t)
+    return bootstrap(spark, t, fr, place(fr, 3), path, buckets=buckets)
+
+
+@pytest.mark.parametrize("buckets", [0, 4])
+def test_a_failed_batch_leaves_the_store_whole(spark, sf, tmp_path, monkeypatch, buckets):
+    store = bucketed(spark, sf, f"file://{tmp_path}/s", buckets)
+    before = rows_of(store.triples)
+    batch = ops(spark, [(1, "modify", "customer:1", "p:c_name", "new", "str"), (2, "insert", "new:1", "p:unseen", "z", "str"), (3, "delete_subject", "nation:3", None, None, None)])
+    commit = layout.commit
+
+    def broken(*_):
+        raise OSError("lost")
+
+    for name in ("commit", "write"):  # after all data are written, and before any are
+        monkeypatch.setattr(layout, name, broken)
+        with pytest.raises(OSError):
+            updates.apply_batch(store, batch, 1)
+        monkeypatch.undo()
+        assert layout.commit is commit and rows_of(updates.current(store).triples) == before
+    after = updates.apply_batch(store, batch, 1)
+    assert rows_of(store.triples) == before  # an open snapshot stays readable
+    want = updates.settle(store.triples.select("s", "p", "o", "o_kind", "o_num"), batch)
+    assert rows_of(after.triples.select("s", "p", "o", "o_kind", "o_num")) == rows_of(want)
+    assert after.snapshot.batches == (1,) and updates.apply_batch(store, batch, 1).snapshot == after.snapshot
+
+
+def test_batches_keep_statistics_and_the_catalogue(spark, sf, tmp_path):
+    path = str(tmp_path / "s")
+    store = bucketed(spark, sf, path)
+    for i in range(4):
+        former = store.snapshot
+        store = updates.apply_batch(store, ops(spark, [(1, "modify", f"customer:{i + 1}", "p:c_name", f"new{i}", "str"), (2, "insert", f"new:{i}", "p:unseen", "9", "num")]), i)
+    recount = from_sites(site_summaries(store.triples))
+    assert store.stats.total == recount.total and set(store.stats.properties) == set(recount.properties)
+    for p, a in store.stats.properties.items():
+        b = recount.properties[p]
+        assert (a.rows, a.low, a.high) == (b.rows, b.low, b.high)
+        assert abs(a.subjects - b.subjects) <= 0.03 * b.subjects + 1 and abs(a.objects - b.objects) <= 0.03 * b.objects + 1  # sketches
+    sizes = {r["frag_id"]: r["count"] for r in store.triples.groupBy("frag_id").count().collect()}
+    assert {f.number: f.size for f in store.fragmentation.fragments if f.size} == sizes
+    # only the partitions of this snapshot and of the one before are on disk
+    held = layout.newest(spark, path)
+    on_disk = {x for v in range(held.version + 1) for x in layout.parts_of_version(spark, path, v)}
+    assert on_disk == held.live | former.live
+    assert held.batches == (0, 1, 2, 3)
+    save_catalogue(store, str(tmp_path / "c.json"))
+    spark.sql(f"DROP TABLE {layout.table_name(path)}")  # as in another session
+    again = open_store(spark, str(tmp_path / "c.json"), store.fragmentation.analysis)
+    assert rows_of(again.triples) == rows_of(store.triples) and again.snapshot == store.snapshot
+    more = updates.apply_batch(again, ops(spark, [(1, "insert", "new:1", "p:unseen", "10", "num")]), 9)
+    assert more.triples.count() == store.triples.count() + 1
+    moved = updates.relocate(more, 1.05)
+    assert rows_of(moved.triples.drop("site_id")) == rows_of(more.triples.drop("site_id"))
