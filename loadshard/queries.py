@@ -20,7 +20,7 @@ from loadshard.plans.cost import moved_pages
 from loadshard.plans.initial import access_path
 from loadshard.plans.physical import Meter, execute, plan
 from loadshard.query.compile import to_dataframe
-from loadshard.sources.mapping import triple_view, triples
+from loadshard.sources.mapping import MAPS, triple_view, triples
 from loadshard.streaming import updates
 from loadshard.workload.catalogue import CRAWL, HEAVY, SAMPLE, SAMPLE_TABLES, SAMPLE_THETA, crawl_load, query, text_of
 from loadshard.workload.load import analyse, load_queries, pattern_edges, pattern_frequency, phi, term_frequency
@@ -151,8 +151,15 @@ def mini_assignment(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def update_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    names = tuple(m for m in ("region", "nation", "customer", "supplier", "orders"))
-    after = updates.settle(triples(spark, sf_dir, names), updates.from_events(spark.read.parquet(f"{sf_dir}/events.parquet")))
+    """A store of all tables but the events, after a batch of all events."""
+
+    def make() -> Store:
+        t = written(spark, sf_dir).where("s not like 'event:%'")
+        fr = fragment(analyse(load_queries(spark, crawl_load()), THETA), t)
+        store = bootstrap(spark, t, fr, place(fr, SITES), fresh_path(spark, "updated"))
+        return updates.apply_batch(store, updates.from_events(spark.read.parquet(f"{sf_dir}/events.parquet")), 0)
+
+    after = held(spark, ("updated", sf_dir), make).triples
     return after.groupBy("p").agg(F.count(F.lit(1)).alias("n"), F.min("o").alias("first"), F.max("o").alias("last"))
 
 
@@ -355,7 +362,7 @@ ORACLES: dict[str, str] = {
     "site_statistics": f"WITH {O.tri()} SELECT p, count(*) AS n, min(o_num) AS low, max(o_num) AS high FROM tri GROUP BY p",
     "remainder_split": f"WITH {O.tri(('pages', 'benchmark', 'part'))} SELECT CAST(('0x' || substr(md5(s), 1, 8))::BIGINT % 3 + 1 AS INTEGER) AS site_id, count(*) AS n FROM tri GROUP BY 1",
     "flagship": O.of_query("b05"),
-    "update_after_batch": f"WITH {O.tri(('region', 'nation', 'customer', 'supplier', 'orders'))}{_UPDATE}",
+    "update_after_batch": f"WITH {O.tri(tuple(m.name for m in MAPS if m.name != 'events'))}{_UPDATE}",
     "khop_local_queries": O.values([(q, q not in ("b03", "b04", "b05", "b07", "b10", "b11", "b12")) for q in CRAWL], "query, local"),
     **{q: O.of_query(q.rsplit("_", 1)[-1]) for q in QUERIES if q.rsplit("_", 1)[-1] in {**CRAWL, **HEAVY}},
 }
