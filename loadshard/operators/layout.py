@@ -19,7 +19,7 @@ from loadshard.functions.shared import delete_path, list_names, read_text, write
 COLUMNS = ("s", "p", "o", "o_kind", "o_num", "site_id", "frag_id")
 SCHEMA = "s string, p string, o string, o_kind string, o_num double, ver int, site_id int, frag_id int"
 PARTS = ("ver", "site_id", "frag_id")
-BUCKET_ROWS, MOST_BUCKETS = 100_000, 4096
+BUCKET_ROWS, MOST_BUCKETS = 1_000_000, 4096
 
 
 @dataclass(frozen=True)
